@@ -1,6 +1,10 @@
 """Queries of this subpackage and their SQL, by name."""
 
-from . import mixing
+from . import decontamination, mixing, resharding
 
-QUERIES = {"op9_mix_curriculum": mixing.op9_mix_curriculum}
-ORACLES = {"op9_mix_curriculum": mixing.ORACLE}
+QUERIES = {
+    "op5_reshard": resharding.op5_reshard,
+    "op8_decontaminate": decontamination.op8_decontaminate,
+    "op9_mix_curriculum": mixing.op9_mix_curriculum,
+}
+ORACLES = {"op8_decontaminate": decontamination.ORACLE, "op9_mix_curriculum": mixing.ORACLE}
