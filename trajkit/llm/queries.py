@@ -1,10 +1,11 @@
 """Queries of this subpackage and their SQL, by name."""
 
-from . import decontamination, mixing, resharding
+from . import decontamination, mixing, resharding, topk
 
 QUERIES = {
+    "op1_exact_top_k": topk.op1_exact_top_k,
     "op5_reshard": resharding.op5_reshard,
     "op8_decontaminate": decontamination.op8_decontaminate,
     "op9_mix_curriculum": mixing.op9_mix_curriculum,
 }
-ORACLES = {"op8_decontaminate": decontamination.ORACLE, "op9_mix_curriculum": mixing.ORACLE}
+ORACLES = {"op1_exact_top_k": topk.ORACLE, "op8_decontaminate": decontamination.ORACLE, "op9_mix_curriculum": mixing.ORACLE}
