@@ -65,37 +65,44 @@ def prefixes(items: DataFrame, window: int = 13, shingle: int = 5) -> DataFrame:
     return each.join(rarity, ["k", "h"]).withColumn("nth", F.row_number().over(rank)).filter("nth = 1").drop("nth", "seen")
 
 
-def scan(docs: DataFrame, items: DataFrame, window: int = 13, shingle: int = 5, broadcast_rows: int = 500_000) -> DataFrame:
+def scan(docs: DataFrame, items: DataFrame, window: int = 13, shingle: int = 5, listed_hashes: int = 50_000) -> DataFrame:
     """doc_id, text -> per row: doc_id, n_words, n_hit, hit_items (sorted ids as strings).
 
-    The prefix table is broadcast only if it has ``broadcast_rows`` rows at most; beyond that the
-    same join is shuffled by shingle hash.
+    If the prefix shingles have ``listed_hashes`` different hashes at most, the scan keeps only
+    the positions whose hash is one of them and the prefix table is broadcast; beyond that all
+    positions are joined with the prefix table, shuffled by hash.  Either way a position carries
+    the words around it, never the whole text.
     """
     pre = stored(prefixes(items, window, shingle))
     ks = sorted({r["k"] for r in pre.select("k").distinct().collect()} | {shingle})
-    small = pre.count() <= broadcast_rows
+    hashes = [r["h"] for r in pre.select("h").distinct().limit(listed_hashes + 1).collect()]
+    small = len(hashes) <= listed_hashes and pre.count() <= 8 * listed_hashes
     base = docs.select("doc_id", F.xxhash64("text").alias("mark"), words(F.col("text")).alias("ws"))
     base = base.withColumn("n", F.size("ws")).withColumn("low", F.transform("ws", lambda w: F.lower(w)))
-    nothing = F.array(F.lit(None).cast("long"))
-    base = base.select("doc_id", "mark", "ws", "n", F.concat(*[shingle_hashes(F.col("low"), k) for k in ks], nothing).alias("hs"))
-    at = base.select("doc_id", "mark", "ws", "n", F.posexplode_outer("hs").alias("at", "h"))
-    # The last entry of each row stands for the row itself.
-    at = at.withColumn("seg", F.when(F.col("n") > 0, F.floor(F.col("at") / F.col("n"))).otherwise(len(ks)).cast("int"))
-    k_of = F.element_at(F.array(*[F.lit(k) for k in ks]), F.least(F.col("seg") + 1, F.lit(len(ks))))
-    at = at.select("doc_id", "mark", "ws", "n", "h", (F.col("seg") >= len(ks)).alias("is_row"), k_of.alias("dk"), (F.col("at") - F.col("seg") * F.col("n")).alias("p"))
-    right = F.broadcast(pre) if small else pre
+    base = base.select("doc_id", "mark", "ws", "n", F.concat(*[shingle_hashes(F.col("low"), k) for k in ks]).alias("hs"))
+    wanted = (lambda h: h.isin(hashes)) if small and hashes else (lambda h: F.lit(bool(hashes)))
+    base = base.withColumn("at", F.array_compact(F.transform("hs", lambda h, i: F.when(wanted(h), i))))
+    seg = lambda i: F.floor(i / F.col("n")).cast("int")
+    place = lambda i: (i - seg(i) * F.col("n")).cast("int")
+    left = lambda i: F.greatest(place(i) + 1 - window, F.lit(0))
+    about = lambda i: F.struct(
+        F.element_at("hs", i + 1).alias("h"), F.element_at(F.array(*[F.lit(k) for k in ks]), seg(i) + 1).alias("dk"),
+        place(i).alias("p"), left(i).alias("from"), F.slice("ws", left(i) + 1, F.lit(2 * window)).alias("around"),
+    )
+    # The row itself goes along as a last entry without a position.
+    whole = F.array(F.lit(None).cast("struct<h: bigint, dk: int, p: int, from: int, around: array<string>>"))
+    at = base.select("doc_id", "mark", "n", F.explode_outer(F.concat(F.transform("at", about), whole)).alias("x"))
+    at = at.select("doc_id", "mark", "n", F.col("x").isNull().alias("is_row"), "x.*")
     start = F.col("p") - F.col("off")
-    fits = (start >= 0) & (start + F.col("len") <= F.col("n"))
+    on = (F.col("h") == F.col("__h")) & (F.col("dk") == F.col("k"))
+    right = pre.withColumnRenamed("h", "__h")
     if small:
-        hit = at.join(right, (at["h"] == right["h"]) & (F.col("dk") == F.col("k")), "left")
+        hit = at.join(F.broadcast(right), on, "left")
     else:
-        around = F.slice("ws", F.greatest(F.col("p") + 1 - window, F.lit(0)) + 1, F.lit(2 * window))
-        at = at.withColumn("ws", F.when(~F.col("is_row"), around)).withColumn("from", F.greatest(F.col("p") + 1 - window, F.lit(0)))
-        hit = at.filter(~F.col("is_row")).join(right, (at["h"] == right["h"]) & (F.col("dk") == F.col("k")))
-        hit = hit.unionByName(at.filter("is_row"), allowMissingColumns=True)
-    first = start + 1 if small else start - F.col("from") + 1
-    # Bounds and words are compared in one conditional: the slice is taken only where it fits.
-    same = F.when(fits, folded(F.slice("ws", F.greatest(first, F.lit(1)), F.coalesce("len", F.lit(1)))) == F.col("win")).otherwise(False)
+        hit = at.filter(~F.col("is_row")).join(right, on).unionByName(at.filter("is_row"), allowMissingColumns=True)
+    # Bounds come first: the slice is taken only where the window lies inside the document.
+    fits = (start >= 0) & (start + F.col("len") <= F.col("n"))
+    same = F.when(fits, folded(F.slice("around", F.greatest(start - F.col("from") + 1, F.lit(1)), F.coalesce("len", F.lit(1)))) == F.col("win")).otherwise(False)
     hit = hit.filter(F.col("is_row") | (F.col("win").isNotNull() & same))
     found = F.when(~F.col("is_row"), F.struct(start.cast("long").alias("a"), (start + F.col("len")).cast("long").alias("b")))
     got = hit.groupBy("doc_id", "mark").agg(

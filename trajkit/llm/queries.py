@@ -1,10 +1,12 @@
 """Queries of this subpackage and their SQL, by name."""
 
-from . import decontamination, mixing, resharding, topk
+from . import decontamination, language, mixing, resharding, topk, toxicity
 
 QUERIES = {
     "op1_exact_top_k": topk.op1_exact_top_k,
+    "op2_language_id": language.op2_language_id,
     "op5_reshard": resharding.op5_reshard,
+    "op6_toxicity": toxicity.op6_toxicity,
     "op8_decontaminate": decontamination.op8_decontaminate,
     "op9_mix_curriculum": mixing.op9_mix_curriculum,
 }
