@@ -25,9 +25,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .language import letters
-from .packed import chunks, owners, runs, span_hashes
+from .packed import chunks, mixed, owners, runs, span_hashes
 from .samples import bounded, id_mod
-from .scratch import Shared, table
+from .scratch import Shared, stored, table
 
 PREFIXES = (4, 5, 6, 7)
 LEVELS = 3  # strengths of a form; level 0 is no form
@@ -186,6 +186,22 @@ def logistic(xs: np.ndarray, ys: np.ndarray, ridge: float = 0.05, rounds: int =
     return w
 
 
+def _marks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """toxic, text -> toxic, text and two least hashes of five words in a row: copies share them."""
+    for batch in batches:
+        out = [np.zeros(batch.num_rows, np.uint64) for _ in range(2)]
+        for i, j, buf, offs in chunks(batch.column(1)):
+            low = letters(buf)
+            starts, ends = runs(low != 0x20, offs)
+            first = np.searchsorted(starts, offs)
+            h = span_hashes(low, starts, ends)
+            five = mixed(sum((np.roll(h, -k) * np.uint64(2 * k + 3) for k in range(5)), np.zeros(len(h), np.uint64))) if len(h) else h
+            for k in range(j - i):
+                own = five[first[k] : max(first[k] + 1, first[k + 1] - 4)] if first[k + 1] > first[k] else np.array([np.uint64(i + k)])
+                out[0][i + k], out[1][i + k] = own.min(), mixed(own).min()
+        yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), *(pa.array(x.view(np.int64)) for x in out)], ["toxic", "text", "m0", "m1"])
+
+
 def _forms_of(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Partial counts of the toxic and clean documents that have each form (toxic, text -> form, t, c)."""
     for batch in batches:
@@ -219,6 +235,9 @@ def fit(docs: DataFrame, labels: DataFrame, per_label: int = 2500, max_forms: in
     one = labels.filter(F.col("toxic").isin(0, 1) & F.col("doc_id").isNotNull()).groupBy("doc_id").agg(F.max("toxic").cast("int").alias("toxic"))
     chosen = bounded(one, "toxic", per_label)
     sample = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").select("toxic", "text").repartition(tasks)
+    # Copies of one text would lend its words a significance they do not have.
+    sample = sample.mapInArrow(_marks, "toxic int, text string, m0 long, m1 long").dropDuplicates(["toxic", "m0"]).dropDuplicates(["toxic", "m1"])
+    sample = stored(sample.select("toxic", "text"))
     n = {int(r["toxic"]): r["count"] for r in sample.groupBy("toxic").count().collect()}
     nt, nc = n.get(1, 0), n.get(0, 0)
     if not nt or not nc:
