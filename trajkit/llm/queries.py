@@ -1,6 +1,6 @@
 """Queries of this subpackage and their SQL, by name."""
 
-from . import decontamination, language, mixing, order_minhash, resharding, suffix_dedup, topk, toxicity
+from . import decontamination, language, mixing, order_minhash, resharding, secrets, suffix_dedup, topk, toxicity
 
 QUERIES = {
     "op1_exact_top_k": topk.op1_exact_top_k,
@@ -9,6 +9,7 @@ QUERIES = {
     "op3_suffix_dedup": suffix_dedup.op3_suffix_dedup,
     "op5_reshard": resharding.op5_reshard,
     "op6_toxicity": toxicity.op6_toxicity,
+    "op7_secrets": secrets.op7_secrets,
     "op8_decontaminate": decontamination.op8_decontaminate,
     "op9_mix_curriculum": mixing.op9_mix_curriculum,
 }
