@@ -1,6 +1,6 @@
 """Language-model scores by prediction by partial matching over bytes.
 
-The model is a trie of byte contexts up to four bytes long.  A symbol (a byte or the end of the
+The model is a trie of byte contexts up to five bytes long.  A symbol (a byte or the end of the
 text) is predicted from the longest context seen in training; a context predicts the symbols seen
 after it by their counts and escapes to the next shorter one with the number of different symbols
 as the escape's count.  Symbols seen in the longer context are excluded in the shorter one.  A
@@ -8,7 +8,7 @@ text's score is the log10 probability of its bytes (A-Z folded) and its end.
 
 Every symbol seen after a context was also seen after each shorter one, so an exclusion set is the
 set of the next longer context; sums over it are stored with that context and the log probability
-of any (context, symbol) is a few table look-ups.  Training counts all five-symbol grams of all
+of any (context, symbol) is a few table look-ups.  Training counts all six-symbol grams of all
 training documents; the trie keeps those with at least the count at which ``max_grams`` remain
 (the same count at all orders, which keeps the sets nested), so its size is bounded and what is
 cut escapes.  ``Adaptive`` is the model that starts empty with each document.
@@ -36,7 +36,7 @@ from .packed import FOLD, SPACE, chunks, mixed, runs, span_hashes
 from .samples import id_mod
 from .scratch import Shared, stored, table
 
-ORDER = 4
+ORDER = 5
 BITS = 9
 SYMBOLS = 257
 LOG10 = math.log(10)
@@ -55,7 +55,7 @@ def symbols(buf: np.ndarray, offs: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 
 def grams(buf: np.ndarray, offs: np.ndarray) -> np.ndarray:
-    """The five-symbol gram that ends at each predicted symbol, text after text."""
+    """The six-symbol gram that ends at each predicted symbol, text after text."""
     s, at = symbols(buf, offs)
     key = s.copy()
     for k in range(1, ORDER + 1):
