@@ -9,8 +9,8 @@ L k-mers aligned in order out of a and b, the similarity is L / (a + b - L).  Li
 join documents into classes; a class is named by its smallest doc_id.
 
 Candidates are not all pairs of a bucket.  In each round every bucket compares its members with
-one hub of another class; classes are merged along the links found, and further rounds draw other
-hubs for the buckets that still hold several classes, until a round finds no link.
+hubs of other classes; classes are merged along the links found, and further rounds draw other and
+more hubs for the buckets that still hold several classes, until a round finds no link.
 
 Edge cases: texts without words (null, empty, punctuation) are alone in their class; rows without
 doc_id take no part and get a null class; repeated rows share a class; an empty table gives an
@@ -140,7 +140,7 @@ def similarity(a: np.ndarray, b: np.ndarray, least: float) -> float:
 
 
 def sketch_table(texts: DataFrame, functions: int, length: int) -> DataFrame:
-    """tid, m, text -> tid, m, keys; texts without words are left out."""
+    """tid, m, text -> tid, m, size (k-mers), keys; texts without words are left out."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -151,9 +151,10 @@ def sketch_table(texts: DataFrame, functions: int, length: int) -> DataFrame:
                 flat = pa.array(keys[full].reshape(-1).view(np.int64))
                 lists = pa.ListArray.from_arrays(pa.array(np.arange(0, (len(full) + 1) * functions, functions, dtype=np.int32)), flat)
                 take = pa.array(full + i)
-                yield pa.RecordBatch.from_arrays([batch.column(0).take(take), batch.column(1).take(take), lists], ["tid", "m", "keys"])
+                size = pa.array(np.diff(begin)[full])
+                yield pa.RecordBatch.from_arrays([batch.column(0).take(take), batch.column(1).take(take), size, lists], ["tid", "m", "size", "keys"])
 
-    return texts.select("tid", "m", "text").mapInArrow(run, "tid long, m long, keys array<long>")
+    return texts.select("tid", "m", "text").mapInArrow(run, "tid long, m long, size long, keys array<long>")
 
 
 def word_sequences(texts: DataFrame) -> DataFrame:
@@ -218,36 +219,45 @@ def components(state: DataFrame, links: DataFrame) -> DataFrame:
     return stored(state.join(merged, "label", "left").select("tid", "m", F.coalesce("to", "label").alias("label")))
 
 
-def classes(docs: DataFrame, least: float = 0.8, functions: int = 16, length: int = 3, max_rounds: int = 12) -> DataFrame:
+def classes(docs: DataFrame, least: float = 0.8, functions: int = 16, length: int = 3) -> DataFrame:
     """doc_id, text -> doc_id, class_id (the class's smallest doc_id), class_size."""
     ids = docs.select("doc_id", "text").withColumn("tid", F.xxhash64("text"))
     texts = ids.filter(F.col("doc_id").isNotNull() & F.col("text").isNotNull())
     who = stored(ids.select("doc_id", F.when(F.col("text").isNotNull(), F.col("tid")).alias("tid")))
     sk = sketch_table(texts.select("tid", F.col("doc_id").cast("long").alias("m"), "text"), functions, length)
-    sk = stored(sk.groupBy("tid").agg(F.min("m").alias("m"), F.first("keys").alias("keys")))
-    rows = sk.select("tid", "m", F.explode("keys").alias("key"))
+    sk = stored(sk.groupBy("tid").agg(F.min("m").alias("m"), F.first("size").alias("size"), F.first("keys").alias("keys")))
+    rows = sk.select("tid", "m", "size", F.explode("keys").alias("key"))
     shared = rows.groupBy("key").agg(F.count("*").alias("n")).filter("n > 1").select("key")
     buckets = stored(rows.join(shared, "key"))
     wanted = stored(buckets.groupBy("tid").agg(F.min("m").alias("m")))
     chosen = wanted.select("tid", F.col("m").alias("doc_id"))
-    # Word sequences only of texts in some bucket, from one row each.
-    seqs = stored(word_sequences(texts.join(chosen, ["tid", "doc_id"], "left_semi")).groupBy("tid").agg(F.first("seq").alias("seq")))
+    # Word sequences only of texts in some bucket, from one row each.  The texts of a bucket grow
+    # with the input, so this join is a shuffled one at any size.
+    seqs = stored(word_sequences(texts.join(chosen.hint("merge"), ["tid", "doc_id"], "left_semi")).groupBy("tid").agg(F.first("seq").alias("seq")))
     state = wanted.select("tid", "m", F.col("m").alias("label"))
-    tested = None
-    for turn in range(max_rounds):
-        order = F.col("m") if turn == 0 else F.xxhash64(F.lit(turn), "key", "tid")
-        held = buckets.select("key", "tid").join(state, "tid") if turn else buckets.withColumn("label", F.col("m"))
-        hubs = held.groupBy("key").agg(F.min_by(F.struct("tid", "label"), order).alias("hub"))
-        near = held.join(hubs, "key").filter(F.col("label") != F.col("hub.label"))
+    tested, turn = None, 0
+    while True:
+        # The first hub is the bucket's first text; later rounds draw twice as many as the one before.
+        count = max(1, 2 ** (turn - 1)) if turn else 1
+        held = buckets.select("key", "tid", "size").join(state.select("tid", "label"), "tid") if turn else buckets.withColumn("label", F.col("m"))
+        order = lambda i: F.col("m") if turn == 0 else F.xxhash64(F.lit(1000 * turn + i), "key", "tid")  # noqa: B023, E731
+        hubs = held.groupBy("key").agg(*[F.min_by(F.struct("tid", "label", "size"), order(i)).alias(f"h{i}") for i in range(count)])
+        hubs = hubs.select("key", F.array(*[f"h{i}" for i in range(count)]).alias("hubs"))
+        near = held.join(hubs, "key").select("tid", "label", "size", F.explode("hubs").alias("hub"))
+        # Another class, and sizes whose ratio does not rule the similarity out.
+        near = near.filter((F.col("label") != F.col("hub.label")) & (F.least("size", "hub.size") >= least * F.greatest("size", "hub.size")))
         pairs = near.select(F.least("tid", "hub.tid").alias("a"), F.greatest("tid", "hub.tid").alias("b")).distinct()
         if tested is not None:
             pairs = pairs.join(tested, ["a", "b"], "left_anti")
         pairs = stored(pairs)
         tested = pairs if tested is None else tested.unionByName(pairs)
         found = stored(verified(pairs, seqs, least))
-        if not found.limit(1).count():
+        any_found = found.limit(1).count()
+        if any_found:
+            state = components(state, found)
+        elif turn:
             break
-        state = components(state, found)
+        turn += 1
     # The label is the smallest id over all rows with the same text, and over the linked texts.
     texts_of = who.filter("tid IS NOT NULL AND doc_id IS NOT NULL").groupBy("tid").agg(F.min("doc_id").alias("first"))
     with_words = sk.select(F.col("tid"), F.lit(True).alias("has_words"))
