@@ -430,7 +430,7 @@ def _cut(keep_text: bool):
 def dedup(docs: DataFrame, keep_text: bool = False, buckets: int | None = None) -> DataFrame:
     """doc_id, text -> doc_id, n_bytes, n_removed, n_spans, kept_sha256 (and kept, the bytes left)."""
     spark = docs.sparkSession
-    buckets = buckets or 4 * shuffle_parts(spark)
+    buckets = buckets or shuffle_parts(spark)
     base = docs.select("doc_id", "text")
     marks = base.select("doc_id", F.xxhash64("text").alias("mark"))
     n = marks.groupBy("doc_id").agg(F.count("*").alias("n"), F.min("mark").alias("a"), F.max("mark").alias("b"))
