@@ -40,6 +40,7 @@ ORDER = 5
 BITS = 9
 SYMBOLS = 257
 LOG10 = math.log(10)
+CHUNK = 1 << 19  # bytes of text that a worker has in wide arrays at once
 
 
 def symbols(buf: np.ndarray, offs: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -108,12 +109,12 @@ class Trie:
 
     def __init__(self, counts: list[tuple[np.ndarray, np.ndarray]]):
         self.keys = [k.astype(np.uint64) for k, _ in counts]
-        self.count = [c.astype(np.float64) for _, c in counts]
+        self.count = [c.astype(np.uint32 if len(c) and c.max() < 2**32 else np.float64) for _, c in counts]
         self.ctx, self.n, self.t = [], [], []
         for k, c in zip(self.keys, self.count):
             ctx, head = np.unique(k >> np.uint64(BITS), return_index=True)
             self.ctx.append(ctx)
-            self.n.append(np.add.reduceat(c, head) if len(head) else np.zeros(0))
+            self.n.append(np.add.reduceat(c.astype(np.float64), head) if len(head) else np.zeros(0))
             self.t.append(np.diff(np.append(head, len(k))).astype(np.float64))
         # What is left of order o - 1 once the symbols of a context of order o are excluded.
         self.left_n, self.left_t = [None], [None]
@@ -204,7 +205,7 @@ def tokens(buf: np.ndarray, offs: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 class _Tally:
     """Counts of keys, merged now and then; ``drain`` gives them up."""
 
-    def __init__(self, most: int = 1 << 21):
+    def __init__(self, most: int = 1 << 20):
         self.most, self.parts, self.size = most, [], 0
 
     def add(self, keys: np.ndarray) -> None:
@@ -244,7 +245,7 @@ def count_tables(train: DataFrame) -> DataFrame:
 
         for batch in batches:
             docs += batch.num_rows
-            for _, _, buf, offs in chunks(batch.column(0)):
+            for _, _, buf, offs in chunks(batch.column(0), CHUNK):
                 words.add(tokens(buf, offs)[0])
                 five.add(grams(buf, offs))
                 for kind, tally in ((0, words), (1, five)):
@@ -297,7 +298,7 @@ class Scorer:
         return np.add.reduceat(value.astype(np.float64), offs[:-1] + np.arange(len(offs) - 1))
 
 
-def fit(train: DataFrame, max_grams: int = 1_000_000, max_words: int = 131_072) -> tuple[Scorer, DataFrame]:
+def fit(train: DataFrame, max_grams: int = 600_000, max_words: int = 131_072) -> tuple[Scorer, DataFrame]:
     """doc_id, text -> the scorer and the table of all word counts (key, n)."""
     tables = stored(count_tables(train))
     words, five = tables.filter("kind = 0").select("key", "n"), tables.filter("kind = 1").select("key", "n")
@@ -323,7 +324,7 @@ def score(docs: DataFrame, model: Scorer, words: DataFrame) -> DataFrame:
         for batch in batches:
             cols: list[list[np.ndarray]] = [[] for _ in range(4)]
             rare, cut = [], [0]
-            for i, j, buf, offs in chunks(batch.column(1)):
+            for i, j, buf, offs in chunks(batch.column(1), CHUNK):
                 cols[0].append(m.text_scores(buf, offs))
                 h, first = tokens(buf, offs)
                 value, known = m.words.get(h)

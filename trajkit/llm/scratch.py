@@ -67,4 +67,6 @@ class Shared:
         held = self._packed
         if not hasattr(held, "_unpacked"):
             held._unpacked = cloudpickle.loads(held.value)
+            if hasattr(held, "_path") and hasattr(held, "_value"):
+                del held._value  # a worker keeps one form only
         return held._unpacked
