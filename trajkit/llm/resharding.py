@@ -85,57 +85,77 @@ def by_source(count: int = 8) -> Column:
     return F.pmod(F.crc32(F.coalesce(F.col("source"), F.lit("")).cast("binary")), F.lit(count)).cast("int")
 
 
-def reshard(docs: DataFrame, shards: int = 8, old: Column | None = None, old_count: int = 8, blocks: int = 1024) -> DataFrame:
-    """doc_id, text (and what ``old`` reads) -> doc_id, size, text_crc32, old_shard, shard, slot.
+def _keyed(docs: DataFrame, old: Column, blocks: int) -> DataFrame:
+    crc = F.crc32(F.coalesce(F.col("text"), F.lit("")).cast("binary"))
+    out = docs.withColumns({"__size": size_of(F.col("text")), "__crc": crc, "__old": old})
+    out = out.withColumn("__mix", F.xxhash64("doc_id", "__crc", "__size"))
+    return out.withColumn("__block", F.pmod("__mix", F.lit(blocks)).cast("int"))
 
-    ``blocks`` per old shard are fixed, so what the driver reads is old_count * blocks sums.
+
+def with_shards(docs: DataFrame, shards: int = 8, old: Column | None = None, old_count: int = 8, blocks: int = 1024) -> DataFrame:
+    """docs (doc_id, text, what ``old`` reads, any others) plus size, text_crc32, old_shard, shard, slot.
+
+    ``blocks`` per old shard are fixed, so the driver reads old_count * blocks sums and a few
+    cuts.  Decisions are broadcast by block and made row by row; the texts themselves are
+    shuffled once, to number the rows of each shard.
     """
-    old = by_source(old_count) if old is None else old
-    base = docs.select(
-        "doc_id", size_of(F.col("text")).alias("size"), F.crc32(F.coalesce("text", F.lit("")).cast("binary")).alias("text_crc32"),
-        old.alias("old_shard"),
-    )
-    base = base.withColumn("mix", F.xxhash64("doc_id", "text_crc32", "size")).withColumn("block", F.pmod("mix", F.lit(blocks)).cast("int"))
-    base = stored(base)
     spark = docs.sparkSession
-    sums = sorted((r["old_shard"], r["block"], r["s"]) for r in base.groupBy("old_shard", "block").agg(F.sum("size").alias("s")).collect())
-    sizes = [0] * old_count
-    lines = []
-    for shard, block, s in sums:
-        lines.append((shard, block, sizes[shard], s))
-        sizes[shard] += s
+    old = by_source(old_count) if old is None else old
+    base = stored(_keyed(docs, old, blocks).select("doc_id", "__size", "__old", "__mix", "__block"))
+    sums = sorted((r["__old"], r["__block"], r["s"]) for r in base.groupBy("__old", "__block").agg(F.sum("__size").alias("s")).collect())
+    sizes, lines = [0] * old_count, []
+    for i, block, s in sums:
+        lines.append((i, block, sizes[i], s))
+        sizes[i] += s
     flow = transfers(sizes, fair_capacities(sum(sizes), shards))
-    cuts = {i: [(j, int(flow[i, j])) for j in sorted(range(shards), key=lambda j: (j != i, j)) if flow[i, j]] for i in range(old_count)}
-    ends = [(i, [x for x, _ in c], [int(e) for e in np.cumsum([b for _, b in c])]) for i, c in cuts.items() if c]
-    where = spark.createDataFrame(lines, "old_shard int, block int, offset long, block_size long")
-    cut = spark.createDataFrame(ends, "old_shard int, targets array<int>, ends array<long>")
-    inside = W.partitionBy("old_shard", "block").orderBy("mix", "doc_id", "size").rowsBetween(W.unboundedPreceding, 0)
-    line = base.withColumn("inner", F.sum("size").over(inside) - F.col("size"))
-    # Both tables have a fixed number of rows at most: old_count * blocks and old_count.
-    line = line.join(F.broadcast(where), ["old_shard", "block"]).join(F.broadcast(cut), "old_shard")
-    middle = F.col("offset") + F.col("inner") + F.col("size") / 2
-    to = F.element_at("targets", F.least(F.size("targets"), F.size(F.filter("ends", lambda e: e <= middle)) + 1))
-    placed = stored(line.select("doc_id", "size", "text_crc32", "old_shard", "mix", "block", to.alias("shard")))
-    counts = placed.groupBy("shard", "block").agg(F.count("*").alias("c"))
-    first = counts.withColumn("first", F.sum("c").over(W.partitionBy("shard").orderBy("block")) - F.col("c")).drop("c")
-    nth = F.row_number().over(W.partitionBy("shard", "block").orderBy("mix", "doc_id", "size"))
-    # At most shards * blocks rows.
-    return placed.withColumn("nth", nth).join(F.broadcast(first), ["shard", "block"]).select(
-        "doc_id", "size", "text_crc32", "old_shard", "shard", (F.col("first") + F.col("nth") - 1).cast("long").alias("slot")
+    targets = [[j for j in sorted(range(shards), key=lambda j: (j != i, j)) if flow[i, j]] for i in range(old_count)]
+    ends = [np.cumsum([int(flow[i, j]) for j in targets[i]]).tolist()[:-1] for i in range(old_count)]
+    cut = [(i, block, offset, [e for e in ends[i] if offset < e < offset + s]) for i, block, offset, s in lines]
+    cut = [c for c in cut if c[3]]
+    found: dict[tuple, list[int]] = {}
+    if cut:  # only these blocks are divided; at most old_count * shards of them
+        inside = W.partitionBy("__old", "__block").orderBy("__mix", "doc_id", "__size").rowsBetween(W.unboundedPreceding, 0)
+        some = spark.createDataFrame(cut, "__old int, __block int, offset long, ends array<long>")
+        rows = base.join(F.broadcast(some), ["__old", "__block"])
+        rows = rows.withColumn("middle", F.col("offset") + F.sum("__size").over(inside) - F.col("__size") / 2)
+        each = rows.select("__old", "__block", "__mix", "middle", F.posexplode("ends").alias("k", "end")).filter("middle >= end")
+        for r in each.groupBy("__old", "__block", "k").agg(F.min("__mix").alias("mix")).collect():
+            found[r["__old"], r["__block"], r["k"]] = r["mix"]
+    inner = {(i, b): [found.get((i, b, k), 2**63 - 1) for k in range(len(e))] for i, b, _, e in cut}
+    plan = [(i, b, targets[i], sum(e <= o for e in ends[i]), inner.get((i, b), [])) for i, b, o, _ in lines]
+    plan = spark.createDataFrame(plan, "__old int, __block int, targets array<int>, from int, cuts array<long>")
+
+    def placed(df: DataFrame) -> DataFrame:
+        nth = F.col("from") + F.size(F.filter("cuts", lambda c: c <= F.col("__mix")))
+        to = F.element_at("targets", F.least(F.size("targets"), nth + 1))
+        return df.join(F.broadcast(plan), ["__old", "__block"]).withColumn("shard", to).drop("targets", "from", "cuts")
+
+    counts = placed(base).groupBy("shard", "__block").agg(F.count("*").alias("c")).collect()  # shards * blocks at most
+    first, line = {j: 0 for j in range(shards)}, []
+    for r in sorted(counts, key=lambda r: (r["shard"], r["__block"])):
+        line.append((r["shard"], r["__block"], first[r["shard"]]))
+        first[r["shard"]] += r["c"]
+    begin = spark.createDataFrame(line, "shard int, __block int, first long")
+    number = F.row_number().over(W.partitionBy("shard", "__block").orderBy("__mix", "doc_id", "__size"))
+    out = placed(_keyed(docs, old, blocks)).withColumn("__nth", number).join(F.broadcast(begin), ["shard", "__block"])
+    return out.select(
+        *[F.col(f"`{c}`") for c in docs.columns], F.col("__size").alias("size"), F.col("__crc").alias("text_crc32"), F.col("__old").alias("old_shard"),
+        "shard", (F.col("first") + F.col("__nth") - 1).cast("long").alias("slot"),
     )
 
 
-def rewrite(docs: DataFrame, placed: DataFrame, path: str) -> DataFrame:
-    """Write the files of the shards that change (gain or lose a document) below ``path``; the
-    other shards' files stay as they are.  Returns the numbers of the shards written."""
-    touched = placed.filter("shard <> old_shard").select(F.explode(F.array("shard", "old_shard")).alias("shard")).distinct()
-    rows = docs.join(placed.select("doc_id", "shard", "slot"), "doc_id").join(F.broadcast(touched), "shard")
-    rows.repartitionByRange("shard", "slot").write.mode("overwrite").option("partitionOverwriteMode", "dynamic").partitionBy("shard").parquet(path)
+def rewrite(docs: DataFrame, path: str, **options) -> list[int]:
+    """Write below ``path`` the files of the shards that gain or lose a document; files of the
+    other shards stay as they are.  Returns the numbers of the shards written."""
+    rows = stored(with_shards(docs, **options))
+    touched = sorted(r[0] for r in rows.filter("shard <> old_shard").select(F.explode(F.array("shard", "old_shard"))).distinct().collect())
+    some = rows.filter(F.col("shard").isin(touched))
+    some.repartitionByRange("shard", "slot").write.mode("overwrite").option("partitionOverwriteMode", "dynamic").partitionBy("shard").parquet(path)
     return touched
 
 
 def op5_reshard(spark, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text", "source")
-    return reshard(docs).select(
+    return with_shards(docs).select(
         "doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"), "old_shard"
     )

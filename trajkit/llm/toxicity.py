@@ -317,6 +317,23 @@ def score(docs: DataFrame, model: ToxicModel | float, spans: bool = False) -> Da
     return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, score double" + ", spans array<struct<start: int, end: int, p: double>>" * spans)
 
 
+def keep_below(docs: DataFrame, model: ToxicModel | float, least: float = 0.7) -> DataFrame:
+    """The rows of ``docs`` (any columns beside text) that score below ``least``, in one pass."""
+    if isinstance(model, float):
+        return docs if model < least else docs.limit(0)
+    shared = Shared(docs.sparkSession, model)
+    at = docs.columns.index("text")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        m = shared.value
+        none = m.score(np.zeros(0))
+        for batch in batches:
+            keep = [(m.score(p) if len(p) else none) < least for _, _, buf, offs in chunks(batch.column(at)) for _, _, p in m.documents(buf, offs)]
+            yield batch.filter(pa.array(keep, pa.bool_()))
+
+    return docs.mapInArrow(run, docs.schema)
+
+
 def op6_toxicity(spark, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents", "doc_id", "text")
     labels = table(spark, sf_dir, "labels", "doc_id", "toxic").filter(id_mod(3) != 1)
