@@ -1,0 +1 @@
+"""Series, features, clustering, baselines and measures."""
