@@ -9,8 +9,9 @@ L k-mers aligned in order out of a and b, the similarity is L / (a + b - L).  Li
 join documents into classes; a class is named by its smallest doc_id.
 
 Candidates are not all pairs of a bucket.  In each round every bucket compares its members with
-hubs of other classes; classes are merged along the links found, and further rounds draw other and
-more hubs for the buckets that still hold several classes, until a round finds no link.
+a hub of another class; classes are merged along the links found, and further rounds draw other
+hubs for the buckets that still hold several classes and in which something changed within the last
+``patience`` rounds, until a round finds no link.
 
 Edge cases: texts without words (null, empty, punctuation) are alone in their class; rows without
 doc_id take no part and get a null class; repeated rows share a class; an empty table gives an
@@ -171,7 +172,7 @@ def word_sequences(texts: DataFrame) -> DataFrame:
 
 
 def verified(pairs: DataFrame, seqs: DataFrame, least: float) -> DataFrame:
-    """a, b -> a, b of the pairs that are similar enough."""
+    """a, b, la, lb -> those of the pairs that are similar enough."""
     one = seqs.select(F.col("tid").alias("a"), F.col("seq").alias("sa"))
     two = seqs.select(F.col("tid").alias("b"), F.col("seq").alias("sb"))
 
@@ -186,26 +187,23 @@ def verified(pairs: DataFrame, seqs: DataFrame, least: float) -> DataFrame:
             for r in range(batch.num_rows):
                 a = batch.column(0)[r].as_py()
                 if a != last:
-                    last, left = a, kmers(batch.column(2)[r].as_py())
-                if similarity(left, kmers(batch.column(3)[r].as_py()), least):
+                    last, left = a, kmers(batch.column(4)[r].as_py())
+                if similarity(left, kmers(batch.column(5)[r].as_py()), least):
                     keep.append(r)
             take = pa.array(keep, pa.int32())
-            yield pa.RecordBatch.from_arrays([batch.column(0).take(take), batch.column(1).take(take)], ["a", "b"])
+            yield pa.RecordBatch.from_arrays([batch.column(i).take(take) for i in range(4)], ["a", "b", "la", "lb"])
 
-    both = pairs.join(one, "a").join(two, "b").select("a", "b", "sa", "sb")
-    return both.mapInArrow(run, "a long, b long")
+    both = pairs.join(one, "a").join(two, "b").select("a", "b", "la", "lb", "sa", "sb")
+    return both.mapInArrow(run, "a long, b long, la long, lb long")
 
 
-def components(state: DataFrame, links: DataFrame) -> DataFrame:
-    """state (tid, m, label) and links a, b between tids -> state with merged labels.
+def components(links: DataFrame) -> DataFrame:
+    """Links la, lb between ids -> m, label: the least id of each id's component.
 
-    A label is the id (m) of its class's first text.  Links are first taken to the labels of their
-    ends; labels then travel along them and jump to their own label's label, so rounds grow with
+    Labels travel along the links and then jump to their own label's label, so rounds grow with
     the logarithm of a component's diameter.
     """
-    end = lambda x: state.select(F.col("tid").alias(x), F.col("label").alias(f"l{x}"))
-    ends = links.join(end("a"), "a").join(end("b"), "b").select("la", "lb").filter("la <> lb")
-    both = stored(ends.unionByName(ends.select(F.col("lb").alias("la"), F.col("la").alias("lb"))).distinct())
+    both = stored(links.select("la", "lb").unionByName(links.select(F.col("lb").alias("la"), F.col("la").alias("lb"))).filter("la <> lb").distinct())
     now = both.select(F.col("la").alias("m")).distinct().withColumn("label", F.col("m"))
     while True:
         sent = both.join(now.select(F.col("m").alias("lb"), "label"), "lb").groupBy("la").agg(F.min("label").alias("got"))
@@ -214,12 +212,19 @@ def components(state: DataFrame, links: DataFrame) -> DataFrame:
         step = stored(step.join(top, F.col("new") == F.col("__m")).select("m", "label", F.least("new", "__new").alias("new")))
         now = step.select("m", F.col("new").alias("label"))
         if not step.filter("new < label").limit(1).count():
-            break
-    merged = now.select(F.col("m").alias("label"), F.col("label").alias("to"))
-    return stored(state.join(merged, "label", "left").select("tid", "m", F.coalesce("to", "label").alias("label")))
+            return now
+
 
+def relabelled(buckets: DataFrame, found: DataFrame) -> DataFrame:
+    """Two hops of each label along the links found: enough to leave most linked texts with one
+    label.  What it leaves apart costs repeated tests, not links; ``components`` settles it."""
+    to = found.select(F.col("la").alias("label"), F.col("lb").alias("to")).unionByName(found.select(F.col("lb").alias("label"), F.col("la").alias("to")))
+    to = to.groupBy("label").agg(F.min("to").alias("to")).filter("to < label")
+    hop = to.join(to.select(F.col("label").alias("to"), F.col("to").alias("then")), "to", "left").select("label", F.coalesce("then", "to").alias("to"))
+    return buckets.join(hop, "label", "left").withColumn("label", F.coalesce("to", "label")).drop("to")
 
-def classes(docs: DataFrame, least: float = 0.8, functions: int = 16, length: int = 3) -> DataFrame:
+
+def classes(docs: DataFrame, least: float = 0.8, functions: int = 16, length: int = 3, patience: int = 3) -> DataFrame:
     """doc_id, text -> doc_id, class_id (the class's smallest doc_id), class_size."""
     ids = docs.select("doc_id", "text").withColumn("tid", F.xxhash64("text"))
     texts = ids.filter(F.col("doc_id").isNotNull() & F.col("text").isNotNull())
@@ -234,30 +239,44 @@ def classes(docs: DataFrame, least: float = 0.8, functions: int = 16, length: in
     # Word sequences only of texts in some bucket, from one row each.  The texts of a bucket grow
     # with the input, so this join is a shuffled one at any size.
     seqs = stored(word_sequences(texts.join(chosen.hint("merge"), ["tid", "doc_id"], "left_semi")).groupBy("tid").agg(F.first("seq").alias("seq")))
-    state = wanted.select("tid", "m", F.col("m").alias("label"))
-    tested, turn = None, 0
+    held = buckets.select("key", "tid", "size", F.col("m").alias("label"), F.lit(None).cast("long").alias("mark"), F.lit(0).alias("idle"))
+    links, turn = None, 0
     while True:
-        # The first hub is the bucket's first text; later rounds draw twice as many as the one before.
-        count = max(1, 2 ** (turn - 1)) if turn else 1
-        held = buckets.select("key", "tid", "size").join(state.select("tid", "label"), "tid") if turn else buckets.withColumn("label", F.col("m"))
-        order = lambda i: F.col("m") if turn == 0 else F.xxhash64(F.lit(1000 * turn + i), "key", "tid")  # noqa: B023, E731
-        hubs = held.groupBy("key").agg(*[F.min_by(F.struct("tid", "label", "size"), order(i)).alias(f"h{i}") for i in range(count)])
-        hubs = hubs.select("key", F.array(*[f"h{i}" for i in range(count)]).alias("hubs"))
-        near = held.join(hubs, "key").select("tid", "label", "size", F.explode("hubs").alias("hub"))
-        # Another class, and sizes whose ratio does not rule the similarity out.
-        near = near.filter((F.col("label") != F.col("hub.label")) & (F.least("size", "hub.size") >= least * F.greatest("size", "hub.size")))
-        pairs = near.select(F.least("tid", "hub.tid").alias("a"), F.greatest("tid", "hub.tid").alias("b")).distinct()
-        if tested is not None:
-            pairs = pairs.join(tested, ["a", "b"], "left_anti")
-        pairs = stored(pairs)
-        tested = pairs if tested is None else tested.unionByName(pairs)
+        # The first hub of a bucket is its first text, later ones are drawn by hash.
+        order = F.col("label") if turn == 0 else F.xxhash64(F.lit(turn), "key", "tid")
+        hubs = held.groupBy("key").agg(
+            F.min_by(F.struct("tid", "label", "size"), order).alias("hub"), F.min("label").alias("lo"), F.max("label").alias("hi"),
+            F.bit_xor(F.xxhash64("tid", "label")).alias("now"), F.first("mark").alias("was"), F.first("idle").alias("since"),
+        )
+        # A bucket rests once all its texts have one label, or after rounds that changed none.
+        idle = F.when(F.col("now") == F.col("was"), F.col("since") + 1).otherwise(0)
+        hubs = hubs.filter("lo <> hi").select("key", "hub", F.col("now").alias("mark"), idle.alias("idle")).filter(F.col("idle") < patience)
+        held = stored(held.drop("mark", "idle").join(hubs, "key"))
+        near = held.filter((F.col("label") != F.col("hub.label")) & (F.least("size", "hub.size") >= least * F.greatest("size", "hub.size")))
+        swap = F.col("tid") < F.col("hub.tid")
+        end = lambda x, y: F.when(swap, F.col(x)).otherwise(F.col(y))  # noqa: B023, E731
+        pairs = near.select(end("tid", "hub.tid").alias("a"), end("hub.tid", "tid").alias("b"), end("label", "hub.label").alias("la"), end("hub.label", "label").alias("lb")).distinct()
         found = stored(verified(pairs, seqs, least))
-        any_found = found.limit(1).count()
-        if any_found:
-            state = components(state, found)
-        elif turn:
+        some = found.limit(1).count()
+        if some:
+            links = found if links is None else links.unionByName(found)
+            held = stored(relabelled(held.drop("hub"), found))
+        else:
+            held = held.drop("hub")
+        if turn and not some:
             break
         turn += 1
+    state = wanted.select("tid", "m")
+    if links is None:
+        state = state.withColumn("label", F.col("m"))
+    else:
+        # Labels on links are ids of linked texts or of texts they were linked to before.
+        ends = links.select("la", "lb")
+        for x, l in (("a", "la"), ("b", "lb")):
+            own = links.select(F.col(x).alias("tid"), F.col(l).alias("lb")).join(state, "tid").select(F.col("m").alias("la"), "lb")
+            ends = ends.unionByName(own)
+        merged = components(ends)
+        state = state.join(merged, "m", "left").select("tid", "m", F.coalesce("label", "m").alias("label"))
     # The label is the smallest id over all rows with the same text, and over the linked texts.
     texts_of = who.filter("tid IS NOT NULL AND doc_id IS NOT NULL").groupBy("tid").agg(F.min("doc_id").alias("first"))
     with_words = sk.select(F.col("tid"), F.lit(True).alias("has_words"))
