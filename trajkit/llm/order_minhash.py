@@ -192,6 +192,8 @@ def verified(pairs: DataFrame, seqs: DataFrame, least: float) -> DataFrame:
                     keep.append(r)
             take = pa.array(keep, pa.int32())
             yield pa.RecordBatch.from_arrays([batch.column(i).take(take) for i in range(4)], ["a", "b", "la", "lb"])
+            del batch
+            pa.default_memory_pool().release_unused()
 
     both = pairs.join(one, "a").join(two, "b").select("a", "b", "la", "lb", "sa", "sb")
     return both.mapInArrow(run, "a long, b long, la long, lb long")

@@ -55,6 +55,7 @@ def chunks(column: pa.Array, limit: int = 1 << 20) -> Iterator[tuple[int, int, n
         j = min(n, max(i + 1, j))
         yield i, j, buf[offs[i] : offs[j]], offs[i : j + 1] - offs[i]
         i = j
+    pa.default_memory_pool().release_unused()  # idle workers hold no freed batches
 
 
 def runs(inside: np.ndarray, offs: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
