@@ -48,8 +48,9 @@ def run_rounds(z: DataFrame, cols: list[str], o: RoundOptions = RoundOptions())
     out, pool = Rounds(), z
     left = pool.count()
     for h in range(o.t_max):
-        k = o.k_of(h)
-        if left < k or (o.stop in ("remaining", "both") and left < k * k):
+        k = min(o.k_of(h), left)
+        # The rule on what is left speaks of what earlier rounds have left: one round always runs.
+        if not left or (h and o.stop in ("remaining", "both") and left < k * k):
             break
         start = L.seeds(pool, cols, k, f"{o.seed}|{h}")
         centers = L.lloyd(pool, cols, k, start, o.max_iter, seed=f"{o.seed}|{h}")
