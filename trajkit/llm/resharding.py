@@ -93,7 +93,8 @@ def _keyed(docs: DataFrame, old: Column, blocks: int) -> DataFrame:
 
 
 def with_shards(docs: DataFrame, shards: int = 8, old: Column | None = None, old_count: int = 8, blocks: int = 1024) -> DataFrame:
-    """docs (doc_id, text, what ``old`` reads, any others) plus size, text_crc32, old_shard, shard, slot.
+    """docs (doc_id, text, what ``old`` reads, any others) plus size, text_crc32, old_shard, shard, slot,
+    which replace columns of those names.
 
     ``blocks`` per old shard are fixed, so the driver reads old_count * blocks sums and a few
     cuts.  Decisions are broadcast by block and made row by row; the texts themselves are
@@ -123,25 +124,26 @@ def with_shards(docs: DataFrame, shards: int = 8, old: Column | None = None, old
             found[r["__old"], r["__block"], r["k"]] = r["mix"]
     inner = {(i, b): [found.get((i, b, k), 2**63 - 1) for k in range(len(e))] for i, b, _, e in cut}
     plan = [(i, b, targets[i], sum(e <= o for e in ends[i]), inner.get((i, b), [])) for i, b, o, _ in lines]
-    plan = spark.createDataFrame(plan, "__old int, __block int, targets array<int>, from int, cuts array<long>")
+    plan = spark.createDataFrame(plan, "__old int, __block int, __targets array<int>, __from int, __cuts array<long>")
 
     def placed(df: DataFrame) -> DataFrame:
-        nth = F.col("from") + F.size(F.filter("cuts", lambda c: c <= F.col("__mix")))
-        to = F.element_at("targets", F.least(F.size("targets"), nth + 1))
-        return df.join(F.broadcast(plan), ["__old", "__block"]).withColumn("shard", to).drop("targets", "from", "cuts")
+        nth = F.col("__from") + F.size(F.filter("__cuts", lambda c: c <= F.col("__mix")))
+        to = F.element_at("__targets", F.least(F.size("__targets"), nth + 1))
+        return df.join(F.broadcast(plan), ["__old", "__block"]).withColumn("__shard", to).drop("__targets", "__from", "__cuts")
 
-    counts = placed(base).groupBy("shard", "__block").agg(F.count("*").alias("c")).collect()  # shards * blocks at most
+    counts = placed(base).groupBy("__shard", "__block").agg(F.count("*").alias("c")).collect()  # shards * blocks at most
     first, line = {j: 0 for j in range(shards)}, []
-    for r in sorted(counts, key=lambda r: (r["shard"], r["__block"])):
-        line.append((r["shard"], r["__block"], first[r["shard"]]))
-        first[r["shard"]] += r["c"]
-    begin = spark.createDataFrame(line, "shard int, __block int, first long")
-    number = F.row_number().over(W.partitionBy("shard", "__block").orderBy("__mix", "doc_id", "__size"))
-    out = placed(_keyed(docs, old, blocks)).withColumn("__nth", number).join(F.broadcast(begin), ["shard", "__block"])
-    return out.select(
-        *[F.col(f"`{c}`") for c in docs.columns], F.col("__size").alias("size"), F.col("__crc").alias("text_crc32"), F.col("__old").alias("old_shard"),
-        "shard", (F.col("first") + F.col("__nth") - 1).cast("long").alias("slot"),
-    )
+    for r in sorted(counts, key=lambda r: (r["__shard"], r["__block"])):
+        line.append((r["__shard"], r["__block"], first[r["__shard"]]))
+        first[r["__shard"]] += r["c"]
+    begin = spark.createDataFrame(line, "__shard int, __block int, __first long")
+    number = F.row_number().over(W.partitionBy("__shard", "__block").orderBy("__mix", "doc_id", "__size"))
+    out = placed(_keyed(docs, old, blocks)).withColumn("__nth", number).join(F.broadcast(begin), ["__shard", "__block"])
+    new = {
+        "size": F.col("__size"), "text_crc32": F.col("__crc"), "old_shard": F.col("__old"), "shard": F.col("__shard"),
+        "slot": (F.col("__first") + F.col("__nth") - 1).cast("long"),
+    }
+    return out.select(*[F.col(f"`{c}`") for c in docs.columns if c not in new], *[v.alias(k) for k, v in new.items()])
 
 
 def rewrite(docs: DataFrame, path: str, **options) -> list[int]:
