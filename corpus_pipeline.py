@@ -16,30 +16,27 @@ from trajkit.llm import decontamination, mixing, order_minhash, resharding, toxi
 from trajkit.llm.samples import id_mod
 from trajkit.llm.scratch import stored, table
 
-COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
-
-
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str, least: float = 0.7) -> DataFrame:
     """Fits on the labelled documents of this stage's input and drops those that score ``least``."""
     labels = table(spark, sf_dir, "labels", "doc_id", "toxic").filter(id_mod(3) != 1)
     model = toxicity.fit(docs, labels)
-    return toxicity.keep_below(docs.select(*COLUMNS), model, least)
+    return toxicity.keep_below(docs, model, least)
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return order_minhash.one_of_each(docs.select(*COLUMNS))
+    return order_minhash.one_of_each(docs)
 
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return decontamination.clean(docs.select(*COLUMNS), table(spark, sf_dir, "benchmark", "item_id", "text"))
+    return decontamination.clean(docs, table(spark, sf_dir, "benchmark", "item_id", "text"))
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return mixing.mix(docs.select(*COLUMNS))
+    return mixing.mix(docs)
 
 
 def put_into_shards(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return resharding.with_shards(docs.select(*COLUMNS))
+    return resharding.with_shards(docs)
 
 
 STAGES = [
