@@ -19,7 +19,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from trajkit.operators import lloyd as L
-from trajkit.operators.graphcut import normalized_cut
+from trajkit.operators.graphcut import components, normalized_cut
 from trajkit.sources.shared import materialised
 
 
@@ -104,17 +104,18 @@ def labels_long(scanned: DataFrame, eps: float) -> DataFrame:
     )
 
 
-def gated_pairs(centers: np.ndarray, eps: float, gate: float = 4.0) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Pairs a < b of centres at most gate * eps apart, and their distances."""
+def gated_pairs(centers: np.ndarray, eps: float, gate: float = 4.0, own: bool = False) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Pairs a < b (``own``: a = b too) of centres at most gate * eps apart, and their distances."""
     d = np.sqrt(((centers[:, None] - centers[None]) ** 2).sum(2))
-    a, b = np.nonzero(np.triu(d <= gate * eps, 1))
+    a, b = np.nonzero(np.triu(d <= gate * eps, 0 if own else 1))
     return a, b, d[a, b]
 
 
-def affinity(z: DataFrame, cols: list[str], centers: np.ndarray, eps: float, gate: float = 4.0) -> DataFrame:
+def affinity(z: DataFrame, cols: list[str], centers: np.ndarray, eps: float, gate: float = 4.0, own: bool = False) -> DataFrame:
     """a, b, dist, pop, w: population of the ball at the midpoint over the distance.  Tasks send
-    partial counts of pairs that have any; w is null for centres in one place."""
-    a, b, dist = gated_pairs(centers, eps, gate)
+    partial counts of pairs that have any; w is null for centres in one place.  With ``own`` the
+    rows a = b give the population of each centre's own ball."""
+    a, b, dist = gated_pairs(centers, eps, gate, own)
     names = z.columns
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -140,6 +141,8 @@ def weight_matrix(edges: list, n: int) -> tuple[np.ndarray, np.ndarray]:
     """Symmetric weights and, for each node, the node it is merged into (same place)."""
     w, same = np.zeros((n, n)), np.arange(n)
     for a, b, dist, _, x in edges:
+        if a == b:
+            continue
         if dist == 0:
             same[same == same[b]] = same[a]
         elif x:
@@ -153,14 +156,23 @@ def weight_matrix(edges: list, n: int) -> tuple[np.ndarray, np.ndarray]:
     return w, same
 
 
-def group_nodes(centers: np.ndarray, w: np.ndarray, same: np.ndarray, k: int | None, method: str = "spectral") -> np.ndarray:
-    """A group for each node; nodes without edges join the nearest grouped centre."""
-    tied = np.flatnonzero(w.sum(1) > 0)
+def group_nodes(centers: np.ndarray, w: np.ndarray, same: np.ndarray, k: int | None, method: str = "spectral", mass: np.ndarray | None = None, least_mass: float = 0.02) -> np.ndarray:
+    """A group for each node.  Connected parts whose balls hold less than ``least_mass`` of all
+    (late rounds cluster outliers) join the nearest grouped centre, so that they do not use up a
+    group; a part of one node that holds enough is a group of its own.  Without masses the nodes'
+    edge weights stand for them."""
+    mass = w.sum(1) if mass is None else mass
+    part = components(w)
+    held = np.bincount(part, mass)
+    tied = np.flatnonzero((held > least_mass * held.sum())[part] & (np.arange(len(w)) == same))
     groups = np.full(len(centers), -1)
     if not len(tied):
         groups[:] = np.arange(len(centers)) % max(1, k or 1)
         return groups
-    groups[tied] = normalized_cut(w[np.ix_(tied, tied)], k, method)
+    own = w[np.ix_(tied, tied)].copy()
+    alone = np.flatnonzero(own.sum(1) == 0)
+    own[alone, alone] = 1.0  # a loop makes it a part of its own in the spectrum
+    groups[tied] = normalized_cut(own, k, method)
     for node in np.flatnonzero(groups < 0):
         if groups[same[node]] >= 0:
             groups[node] = groups[same[node]]
@@ -211,9 +223,13 @@ class EnsembleModel:
         z = materialised(z.select("item_id", *cols))
         rounds = run_rounds(z, cols, o)
         centers = np.concatenate(rounds.centers)
-        edges = [tuple(r) for r in affinity(z, cols, centers, o.eps, gate).orderBy("a", "b").collect()]
+        edges = [tuple(r) for r in affinity(z, cols, centers, o.eps, gate, own=True).orderBy("a", "b").collect()]
         w, same = weight_matrix(edges, len(centers))
-        return cls(cols, o, rounds, group_nodes(centers, w, same, classes, method), edges)
+        mass = np.zeros(len(centers))
+        for a, b, _, pop, _ in edges:
+            if a == b:
+                mass[a] = pop
+        return cls(cols, o, rounds, group_nodes(centers, w, same, classes, method, mass), edges)
 
     @property
     def offsets(self) -> list[int]:
