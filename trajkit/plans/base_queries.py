@@ -12,6 +12,7 @@ from trajkit.operators import panel as P
 from trajkit.operators import scaling
 from trajkit.operators.features import FEATURES, FeatureOptions
 from trajkit.plans import sqltext as Q
+from trajkit.sources.shared import materialised
 from trajkit.sources.tables import read_table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -126,7 +127,8 @@ register("features_array", Q.features_sql(PART, 28))(lambda s, d: FT.features_of
 
 def scaled_features(s: SparkSession, d: str, kind: str = "part_quarter", w: int = 28, least: int = 5, **options) -> DataFrame:
     """Eligible items' features, z-scored: item_id and one column a feature."""
-    f = FT.extract_features(P.eligible_panel(panel_of(s, d, kind), w, least), w, FeatureOptions(**options))
+    # Later passes are many and read this table of a few numbers an item, not the log.
+    f = materialised(FT.extract_features(P.eligible_panel(panel_of(s, d, kind), w, least), w, FeatureOptions(**options)))
     return scaling.scaled(f, scaling.fit_zscore(f, FEATURES))
 
 

@@ -13,6 +13,7 @@ from trajkit.plans import sqltext as Q
 from trajkit.plans.base_queries import PART, Z_PART, features_of, panel_of, register, scaled_features, without_self
 from trajkit.plans.rule_queries import DENSE, RULES, SCHEMES, dense_part
 from trajkit.sources import planted as PL
+from trajkit.sources.shared import materialised
 from trajkit.sources.tables import read_table
 
 K, EPS, SEED = 6, 2.0, "0"
@@ -55,7 +56,7 @@ def kmeans_sql(source: str, cols: list[str], k: int, iters: int, seed: str = SEE
 
 def _register_kmeans(name: str, source: str, frame, cols: list[str], k: int, iters: int) -> None:
     def run(s, d):
-        z = frame(s, d)
+        z = materialised(frame(s, d))
         centers = L.seeds(z, cols, k, SEED)
         if iters:
             centers = L.lloyd(z, cols, k, centers, iters, tol=-1.0)
@@ -153,7 +154,7 @@ def rounds_sql(select: str) -> str:
 
 
 def two_rounds(s, d):
-    z = scaled_features(s, d)
+    z = materialised(scaled_features(s, d))
     r = E.run_rounds(z, FEATURES, OPTIONS)
     return z, r, E.scan(z, FEATURES, r, EPS)
 
