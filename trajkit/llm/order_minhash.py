@@ -218,15 +218,14 @@ def components(links: DataFrame) -> DataFrame:
 
 
 def relabelled(buckets: DataFrame, found: DataFrame) -> DataFrame:
-    """Two hops of each label along the links found: enough to leave most linked texts with one
+    """One hop of each label along the links found: enough to leave most linked texts with one
     label.  What it leaves apart costs repeated tests, not links; ``components`` settles it."""
     to = found.select(F.col("la").alias("label"), F.col("lb").alias("to")).unionByName(found.select(F.col("lb").alias("label"), F.col("la").alias("to")))
     to = to.groupBy("label").agg(F.min("to").alias("to")).filter("to < label")
-    hop = to.join(to.select(F.col("label").alias("to"), F.col("to").alias("then")), "to", "left").select("label", F.coalesce("then", "to").alias("to"))
-    return buckets.join(hop, "label", "left").withColumn("label", F.coalesce("to", "label")).drop("to")
+    return buckets.join(to, "label", "left").withColumn("label", F.coalesce("to", "label")).drop("to")
 
 
-def classes(docs: DataFrame, least: float = 0.8, functions: int = 16, length: int = 3, patience: int = 3) -> DataFrame:
+def classes(docs: DataFrame, least: float = 0.8, functions: int = 16, length: int = 3, patience: int = 2, hubs_a_round: int = 3) -> DataFrame:
     """doc_id, text -> doc_id, class_id (the class's smallest doc_id), class_size."""
     ids = docs.select("doc_id", "text").withColumn("tid", F.xxhash64("text"))
     texts = ids.filter(F.col("doc_id").isNotNull() & F.col("text").isNotNull())
@@ -244,17 +243,20 @@ def classes(docs: DataFrame, least: float = 0.8, functions: int = 16, length: in
     held = buckets.select("key", "tid", "size", F.col("m").alias("label"), F.lit(None).cast("long").alias("mark"), F.lit(0).alias("idle"))
     links, turn = None, 0
     while True:
-        # The first hub of a bucket is its first text, later ones are drawn by hash.
-        order = F.col("label") if turn == 0 else F.xxhash64(F.lit(turn), "key", "tid")
+        # The first hub of a bucket is its first text; later rounds draw several by hash.
+        draws = 1 if turn == 0 else hubs_a_round
+        order = lambda i: F.col("label") if turn == 0 else F.xxhash64(F.lit(100 * turn + i), "key", "tid")  # noqa: B023, E731
         hubs = held.groupBy("key").agg(
-            F.min_by(F.struct("tid", "label", "size"), order).alias("hub"), F.min("label").alias("lo"), F.max("label").alias("hi"),
+            *[F.min_by(F.struct("tid", "label", "size"), order(i)).alias(f"h{i}") for i in range(draws)], F.min("label").alias("lo"), F.max("label").alias("hi"),
             F.bit_xor(F.xxhash64("tid", "label")).alias("now"), F.first("mark").alias("was"), F.first("idle").alias("since"),
         )
         # A bucket rests once all its texts have one label, or after rounds that changed none.
         idle = F.when(F.col("now") == F.col("was"), F.col("since") + 1).otherwise(0)
-        hubs = hubs.filter("lo <> hi").select("key", "hub", F.col("now").alias("mark"), idle.alias("idle")).filter(F.col("idle") < patience)
+        drawn = F.array_distinct(F.array(*[f"h{i}" for i in range(draws)]))
+        hubs = hubs.filter("lo <> hi").select("key", drawn.alias("hubs"), F.col("now").alias("mark"), idle.alias("idle")).filter(F.col("idle") < patience)
         held = stored(held.drop("mark", "idle").join(hubs, "key"))
-        near = held.filter((F.col("label") != F.col("hub.label")) & (F.least("size", "hub.size") >= least * F.greatest("size", "hub.size")))
+        near = held.select("tid", "label", "size", F.explode("hubs").alias("hub"))
+        near = near.filter((F.col("label") != F.col("hub.label")) & (F.least("size", "hub.size") >= least * F.greatest("size", "hub.size")))
         swap = F.col("tid") < F.col("hub.tid")
         end = lambda x, y: F.when(swap, F.col(x)).otherwise(F.col(y))  # noqa: B023, E731
         pairs = near.select(end("tid", "hub.tid").alias("a"), end("hub.tid", "tid").alias("b"), end("label", "hub.label").alias("la"), end("hub.label", "label").alias("lb")).distinct()
@@ -262,9 +264,9 @@ def classes(docs: DataFrame, least: float = 0.8, functions: int = 16, length: in
         some = found.limit(1).count()
         if some:
             links = found if links is None else links.unionByName(found)
-            held = stored(relabelled(held.drop("hub"), found))
+            held = stored(relabelled(held.drop("hubs"), found))
         else:
-            held = held.drop("hub")
+            held = held.drop("hubs")
         if turn and not some:
             break
         turn += 1
