@@ -114,7 +114,7 @@ def _anchor_rows(buckets: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             ids = batch.column(0).to_numpy(zero_copy_only=False)
-            for i, _, buf, offs in chunks(batch.column(1), 1 << 22):
+            for i, _, buf, offs in chunks(batch.column(1)):
                 h, c, doc, pos = anchors(buf, offs)
                 if not len(h):
                     continue
