@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .packed import FOLD, chunks, flat, owners, runs
+from .packed import FOLD, chunks, owners, runs
 from .samples import bounded, id_mod
 from .scratch import Shared
 
@@ -150,13 +150,13 @@ def fit(docs: DataFrame, per_language: int = 1500, tasks: int = 8) -> LanguageMo
         script: dict[str, np.ndarray] = {}
         for batch in batches:
             langs = batch.column(0).to_pylist()
-            for i, _, buf, offs in ((a + k, 0, buf[offs[k] : offs[k + 1]], None) for a, b, buf, offs in chunks(batch.column(1)) for k in range(b - a)):
-                low = letters(buf)
-                starts, _ = runs(low != 0x20, np.array([0, len(low)]))
-                lang = langs[i]
-                slots = trigram_slots(low)[low != 0x20]
-                tri.setdefault(lang, np.zeros(BUCKETS, np.int64))[:] += np.bincount(slots, minlength=BUCKETS)
-                script.setdefault(lang, np.zeros(OTHER + 1, np.int64))[:] += np.bincount(word_scripts(low, starts), minlength=OTHER + 1)
+            for i, j, buf, offs in chunks(batch.column(1)):
+                for k in range(j - i):
+                    lang, low = langs[i + k], letters(buf[offs[k] : offs[k + 1]])
+                    starts, _ = runs(low != 0x20, np.array([0, len(low)]))
+                    slots = trigram_slots(low)[low != 0x20]
+                    tri.setdefault(lang, np.zeros(BUCKETS, np.int64))[:] += np.bincount(slots, minlength=BUCKETS)
+                    script.setdefault(lang, np.zeros(OTHER + 1, np.int64))[:] += np.bincount(word_scripts(low, starts), minlength=OTHER + 1)
         rows = [(lang, (at := np.flatnonzero(c)).astype(np.int32).tobytes(), c[at].tobytes(), script[lang].tobytes()) for lang, c in tri.items()]
         yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.string()), *(pa.array([r[j] for r in rows], pa.binary()) for j in (1, 2, 3))], ["lang", "at", "n", "scripts"])
 
