@@ -10,7 +10,6 @@ toxic, contaminated or a near duplicate; it has size 0, so the mix drops it unle
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 from trajkit.llm import decontamination, mixing, order_minhash, resharding, toxicity
 from trajkit.llm.samples import id_mod
