@@ -8,7 +8,6 @@ from itertools import product
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from trajkit.operators.lloyd import sq_dist  # noqa: F401
 from trajkit.sources.shared import materialised
 
 

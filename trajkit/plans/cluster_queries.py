@@ -2,15 +2,13 @@
 
 from __future__ import annotations
 
-from functools import lru_cache
-
 import numpy as np
 from pyspark.sql import functions as F
 
 from trajkit.operators import density, ensemble as E, features as FT, graphcut, lloyd as L, measures as M, panel as P, rules as R, spectral
 from trajkit.operators.features import FEATURES, PEAKS
 from trajkit.plans import sqltext as Q
-from trajkit.plans.base_queries import PART, Z_PART, features_of, panel_of, register, scaled_features, without_self
+from trajkit.plans.base_queries import PART, Z_PART, features_of, panel_of, register, scaled_features
 from trajkit.plans.rule_queries import DENSE, RULES, SCHEMES, dense_part
 from trajkit.sources import planted as PL
 from trajkit.sources.shared import materialised
