@@ -225,7 +225,7 @@ def relabelled(buckets: DataFrame, found: DataFrame) -> DataFrame:
     return buckets.join(to, "label", "left").withColumn("label", F.coalesce("to", "label")).drop("to")
 
 
-def classes(docs: DataFrame, least: float = 0.8, functions: int = 16, length: int = 3, patience: int = 2, hubs_a_round: int = 3) -> DataFrame:
+def classes(docs: DataFrame, least: float = 0.8, functions: int = 16, length: int = 3, patience: int = 2, hubs_a_round: int = 1) -> DataFrame:
     """doc_id, text -> doc_id, class_id (the class's smallest doc_id), class_size."""
     ids = docs.select("doc_id", "text").withColumn("tid", F.xxhash64("text"))
     texts = ids.filter(F.col("doc_id").isNotNull() & F.col("text").isNotNull())
