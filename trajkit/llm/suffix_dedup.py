@@ -147,6 +147,7 @@ def _meet(buckets: int):
     """Anchors of one bucket -> places removed whole (kind 0), contexts to compare (kind 1)."""
 
     def run(group: pa.Table) -> pa.Table:
+        pa.default_memory_pool().release_unused()  # of the group before
         packs = [x for x in group.column("anchors").to_pylist() if x]
         full = [_unpack(x, PLACE) for x in group.column("known").to_pylist() if x]
         need = np.zeros(0, np.dtype([*PLACE.descr, ("h", "<u8")]))
@@ -203,6 +204,7 @@ def _contexts(buckets: int):
     kind = np.dtype([*PLACE.descr, ("h", "<u8")])
 
     def run(docs: pa.Table, places: pa.Table) -> pa.Table:
+        pa.default_memory_pool().release_unused()
         p, where = _doc_places(places.column("places").to_pylist(), kind)
         codec = pa.Codec("zstd")
         out: dict[int, list] = {}
@@ -396,6 +398,7 @@ def _cut(keep_text: bool):
     """Documents and all removed places of one bucket -> results."""
 
     def run(docs: pa.Table, places: pa.Table) -> pa.Table:
+        pa.default_memory_pool().release_unused()
         kinds = places.column("kind").to_pylist()
         packs = places.column("places").to_pylist()
         whole, at_whole = _doc_places([x for x, k in zip(packs, kinds) if k == 0], PLACE)
