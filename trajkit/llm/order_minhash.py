@@ -274,12 +274,8 @@ def classes(docs: DataFrame, least: float = 0.8, functions: int = 16, length: in
     if links is None:
         state = state.withColumn("label", F.col("m"))
     else:
-        # Labels on links are ids of linked texts or of texts they were linked to before.
-        ends = links.select("la", "lb")
-        for x, l in (("a", "la"), ("b", "lb")):
-            own = links.select(F.col(x).alias("tid"), F.col(l).alias("lb")).join(state, "tid").select(F.col("m").alias("la"), "lb")
-            ends = ends.unionByName(own)
-        merged = components(ends)
+        # A text's label on a link was reached from its own id along labels of earlier links.
+        merged = components(links.select("la", "lb"))
         state = state.join(merged, "m", "left").select("tid", "m", F.coalesce("label", "m").alias("label"))
     # The label is the smallest id over all rows with the same text, and over the linked texts.
     texts_of = who.filter("tid IS NOT NULL AND doc_id IS NOT NULL").groupBy("tid").agg(F.min("doc_id").alias("first"))
