@@ -441,6 +441,34 @@ def test_chains_and_hot_groups(spark):
     assert all(got[i] == (1000, 200) for i in (*range(1000, 1150), *range(5000, 5050))) and got[9000] == (9000, 1)
 
 
+def sharing_one_key(rng, first, count):
+    """Unlike texts around one passage that one sketch of one k-mer puts into one bucket, and a near copy of the last."""
+    while True:
+        passage = [f"p{i}" for i in rng.integers(0, 10**6, 25)]
+        made = [[*(f"w{i}" for i in rng.integers(0, 10**6, 20)), *passage] for _ in range(4 * count)]
+        made.append([*made[-1][:-1], "changed"])
+        key = [order_minhash.sketches(*order_minhash.labelled_kmers(*order_minhash.word_hashes(b, np.array([0, len(b)]))), 1, 1)[0, 0] for b in (np.frombuffer(" ".join(w).encode(), np.uint8) for w in made)]
+        alike = [w for w, k in zip(made, key) if k == key[-1]]
+        if key[-2] == key[-1] and len(alike) >= count:
+            return [(first + i, " ".join(w)) for i, w in enumerate(alike[-count:])]
+
+
+def plain_classes(rows, same):
+    out = {d: d for d, _ in rows}
+    for a, b in same:
+        out[b] = a
+    return out
+
+
+@pytest.mark.parametrize("tile", [4, 256])
+def test_pairs_of_a_large_bucket_without_similar_hubs(spark, monkeypatch, tile):
+    monkeypatch.setattr(order_minhash.possible, "__defaults__", (tile,))
+    rows = sharing_one_key(np.random.default_rng(5), 0, 60)
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    got = {r.doc_id: r.class_id for r in order_minhash.classes(df, functions=1, length=1).collect()}
+    assert got == plain_classes(rows, [(58, 59)])
+
+
 # ---- shared pieces ----------------------------------------------------------------------------------
 
 

@@ -8,10 +8,13 @@ verified by aligning the two k-mer sequences inside the band that the similarity
 L k-mers aligned in order out of a and b, the similarity is L / (a + b - L).  Links of 0.8 or more
 join documents into classes; a class is named by its smallest doc_id.
 
-Candidates are not all pairs of a bucket.  In each round every bucket compares its members with
-a hub of another class; classes are merged along the links found, and further rounds draw other
-hubs for the buckets that still hold several classes and in which something changed within the last
-``patience`` rounds, until a round finds no link.
+Most pairs of a bucket need no test.  In each round every bucket compares its members with a hub
+of another class; classes are merged along the links found, and further rounds draw other hubs for
+the buckets that still hold several classes and in which something changed within the last
+``patience`` rounds, until a round finds no link.  Then all buckets that still hold several classes
+are finished: every pair of members of different classes is tested that passes two bounds (sizes,
+and counts of k-mers by hash) which no similar pair fails.  The rounds decide how much is left to
+the finish, not which links are found.
 
 Edge cases: texts without words (null, empty, punctuation) are alone in their class; rows without
 doc_id take no part and get a null class; repeated rows share a class; an empty table gives an
@@ -28,10 +31,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .packed import FOLD, chunks, mixed, runs, span_hashes
+from .packed import FOLD, chunks, flat, mixed, runs, span_hashes
 from .scratch import stored, table
 
 K = 5
+BINS = 256  # k-mers are counted by hash in so many bins, for a bound on what two texts share
+TILE = 256  # members of a bucket that one step of the finish compares with as many others
 _rng = np.random.default_rng(20240301)
 MULT = _rng.integers(0, 2**63, 64, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 MASK = _rng.integers(0, 2**63, 64, dtype=np.uint64)
@@ -171,6 +176,107 @@ def word_sequences(texts: DataFrame) -> DataFrame:
     return texts.select("tid", "text").mapInArrow(run, "tid long, seq binary")
 
 
+def bin_counts(seqs: DataFrame) -> DataFrame:
+    """tid, seq -> tid, bins: k-mers counted by hash, one byte a bin (255: that many or more)."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for i, j, buf, offs in chunks(batch.column(1)):
+                kmers, begin = labelled_kmers(np.frombuffer(buf.tobytes(), np.uint32), offs // 4)
+                at = np.repeat(np.arange(j - i), np.diff(begin)) * BINS + (kmers >> np.uint64(56)).astype(np.int64)
+                bins = np.minimum(np.bincount(at, minlength=(j - i) * BINS), 255).astype(np.uint8).reshape(-1, BINS)
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(i, j - i), pa.array([b.tobytes() for b in bins], pa.binary())], ["tid", "bins"])
+
+    return seqs.select("tid", "seq").mapInArrow(run, "tid long, bins binary")
+
+
+STEP = ["key", "c", "kind", "lo", "hi"]
+
+
+def steps(held: DataFrame, least: float, tile: int = TILE) -> DataFrame:
+    """key, tid, ... -> the same rows once for each step of the finish they take part in.
+
+    A bucket of up to ``tile`` members is one step (kind 0).  Larger ones are cut into classes of
+    size, of which only equal and neighbouring ones can hold similar texts, and these by hash into
+    tiles; kind 1 compares tiles lo and hi of class c, kind 2 tile lo of c with hi of c - 1.
+    """
+    held = held.withColumn("c", F.floor(F.log(F.col("size") + 0.5) / F.log(F.lit(1 / least))).cast("int"))
+    n = held.groupBy("key", "c").agg(F.count("*").alias("n"))
+    n = n.groupBy("key").agg(F.sum("n").alias("n"), F.map_from_entries(F.collect_list(F.struct("c", F.ceil(F.col("n") / tile).cast("int").alias("g")))).alias("tiles"))
+    held = held.join(n, "key")
+    of = lambda c: F.coalesce(F.try_element_at("tiles", c), F.lit(0))
+    own = F.pmod(F.xxhash64(F.lit(17), "tid"), of(F.col("c"))).cast("int")
+    step = lambda c, kind, lo, hi, side: F.struct(c.alias("c"), F.lit(kind).alias("kind"), lo.alias("lo"), hi.alias("hi"), side.alias("side"))
+    each = lambda c, f: F.when(of(c) > 0, F.transform(F.sequence(F.lit(0), of(c) - 1), f)).otherwise(F.array())
+    c, zero, one = F.col("c"), F.lit(0), F.lit(1)
+    large = F.concat(
+        each(c, lambda j: step(c, 1, F.least(F.col("own"), j), F.greatest(F.col("own"), j), F.when(j < F.col("own"), one).otherwise(zero))),
+        each(c - 1, lambda j: step(c, 2, F.col("own"), j, zero)),
+        each(c + 1, lambda j: step(c + 1, 2, j, F.col("own"), one)),
+    )
+    small = F.array(step(zero, 0, zero, zero, zero))
+    held = held.withColumn("own", own).withColumn("step", F.explode(F.when(F.col("n") <= tile, small).otherwise(large)))
+    return held.drop("c", "n", "tiles", "own").select("*", "step.*").drop("step")
+
+
+def possible(held: DataFrame, sk: DataFrame, seqs: DataFrame, least: float, tile: int = TILE) -> DataFrame:
+    """key, tid, size, label -> a, b, la, lb: all pairs of a bucket's members with different labels
+    that can be similar enough, each from the first bucket that the two share.
+
+    With L k-mers in common the bins of texts of a and b k-mers differ by a + b - 2 L at least, and
+    similar texts have L >= least * (a + b) / (1 + least)."""
+    more = sk.select("tid", "keys").join(bin_counts(seqs), "tid")
+    rows = steps(held.select("key", "tid", "size", "label"), least, tile).join(more.hint("merge"), "tid")
+    rows = rows.select(*STEP, "side", "tid", "size", "label", "keys", "bins").repartition(*STEP).sortWithinPartitions(*STEP)
+    apart = (1 - least) / (1 + least)
+
+    def pairs(t: pa.Table) -> pa.RecordBatch:
+        col = {x: t.column(x).to_numpy() for x in (*STEP, "side", "tid", "size", "label")}
+        keys = t.column("keys").combine_chunks().flatten().to_numpy().reshape(t.num_rows, -1)
+        bins = flat(t.column("bins").combine_chunks())[0].reshape(-1, BINS).astype(np.int16)
+        new = np.zeros(t.num_rows, bool)
+        new[0] = True
+        for x in STEP:
+            new[1:] |= col[x][1:] != col[x][:-1]
+        heads = np.append(np.flatnonzero(new), t.num_rows)
+        tid, size, label, side = col["tid"], col["size"], col["label"], col["side"]
+        out = [np.zeros((2, 0), np.int64)]
+        for i, j in zip(heads[:-1].tolist(), heads[1:].tolist()):
+            same = col["kind"][i] == 0 or (col["kind"][i] == 1 and col["lo"][i] == col["hi"][i])
+            one = np.arange(i, j) if same else i + np.flatnonzero(side[i:j] == 0)
+            two = one if same else i + np.flatnonzero(side[i:j] == 1)
+            for k, x in enumerate(one.tolist()):
+                ys = two[k + 1 :] if same else two
+                ys = ys[(label[ys] != label[x]) & (np.minimum(size[ys], size[x]) >= least * np.maximum(size[ys], size[x]))]
+                if len(ys):
+                    ys = ys[np.abs(bins[ys] - bins[x]).sum(1) <= apart * (size[ys] + size[x]) + 1e-6]
+                if len(ys):
+                    ys = ys[keys[x][(keys[ys] == keys[x]).argmax(1)] == col["key"][i]]
+                    out.append(np.stack([np.full(len(ys), x), ys]))
+        x, y = np.concatenate(out, 1)
+        x, y = np.where(tid[x] < tid[y], x, y), np.where(tid[x] < tid[y], y, x)
+        return pa.RecordBatch.from_arrays([pa.array(v) for v in (tid[x], tid[y], label[x], label[y])], ["a", "b", "la", "lb"])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        kept: list[pa.RecordBatch] = []  # the step that the next batch may go on with
+        for batch in batches:
+            t = pa.Table.from_batches([*kept, batch])
+            at, last = t.num_rows, t.slice(t.num_rows - 1, 1).select(STEP).to_pylist()[0]
+            open_ = np.ones(at, bool)
+            for x in STEP:
+                open_ &= t.column(x).to_numpy() == last[x]
+            at = int(open_.argmax()) if at else 0
+            kept = t.slice(at).to_batches()
+            if at:
+                yield pairs(t.slice(0, at))
+            del t, batch
+            pa.default_memory_pool().release_unused()
+        if kept:
+            yield pairs(pa.Table.from_batches(kept))
+
+    return rows.mapInArrow(run, "a long, b long, la long, lb long")
+
+
 def verified(pairs: DataFrame, seqs: DataFrame, least: float) -> DataFrame:
     """a, b, la, lb -> those of the pairs that are similar enough."""
     one = seqs.select(F.col("tid").alias("a"), F.col("seq").alias("sa"))
@@ -225,6 +331,14 @@ def relabelled(buckets: DataFrame, found: DataFrame) -> DataFrame:
     return buckets.join(to, "label", "left").withColumn("label", F.coalesce("to", "label")).drop("to")
 
 
+def joined(state: DataFrame, links: DataFrame | None) -> DataFrame:
+    """tid, m, label -> the same with the labels that ``links`` between labels lead to."""
+    if links is None:
+        return state
+    to = components(links.select("la", "lb")).select(F.col("m").alias("label"), F.col("label").alias("to"))
+    return stored(state.join(to, "label", "left").select("tid", "m", F.coalesce("to", "label").alias("label")))
+
+
 def classes(docs: DataFrame, least: float = 0.8, functions: int = 16, length: int = 3, patience: int = 2, hubs_a_round: int = 1) -> DataFrame:
     """doc_id, text -> doc_id, class_id (the class's smallest doc_id), class_size."""
     ids = docs.select("doc_id", "text").withColumn("tid", F.xxhash64("text"))
@@ -241,7 +355,7 @@ def classes(docs: DataFrame, least: float = 0.8, functions: int = 16, length: in
     # with the input, so this join is a shuffled one at any size.
     seqs = stored(word_sequences(texts.join(chosen.hint("merge"), ["tid", "doc_id"], "left_semi")).groupBy("tid").agg(F.first("seq").alias("seq")))
     held = buckets.select("key", "tid", "size", F.col("m").alias("label"), F.lit(None).cast("long").alias("mark"), F.lit(0).alias("idle"))
-    links, turn = None, 0
+    links, turn, heard = None, 0, None
     while True:
         # The first hub of a bucket is its first text; later rounds draw several by hash.
         draws = 1 if turn == 0 else hubs_a_round
@@ -255,6 +369,9 @@ def classes(docs: DataFrame, least: float = 0.8, functions: int = 16, length: in
         drawn = F.array_distinct(F.array(*[f"h{i}" for i in range(draws)]))
         hubs = hubs.filter("lo <> hi").select("key", drawn.alias("hubs"), F.col("now").alias("mark"), idle.alias("idle")).filter(F.col("idle") < patience)
         held = stored(held.drop("mark", "idle").join(hubs, "key"))
+        # A hub meets all members of its bucket in its round, so the finish can leave it out.
+        met = held.filter(F.exists("hubs", lambda h: h["tid"] == F.col("tid"))).select("key", "tid")
+        heard = met if heard is None else heard.unionByName(met)
         near = held.select("tid", "label", "size", F.explode("hubs").alias("hub"))
         near = near.filter((F.col("label") != F.col("hub.label")) & (F.least("size", "hub.size") >= least * F.greatest("size", "hub.size")))
         swap = F.col("tid") < F.col("hub.tid")
@@ -270,13 +387,14 @@ def classes(docs: DataFrame, least: float = 0.8, functions: int = 16, length: in
         if turn and not some:
             break
         turn += 1
-    state = wanted.select("tid", "m")
-    if links is None:
-        state = state.withColumn("label", F.col("m"))
-    else:
-        # A text's label on a link was reached from its own id along labels of earlier links.
-        merged = components(links.select("la", "lb"))
-        state = state.join(merged, "m", "left").select("tid", "m", F.coalesce("label", "m").alias("label"))
+    # A text's label on a link was reached from its own id along labels of earlier links.
+    state = joined(wanted.select("tid", "m", F.col("m").alias("label")), links)
+    left = buckets.select("key", "tid", "size").join(heard, ["key", "tid"], "left_anti").join(state.select("tid", "label"), "tid")
+    several = left.groupBy("key").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).filter("lo <> hi").select("key")
+    left = stored(left.join(several, "key"))
+    found = stored(verified(possible(left, sk, seqs, least), seqs, least))
+    if found.limit(1).count():
+        state = joined(state, found)
     # The label is the smallest id over all rows with the same text, and over the linked texts.
     texts_of = who.filter("tid IS NOT NULL AND doc_id IS NOT NULL").groupBy("tid").agg(F.min("doc_id").alias("first"))
     with_words = sk.select(F.col("tid"), F.lit(True).alias("has_words"))
