@@ -469,6 +469,15 @@ def test_pairs_of_a_large_bucket_without_similar_hubs(spark, monkeypatch, tile):
     assert got == plain_classes(rows, [(58, 59)])
 
 
+def test_small_buckets_do_not_hang_on_links_elsewhere(spark):
+    """Many buckets of one text and two near copies, first and later hubs unlike them at times."""
+    rng = np.random.default_rng(6)
+    rows = [r for i in range(16) for r in sharing_one_key(rng, 10 * i, 3)]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    got = {r.doc_id: r.class_id for r in order_minhash.classes(df, functions=1, length=1).collect()}
+    assert got == plain_classes(rows, [(10 * i + 1, 10 * i + 2) for i in range(16)])
+
+
 # ---- shared pieces ----------------------------------------------------------------------------------
 
 

@@ -364,10 +364,12 @@ def classes(docs: DataFrame, least: float = 0.8, functions: int = 16, length: in
             *[F.min_by(F.struct("tid", "label", "size"), order(i)).alias(f"h{i}") for i in range(draws)], F.min("label").alias("lo"), F.max("label").alias("hi"),
             F.bit_xor(F.xxhash64("tid", "label")).alias("now"), F.first("mark").alias("was"), F.first("idle").alias("since"),
         )
-        # A bucket rests once all its texts have one label, or after rounds that changed none.
+        # A bucket rests once all its texts have one label, or after rounds that changed none; the
+        # mark is that of the texts which stay when the hubs have met all others and go.
         idle = F.when(F.col("now") == F.col("was"), F.col("since") + 1).otherwise(0)
         drawn = F.array_distinct(F.array(*[f"h{i}" for i in range(draws)]))
-        hubs = hubs.filter("lo <> hi").select("key", drawn.alias("hubs"), F.col("now").alias("mark"), idle.alias("idle")).filter(F.col("idle") < patience)
+        gone = F.aggregate(drawn, F.col("now"), lambda x, h: x.bitwiseXOR(F.xxhash64(h["tid"], h["label"])))
+        hubs = hubs.filter("lo <> hi").select("key", drawn.alias("hubs"), gone.alias("mark"), idle.alias("idle")).filter(F.col("idle") < patience)
         held = stored(held.drop("mark", "idle").join(hubs, "key"))
         # A hub meets all members of its bucket in its round, so the finish can leave it out.
         met = held.filter(F.exists("hubs", lambda h: h["tid"] == F.col("tid"))).select("key", "tid")
@@ -379,13 +381,13 @@ def classes(docs: DataFrame, least: float = 0.8, functions: int = 16, length: in
         pairs = near.select(end("tid", "hub.tid").alias("a"), end("hub.tid", "tid").alias("b"), end("label", "hub.label").alias("la"), end("hub.label", "label").alias("lb")).distinct()
         found = stored(verified(pairs, seqs, least))
         some = found.limit(1).count()
-        if some:
-            links = found if links is None else links.unionByName(found)
-            held = stored(relabelled(held.drop("hubs"), found))
-        else:
-            held = held.drop("hubs")
+        # The finish takes every bucket from here, so where the rounds stop decides no link.
         if turn and not some:
             break
+        held = held.filter(~F.exists("hubs", lambda h: h["tid"] == F.col("tid"))).drop("hubs")
+        if some:
+            links = found if links is None else links.unionByName(found)
+            held = stored(relabelled(held, found))
         turn += 1
     # A text's label on a link was reached from its own id along labels of earlier links.
     state = joined(wanted.select("tid", "m", F.col("m").alias("label")), links)
