@@ -134,6 +134,17 @@ def test_repeated_strings_with_partial_overlaps(spark, block, monkeypatch):
     assert all(len(r.kept) == r.n_bytes - r.n_removed for r in rows)
 
 
+def test_last_window_of_a_block_before_shorter_suffixes(spark):
+    """The repeated window sorts last of the whole ones, and its own end sorts after it."""
+    window = b"y" + bytes(np.random.default_rng(8).integers(97, 110, 98).tolist()) + b"z"
+    meta = np.array([[1, 0, 0, 100], [2, 0, 0, 100]], np.int64)
+    block = suffix_dedup.Block(meta, np.frombuffer(window * 2, np.uint8), np.array([0, 100]))
+    assert np.concatenate(block.removed).tolist() == [[2, 0]] and block.doc.tolist() == [1]
+    docs = {1: window.decode(), 2: window.decode()}
+    rows = suffix_dedup.dedup(spark.createDataFrame(list(docs.items()), "doc_id long, text string"), buckets=2).collect()
+    assert {r.doc_id: (r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for r in rows} == plain_dedup(docs)
+
+
 # ---- prediction by partial matching -------------------------------------------------------------
 
 

@@ -322,7 +322,7 @@ class Block:
         if not len(idx):
             self.keys, self.doc, self.pos = np.zeros(0, f"S{SPAN}"), np.zeros(0, np.int64), np.zeros(0, np.int64)
             return
-        low = np.minimum.reduceat(lcp, np.concatenate([[0], idx[:-1] + 1]))
+        low = np.minimum.reduceat(lcp[: idx[-1] + 1], np.concatenate([[0], idx[:-1] + 1]))
         new = low < SPAN
         new[0] = True
         group = np.cumsum(new) - 1
