@@ -307,6 +307,15 @@ def test_thresholds_follow_counts_and_length():
     assert t[0] >= 0.01 and t[4] < 0.01
 
 
+def test_values_after_names(spark):
+    """Random values joined to a name, or to each other, by an equals sign."""
+    key = "q7RkX0vZpT2mWb9sLhYcE4uJd8NfGa1iOx5KoVtM"
+    text = f"é AWS_SECRET_ACCESS_KEY={key} ?auth={key}==&sig=x {key}={key}= ===================="
+    got = secrets.scan(spark.createDataFrame([(1, text)], "doc_id long, text string")).first().spans
+    want = [m.span() for m in re.finditer(f"{key}==(?=&)|{key}=(?= )|{key}", text)]
+    assert [(s.start, s.end) for s in got if s.kind == 3] == want and len(want) == 4
+
+
 # ---- decontamination --------------------------------------------------------------------------------
 
 

@@ -1,7 +1,8 @@
 """Secret scanning with a battery of randomness tests.
 
 Three base patterns (assignments, access key ids, long hexadecimal runs) are always reported.
-Beside them every run of encoding characters of 20 or more is a candidate.  Its encoding is
+Beside them every run of encoding characters of 20 or more is a candidate; runs are split at each
+``=`` but padding at their end, so a name and its value are judged apart.  A candidate's encoding is
 inferred from its characters (decimal, hexadecimal, base32, base64); under the hypothesis that it
 was drawn at random from that alphabet, three tests each give a p-value: chi-squared uniformity of
 the alphabet (cells pooled to the length), runs above and below the alphabet's middle, and serial
@@ -121,6 +122,15 @@ def candidate(text: bytes, a: int, b: int) -> float | None:
     return battery(*found) if found else None
 
 
+def parts(text: bytes, a: int, b: int) -> Iterator[tuple[int, int]]:
+    """A run split at every "=" that is not padding at its end; the last part keeps the padding."""
+    end = a + len(text[a:b].rstrip(b"="))
+    while (cut := text.find(b"=", a, end)) >= 0:
+        yield a, cut
+        a = cut + 1
+    yield a, b
+
+
 def base_spans(text: bytes, hexes: list[tuple[int, int]], keyword: bool, akia: bool) -> list[tuple[int, int, int]]:
     """(start, end, kind number) in bytes."""
     out = [(a, b, 2) for a, b in hexes]
@@ -154,7 +164,8 @@ def _scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                     continue
                 text = data[a:b]
                 spans = base_spans(text, [(int(x) - a, int(y) - a) for x, y in zip(hs[hi[k] : hi[k + 1]], he[hi[k] : hi[k + 1]])], *has)
-                tests = [(int(x) - a, int(y) - a, p) for x, y in zip(cs[ci[k] : ci[k + 1]], ce[ci[k] : ci[k + 1]]) if (p := candidate(data, int(x), int(y))) is not None]
+                runs_ = zip(cs[ci[k] : ci[k + 1]].tolist(), ce[ci[k] : ci[k + 1]].tolist())
+                tests = [(x - a, y - a, p) for run in runs_ for x, y in parts(data, *run) if (p := candidate(data, x, y)) is not None]
                 at = None
                 if not text.isascii():
                     at = np.concatenate([[0], np.cumsum((buf[a:b] & 0xC0) != 0x80)])
