@@ -30,13 +30,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .packed import chunks, runs
+from .packed import FOLD, chunks, runs
 from .scratch import stored, table
 
 # The base patterns.
 ASSIGN = re.compile(rb"""(?i:password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""")
 ACCESS = re.compile(rb"AKIA[A-Z0-9]+")
-KEYWORDS = re.compile(rb"(?i:passw(?:or)?d|secret|token|api_?key)")
+NAMED = (b"passw", b"secret", b"token", b"api")  # every assignment has one of these, folded
 LEAST = {"assign": 6, "access": 20, "hex": 24}
 KINDS = ("assign", "access", "hex", "random")
 MIN_RUN = 20
@@ -141,6 +141,20 @@ def base_spans(text: bytes, hexes: list[tuple[int, int]], keyword: bool, akia: b
     return out
 
 
+def places(data: bytes, words: tuple[bytes, ...]) -> np.ndarray:
+    """Starts of all occurrences of the words, overlapping ones too, in order.
+
+    Texts lie end to end in ``data``; an occurrence across a border must not hide one behind it.
+    It makes only its document be searched in vain."""
+    out = []
+    for w in words:
+        at = data.find(w)
+        while at >= 0:
+            out.append(at)
+            at = data.find(w, at + 1)
+    return np.sort(np.array(out, np.int64))
+
+
 def _scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """doc_id, text -> doc_id, base spans and candidates (code points)."""
     for batch in batches:
@@ -154,8 +168,7 @@ def _scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             cs, ce = cs[long], ce[long]
             hi, ci = np.searchsorted(hs, offs), np.searchsorted(cs, offs)
             data = buf.tobytes()
-            keys = np.array([m.start() for m in KEYWORDS.finditer(data)], np.int64)
-            aks = np.array([m.start() for m in re.finditer(rb"AKIA", data)], np.int64)
+            keys, aks = places(FOLD[buf].tobytes(), NAMED), places(data, (b"AKIA",))
             ki, ai = np.searchsorted(keys, offs), np.searchsorted(aks, offs)
             for k, (a, b) in enumerate(zip(offs[:-1].tolist(), offs[1:].tolist())):
                 has = ki[k] < ki[k + 1], ai[k] < ai[k + 1]
