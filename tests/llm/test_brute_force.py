@@ -9,6 +9,7 @@ from zlib import crc32
 
 import numpy as np
 import pytest
+from pyspark.sql.functions import col as spark_col
 
 from trajkit.llm import decontamination, language, mixing, order_minhash, packed, ppm, resharding, samples, secrets, suffix_dedup, topk, toxicity
 from trajkit.llm.queries import QUERIES
@@ -148,49 +149,59 @@ def test_last_window_of_a_block_before_shorter_suffixes(spark):
 # ---- prediction by partial matching -------------------------------------------------------------
 
 
+def adaptive_of(texts):
+    """The model that has learnt the given texts."""
+    model = ppm.Adaptive()
+    for x in texts:
+        ctx = (0,) * ppm.ORDER
+        for s in [*(c + 1 for c in (x or "").encode().lower()), 0]:
+            model.learn(ctx, s)
+            ctx = (*ctx, s)[-ppm.ORDER :]
+    return model
+
+
 def test_tables_agree_with_dictionaries(spark, texts):
-    docs = spark.read.parquet(f"{SMALL}/documents.parquet")
     rows = {r.doc_id: r for r in QUERIES["op4_ppm_score"](spark, SMALL).collect()}
-    plain, words, ends = ppm.Adaptive(), Counter(), 0
-    for d, x in texts.items():
-        if crc32(str(d).encode()) % 7 != 2:
-            b = (x or "").encode().lower()
-            words.update(b.split())
-            ends += 1
-            ctx = (0,) * ppm.ORDER
-            for s in [*(c + 1 for c in b), 0]:
-                plain.learn(ctx, s)
-                ctx = (*ctx, s)[-ppm.ORDER :]
+    trained = [x for d, x in texts.items() if crc32(str(d).encode()) % 7 != 2]
+    plain, words, ends = adaptive_of(trained), Counter(w for x in trained for w in (x or "").encode().lower().split()), len(trained)
     total, distinct = sum(words.values()) + ends, len(words) + 1
-    assert len(rows) == docs.count()
+    assert len(rows) == len(texts)
     for d in sorted(texts)[:40]:
         ws = (texts[d] or "").encode().lower().split()
         base = sum(math.log10((words[w] + 1) / (total + distinct + 1)) for w in ws) + math.log10((ends + 1) / (total + distinct + 1))
         r = rows[d]
         assert (r.n_tokens, r.n_known, r.train_tokens) == (len(ws) + 1, sum(w in words for w in ws) + 1, total)
         assert math.isclose(r.base_score, base, rel_tol=1e-9)
-        assert math.isclose(r.score, plain.score(texts[d], learn=False), rel_tol=1e-6)
-
-
-def test_probabilities_sum_to_one_and_pruning_keeps_sets_nested():
-    model = ppm.Adaptive()
-    text = b"abracadabra arbadacarba abra"
-    counts = [Counter() for _ in range(ppm.ORDER + 1)]
-    ctx = (0,) * ppm.ORDER
-    for s in [*(c + 1 for c in text), 0]:
-        model.learn(ctx, s)
-        for o in range(ppm.ORDER + 1):
-            counts[o][sum(x << ppm.BITS * (o - i) for i, x in enumerate((*ctx[len(ctx) - o :], s)))] += 1
-        ctx = (*ctx, s)[-ppm.ORDER :]
-    for least in (1, 2):
-        arrays = [(np.array(sorted(k for k, n in c.items() if n >= least), np.uint64), np.array([c[k] for k in sorted(c) if c[k] >= least])) for c in counts]
-        trie = ppm.Trie(arrays)
-        for c in ((0,) * ppm.ORDER, tuple(x + 1 for x in b"bracadabra"[-ppm.ORDER :]), (200,) * ppm.ORDER):
-            head = sum(x << ppm.BITS * (ppm.ORDER - i) for i, x in enumerate(c))
-            p = np.exp(trie.log_p(np.array([head | s for s in range(ppm.SYMBOLS)], np.uint64)))
-            assert math.isclose(p.sum(), 1.0, rel_tol=1e-9)
-            if least == 1:
-                assert np.allclose(np.log(p), [model.log_p(c, s) for s in range(ppm.SYMBOLS)])
+        assert math.isclose(r.score, plain.score(texts[d], learn=False), rel_tol=1e-9)
+
+
+@pytest.mark.parametrize("cached", [0, 300])
+def test_what_the_cache_holds_changes_no_score(spark, texts, cached):
+    """Nearly all grams and words by the join: the scores are those of the whole trie."""
+    docs = spark.createDataFrame([(d, x) for d, x in texts.items()], "doc_id long, text string")
+    model = ppm.fit(docs.withColumn("train", samples.id_mod(7) != 2), cached=cached, max_words=cached // 10)
+    got = {r.doc_id: r for r in ppm.score(docs, model).collect()}
+    want = {r.doc_id: r for r in QUERIES["op4_ppm_score"](spark, SMALL).collect()}
+    assert len(model.cache.grams.keys) <= max(256, 4 * cached) and set(got) == set(want)
+    for d, r in got.items():
+        w = want[d]
+        assert (r.n_tokens, r.n_known) == (w.n_tokens, w.n_known) and np.allclose([r.base_score, r.score], [w.base_score, w.score], rtol=1e-9)
+
+
+def test_probabilities_sum_to_one(spark):
+    texts = ["abracadabra arbadacarba abra", "abra cad", ""]
+    model = adaptive_of(texts)
+    docs = spark.createDataFrame([(x, True) for x in texts], "text string, train boolean")
+    trie = ppm.Contexts(ppm.count_tables(docs).filter("kind = 1").select("key", spark_col("n").alias("c")))
+    contexts = [(0,) * ppm.ORDER, tuple(x + 1 for x in b"bracadabra"[-ppm.ORDER :]), (200,) * ppm.ORDER, tuple(x + 1 for x in b"zzabr")]
+    keys = {sum(x << ppm.BITS * (ppm.ORDER - i) for i, x in enumerate(c)) | s: (c, s) for c in contexts for s in range(ppm.SYMBOLS)}
+    counts = {r.key: r.n for r in ppm.count_tables(docs).filter("kind = 1").collect()}
+    # The window over a context's grams must see all of its training grams, as it does in ``fit``.
+    rows = [(k, counts.get(k, 0), 1) for k in {*keys, *counts}]
+    got = {r.key: r.value for r in trie.log_p(spark.createDataFrame(rows, "key long, n long, m long")).collect()}
+    assert all(math.isclose(got[k] * ppm.LOG10, model.log_p(c, s), rel_tol=1e-9) for k, (c, s) in keys.items())
+    for c in contexts:
+        assert math.isclose(sum(10 ** got[k] for k, x in keys.items() if x[0] == c), 1.0, rel_tol=1e-9)
 
 
 def test_slots():

@@ -7,14 +7,16 @@ as the escape's count.  Symbols seen in the longer context are excluded in the s
 text's score is the log10 probability of its bytes (A-Z folded) and its end.
 
 Every symbol seen after a context was also seen after each shorter one, so an exclusion set is the
-set of the next longer context; sums over it are stored with that context and the log probability
-of any (context, symbol) is a few table look-ups.  Training counts all six-symbol grams of all
-training documents; the trie keeps those with at least the count at which ``max_grams`` remain
-(the same count at all orders, which keeps the sets nested), so its size is bounded and what is
-cut escapes.  ``Adaptive`` is the model that starts empty with each document.
+set of the next longer context; what it leaves of the shorter one is stored with the longer one.
+The six-symbol grams of all documents are counted exactly, by whether they are training ones, and
+the trie is a table for each order, one row a context (``Contexts``).  The log probability of every
+distinct gram is worked out once, by joins with these tables; nothing is cut at any size.  A text's
+score adds up its grams: the ``cached`` most frequent are looked up in a broadcast table, the others
+in a join by gram.  The cache decides how a gram is looked up, not its value.  ``Adaptive`` is the
+model that starts empty with each document.
 
 The base score is a unigram model over words with one end token each: the words of highest count
-are looked up in a broadcast table of at most ``max_words``, the others in a join by word hash.
+are looked up in a broadcast table of at most ``max_words``, the others in the same join by hash.
 
 Edge cases: a null text is empty (one end token); without training rows all counts are 0 and every
 symbol has probability 1/257; repeated rows each get the result.
@@ -29,8 +31,10 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import Window as W
 
 from .packed import FOLD, SPACE, chunks, mixed, runs, span_hashes
 from .samples import id_mod
@@ -40,6 +44,7 @@ ORDER = 5
 BITS = 9
 SYMBOLS = 257
 LOG10 = math.log(10)
+SYMBOL_MASK = (1 << BITS) - 1
 CHUNK = 1 << 19  # bytes of text that a worker has in wide arrays at once
 
 
@@ -73,7 +78,7 @@ class Slots:
         bits = max(8, int(2 * len(keys)).bit_length())
         self.mask = (1 << bits) - 1
         self.keys = np.full(1 << bits, self.EMPTY)
-        self.values = np.zeros(1 << bits, np.float32 if len(keys) > 300_000 else np.float64)
+        self.values = np.zeros(1 << bits)
         left, at = np.arange(len(keys)), self._home(keys)
         self.probes = 0
         while len(left):
@@ -104,57 +109,60 @@ class Slots:
         return out, found
 
 
-class Trie:
-    """Counts by order -> log probability of any gram.  counts[o]: sorted keys, counts."""
-
-    def __init__(self, counts: list[tuple[np.ndarray, np.ndarray]]):
-        self.keys = [k.astype(np.uint64) for k, _ in counts]
-        self.count = [c.astype(np.uint32 if len(c) and c.max() < 2**32 else np.float64) for _, c in counts]
-        self.ctx, self.n, self.t = [], [], []
-        for k, c in zip(self.keys, self.count):
-            ctx, head = np.unique(k >> np.uint64(BITS), return_index=True)
-            self.ctx.append(ctx)
-            self.n.append(np.add.reduceat(c.astype(np.float64), head) if len(head) else np.zeros(0))
-            self.t.append(np.diff(np.append(head, len(k))).astype(np.float64))
-        # What is left of order o - 1 once the symbols of a context of order o are excluded.
-        self.left_n, self.left_t = [None], [None]
-        for o in range(1, ORDER + 1):
-            k = self.keys[o]
-            shorter = k & np.uint64((1 << BITS * o) - 1)
-            at, _ = self._find(self.keys[o - 1], shorter)
-            ctx = np.searchsorted(self.ctx[o], k >> np.uint64(BITS))
-            gone = np.bincount(ctx, self.count[o - 1][at], len(self.ctx[o])) if len(k) else np.zeros(0)
-            parent, _ = self._find(self.ctx[o - 1], self.ctx[o] & np.uint64((1 << BITS * (o - 1)) - 1))
-            self.left_n.append(self.n[o - 1][parent] - gone if len(k) else np.zeros(0))
-            self.left_t.append(self.t[o - 1][parent] - self.t[o] if len(k) else np.zeros(0))
-
-    @staticmethod
-    def _find(sorted_: np.ndarray, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        if not len(sorted_):
-            return np.zeros(len(keys), np.int64), np.zeros(len(keys), bool)
-        at = np.minimum(np.searchsorted(sorted_, keys), len(sorted_) - 1)
-        return at, sorted_[at] == keys
-
-    def log_p(self, keys: np.ndarray) -> np.ndarray:
-        out, done = np.zeros(len(keys)), np.zeros(len(keys), bool)
-        longer, has_longer = np.zeros(len(keys), np.int64), np.zeros(len(keys), bool)
-        with np.errstate(divide="ignore", invalid="ignore"):
-            for o in range(ORDER, -1, -1):
-                at, seen = self._find(self.ctx[o], (keys >> np.uint64(BITS)) & np.uint64((1 << BITS * o) - 1))
-                g, hit = self._find(self.keys[o], keys & np.uint64((1 << BITS * (o + 1)) - 1))
-                if not len(self.ctx[o]):
-                    continue
-                n, t = self.n[o][at], self.t[o][at]
-                if o < ORDER and len(self.ctx[o + 1]):
-                    n = np.where(has_longer, self.left_n[o + 1][longer], n)
-                    t = np.where(has_longer, self.left_t[o + 1][longer], t)
-                now = seen & ~done
-                out += np.where(now & hit, np.log(self.count[o][g] / (n + t)), 0.0)
-                out += np.where(now & ~hit & (n + t > 0), np.log(t / (n + t)), 0.0)
-                done |= now & hit
-                longer, has_longer = at, seen
-            new = SYMBOLS - (self.t[0][0] if len(self.t[0]) else 0)
-            return np.where(done, out, out - np.log(max(new, 1)))
+class Contexts:
+    """The trie as tables.  ``order[o]``: one row for each context of ``o`` symbols seen in training,
+    with the total and the number of the symbols after it, their counts, and what they leave of the
+    next shorter context's total and number.  Every group here has at most 257 rows."""
+
+    def __init__(self, grams: DataFrame):
+        """grams: key, c (six-symbol grams with their training counts)."""
+        self.order = {}
+        low = lambda c, symbols_: c.bitwiseAND(F.lit((1 << BITS * symbols_) - 1))
+        after = F.shiftright("key", BITS).alias("ctx")
+        last = low(F.col("key"), 1).cast("int")
+        for o in range(ORDER, -1, -1):
+            own = grams.withColumn("short", low(F.col("key"), o))
+            shorter = stored(own.groupBy(F.col("short").alias("key")).agg(F.sum("c").alias("c"))) if o else grams
+            own = own.withColumn("below", F.sum("c").over(W.partitionBy("short")) if o else F.lit(0))
+            # A gram of the highest order is found by its own row; shorter ones through their context.
+            then = F.map_from_entries(F.collect_list(F.struct(last.alias("s"), F.col("c")))) if o < ORDER else F.lit(None).cast("map<int, bigint>")
+            rows = own.groupBy(after).agg(F.sum("c").alias("n"), F.count("*").alias("t"), F.sum("below").alias("gone"), then.alias("next"))
+            if o:
+                less = shorter.groupBy(after).agg(F.sum("c").alias("n1"), F.count("*").alias("t1")).withColumnRenamed("ctx", "ctx1")
+                less = F.broadcast(less) if o <= 2 else less  # at most 257 contexts of one symbol
+                rows = rows.join(less, low(F.col("ctx"), o - 1) == F.col("ctx1"))
+                rows = rows.select("ctx", "n", "t", "next", (F.col("n1") - F.col("gone")).alias("left_n"), (F.col("t1") - F.col("t")).alias("left_t"))
+            else:
+                rows = rows.select("ctx", "n", "t", "next", F.lit(0).cast("long").alias("left_n"), F.lit(0).cast("long").alias("left_t"))
+            self.order[o] = stored(rows)
+            grams = shorter
+        start = self.order[0].select("t").first()
+        self.new = SYMBOLS - (start["t"] if start else 0)  # symbols never seen
+
+    def log_p(self, grams: DataFrame) -> DataFrame:
+        """key, n (training count), m -> key, m, value: the log10 probability of each gram."""
+        own = W.partitionBy(F.shiftright("key", BITS))
+        total, kinds = F.sum("n").over(own), F.sum((F.col("n") > 0).cast("int")).over(own)
+        rows = grams.withColumns({"total": total, "kinds": kinds})
+        done = rows.filter("n > 0").select("key", "m", (F.log10(F.col("n") / (F.col("total") + F.col("kinds")))).alias("value"))
+        left = rows.filter("n = 0").join(self.order[ORDER].select("ctx", "left_n", "left_t"), F.shiftright("key", BITS) == F.col("ctx"), "left")
+        escape = F.when(F.col("kinds") > 0, F.log10(F.col("kinds") / (F.col("total") + F.col("kinds")))).otherwise(0.0)
+        left = left.select("key", "m", escape.alias("value"), "left_n", "left_t")
+        for o in range(ORDER - 1, -1, -1):
+            ctx = F.shiftright("key", BITS).bitwiseAND(F.lit((1 << BITS * o) - 1))
+            here = self.order[o].select("ctx", "n", "t", "next", F.col("left_n").alias("then_n"), F.col("left_t").alias("then_t"))
+            here = F.broadcast(here) if o <= 1 else here  # at most 257 contexts
+            both = left.join(here, ctx == F.col("ctx"), "left")
+            both = both.withColumns({
+                "c": F.try_element_at("next", F.col("key").bitwiseAND(F.lit(SYMBOL_MASK)).cast("int")),
+                "n": F.coalesce("left_n", "n"), "t": F.coalesce("left_t", "t"), "seen": F.col("t").isNotNull(),
+            })
+            some = F.col("n") + F.col("t")
+            step = F.when(F.col("c").isNotNull(), F.log10(F.col("c") / some)).when(F.col("seen") & (some > 0), F.log10(F.col("t") / some)).otherwise(0.0)
+            both = stored(both.select("key", "m", (F.col("value") + step).alias("value"), F.col("c").isNotNull().alias("hit"), F.col("then_n").alias("left_n"), F.col("then_t").alias("left_t")))
+            done = done.unionByName(both.filter("hit").select("key", "m", "value"))
+            left = both.filter("NOT hit").drop("hit")
+        return done.unionByName(left.select("key", "m", (F.col("value") - math.log10(max(self.new, 1))).alias("value")))
 
 
 class Adaptive:
@@ -232,32 +240,36 @@ class _Tally:
         return out
 
 
-def count_tables(train: DataFrame) -> DataFrame:
-    """doc_id, text -> kind (0: words, 1: grams, 2: documents), key, n over all rows."""
+def count_tables(docs: DataFrame) -> DataFrame:
+    """text, train -> kind (0: training words, 1: training grams, 2: training documents, 3: other grams),
+    key, n over all rows."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        words, five, docs = _Tally(), _Tally(), 0
+        tallies, n_docs = {0: _Tally(), 1: _Tally(), 3: _Tally()}, 0
 
         def rows(kind: int, k: np.ndarray, n: np.ndarray) -> Iterator[pa.RecordBatch]:
             for i in range(0, len(k), 1 << 17):
                 kk = k[i : i + (1 << 17)]
                 yield pa.RecordBatch.from_arrays([pa.array(np.full(len(kk), kind, np.int32)), pa.array(kk.view(np.int64)), pa.array(n[i : i + (1 << 17)].astype(np.int64))], ["kind", "key", "n"])
 
-        for batch in batches:
-            docs += batch.num_rows
-            for _, _, buf, offs in chunks(batch.column(0), CHUNK):
-                words.add(tokens(buf, offs)[0])
-                five.add(grams(buf, offs))
-                for kind, tally in ((0, words), (1, five)):
-                    if tally.size > tally.most:
-                        tally.merge()
+        for whole in batches:
+            for train in (True, False):
+                batch = whole.filter(whole.column(1) if train else pc.invert(whole.column(1)))
+                n_docs += batch.num_rows if train else 0
+                for _, _, buf, offs in chunks(batch.column(0), CHUNK):
+                    if train:
+                        tallies[0].add(tokens(buf, offs)[0])
+                    tallies[1 if train else 3].add(grams(buf, offs))
+                    for kind, tally in tallies.items():
                         if tally.size > tally.most:
-                            yield from rows(kind, *tally.drain())
-        yield from rows(0, *words.drain())
-        yield from rows(1, *five.drain())
-        yield from rows(2, np.zeros(1, np.uint64), np.array([docs]))
-
-    parts = train.select("text").mapInArrow(run, "kind int, key long, n long")
+                            tally.merge()
+                            if tally.size > tally.most:
+                                yield from rows(kind, *tally.drain())
+        for kind, tally in tallies.items():
+            yield from rows(kind, *tally.drain())
+        yield from rows(2, np.zeros(1, np.uint64), np.array([n_docs]))
+
+    parts = docs.select("text", "train").mapInArrow(run, "kind int, key long, n long")
     return parts.groupBy("kind", "key").agg(F.sum("n").alias("n"))
 
 
@@ -273,86 +285,94 @@ def cut_count(counts: DataFrame, most: int) -> int:
     return cut if cut is not None else 1 + max((b["least"] for b in bins), default=0)
 
 
-def _arrays(df: DataFrame) -> tuple[np.ndarray, np.ndarray]:
-    t = df.select("key", "n").toArrow()
-    k = t.column("key").to_numpy().view(np.uint64)
-    order = np.argsort(k)
-    return k[order], t.column("n").to_numpy()[order]
+def _arrays(df: DataFrame, value: str) -> tuple[np.ndarray, np.ndarray]:
+    t = df.select("key", value).toArrow()
+    return t.column("key").to_numpy().view(np.uint64), t.column(value).to_numpy()
 
 
-class Scorer:
-    def __init__(self, counts: list[tuple[np.ndarray, np.ndarray]], words: tuple[np.ndarray, np.ndarray], ends: int, total: int, distinct: int):
-        self.trie = Trie(counts)
-        self.slots = Slots(self.trie.keys[ORDER], self.trie.log_p(self.trie.keys[ORDER]) / LOG10)
+class Cache:
+    """Log probabilities of the most frequent grams and words."""
+
+    def __init__(self, grams_: tuple[np.ndarray, np.ndarray], words: tuple[np.ndarray, np.ndarray], ends: int, total: int, distinct: int):
         self.base = total + distinct + 1
-        self.words = Slots(words[0], np.log10((words[1] + 1) / self.base))
+        self.grams, self.words = Slots(*grams_), Slots(words[0], np.log10((words[1] + 1) / self.base))
         self.ends, self.total = ends, total
 
-    def text_scores(self, buf: np.ndarray, offs: np.ndarray) -> np.ndarray:
-        key = grams(buf, offs)
-        value, known = self.slots.get(key)
-        rest = np.flatnonzero(~known)
-        if len(rest):
-            k, inv = np.unique(key[rest], return_inverse=True)
-            value[rest] = (self.trie.log_p(k) / LOG10)[inv]
-        return np.add.reduceat(value.astype(np.float64), offs[:-1] + np.arange(len(offs) - 1))
 
+class Model:
+    """``cache`` is broadcast; ``rest`` (kind, key, value, known) holds the grams (kind 1) and words
+    (kind 0) that are not in it; a word in neither was not seen in training."""
+
+    def __init__(self, cache: Cache, rest: DataFrame):
+        self.cache, self.rest = cache, rest
 
-def fit(train: DataFrame, max_grams: int = 600_000, max_words: int = 131_072) -> tuple[Scorer, DataFrame]:
-    """doc_id, text -> the scorer and the table of all word counts (key, n)."""
-    tables = stored(count_tables(train))
-    words, five = tables.filter("kind = 0").select("key", "n"), tables.filter("kind = 1").select("key", "n")
+
+def fit(docs: DataFrame, cached: int = 600_000, max_words: int = 131_072) -> Model:
+    """text, train (boolean) -> the model of the training rows, with the values of all rows' grams."""
+    tables = stored(count_tables(docs.select("text", F.coalesce("train", F.lit(False)).alias("train"))))
+    words = tables.filter("kind = 0").select("key", "n")
+    five = tables.filter("kind IN (1, 3)").groupBy("key").agg(F.sum(F.when(F.col("kind") == 1, F.col("n")).otherwise(0)).alias("n"), F.sum("n").alias("m"))
+    five = stored(five)
     ends = tables.filter("kind = 2").agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
     n, v = words.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count("*")).first()
-    least = cut_count(five, max_grams)
-    counts = []
-    for o in range(ORDER + 1):
-        own = five if o == ORDER else five.groupBy(F.col("key").bitwiseAND(F.lit((1 << BITS * (o + 1)) - 1)).alias("key")).agg(F.sum("n").alias("n"))
-        counts.append(_arrays(own.filter(F.col("n") >= least)))
-    frequent = _arrays(words.filter(F.col("n") >= cut_count(words, max_words)))
-    return Scorer(counts, frequent, ends, n + ends, v + (ends > 0)), words
+    values = stored(Contexts(five.filter("n > 0").select("key", F.col("n").alias("c"))).log_p(five))
+    often = F.col("m") >= cut_count(five.select("key", F.col("m").alias("n")), cached)
+    common = F.col("n") >= cut_count(words, max_words)
+    cache = Cache(_arrays(values.filter(often), "value"), _arrays(words.filter(common), "n"), ends, n + ends, v + (ends > 0))
+    rare = words.filter(~common).select(F.lit(0).alias("kind"), "key", F.log10((F.col("n") + 1) / F.lit(float(cache.base))).alias("value"), F.lit(1).alias("known"))
+    return Model(cache, rare.unionByName(values.filter(~often).select(F.lit(1).alias("kind"), "key", "value", F.lit(0).alias("known"))))
 
 
-def score(docs: DataFrame, model: Scorer, words: DataFrame) -> DataFrame:
-    """doc_id, text -> doc_id, n_tokens, n_known, base_score, score."""
+def score(docs: DataFrame, model: Model) -> DataFrame:
+    """doc_id, text of rows that the model was fitted with -> doc_id, n_tokens, n_known, base_score, score."""
     kind = docs.schema["doc_id"].dataType.simpleString()
-    shared = Shared(docs.sparkSession, model)
+    shared = Shared(docs.sparkSession, model.cache)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = shared.value
         end = math.log10((m.ends + 1) / m.base)
+
+        def sums(table_: Slots, keys: np.ndarray, first: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+            """Per document the sum of the values known and their number; and the keys not known."""
+            value, known = table_.get(keys)
+            total, some = np.append(0.0, np.cumsum(value)), np.append(0, np.cumsum(known))
+            return total[first[1:]] - total[first[:-1]], some[first[1:]] - some[first[:-1]], keys[~known]
+
         for batch in batches:
             cols: list[list[np.ndarray]] = [[] for _ in range(4)]
-            rare, cut = [], [0]
+            lost: list[list[np.ndarray]] = [[], []]  # words, grams
+            size: list[list[np.ndarray]] = [[np.zeros(1, np.int64)], [np.zeros(1, np.int64)]]
             for i, j, buf, offs in chunks(batch.column(1), CHUNK):
-                cols[0].append(m.text_scores(buf, offs))
                 h, first = tokens(buf, offs)
-                value, known = m.words.get(h)
-                total = np.append(0.0, np.cumsum(value))
-                some = np.append(0, np.cumsum(known))
-                cols[1].append(np.diff(first) + 1)
-                cols[2].append(some[first[1:]] - some[first[:-1]] + (m.ends > 0))
-                cols[3].append(total[first[1:]] - total[first[:-1]] + end)
-                rare.append(h[~known])
-                cut += (cut[-1] + np.cumsum(np.diff(first) - (some[first[1:]] - some[first[:-1]]))).tolist()
+                b, k, w = sums(m.words, h, first)
+                at = offs + np.arange(len(offs))  # each text has one end
+                s, found, g = sums(m.grams, grams(buf, offs), at)
+                for c, x in zip(cols, (s, np.diff(first) + 1, k + (m.ends > 0), b + end)):
+                    c.append(x)
+                for q, keys, miss in ((0, w, np.diff(first) - k), (1, g, np.diff(at) - found)):
+                    lost[q].append(keys)
+                    size[q].append(miss)
             s, n, k, b = (np.concatenate(c) if c else np.zeros(0) for c in cols)
-            lists = pa.ListArray.from_arrays(pa.array(cut, pa.int32()), pa.array(np.concatenate(rare).view(np.int64) if rare else np.zeros(0, np.int64)))
+            lists = [pa.LargeListArray.from_arrays(pa.array(np.cumsum(np.concatenate(z))), pa.array(np.concatenate(x).view(np.int64) if x else np.zeros(0, np.int64))) for x, z in zip(lost, size)]
             row = np.frombuffer(os.urandom(8 * batch.num_rows), np.int64)  # names the row from here on
-            yield pa.RecordBatch.from_arrays([pa.array(row), batch.column(0), pa.array(s), pa.array(n, pa.int64()), pa.array(k, pa.int64()), pa.array(b), lists], ["row", "doc_id", "score", "n_tokens", "k", "b", "rare"])
-
-    got = stored(docs.select("doc_id", "text").mapInArrow(run, f"row long, doc_id {kind}, score double, n_tokens long, k long, b double, rare array<long>"))
-    rest = got.select("row", F.explode("rare").alias("key")).join(words, "key", "left")
-    value: Column = F.log10((F.coalesce("n", F.lit(0)) + 1) / F.lit(float(model.base)))
-    rest = rest.groupBy("row").agg(F.sum(value).alias("b2"), F.count("n").alias("k2"))
-    none = F.lit(0)
-    return got.drop("rare").join(rest, "row", "left").select(
-        "doc_id", "n_tokens", (F.col("k") + F.coalesce("k2", none)).cast("long").alias("n_known"),
-        (F.col("b") + F.coalesce("b2", F.lit(0.0))).alias("base_score"), "score",
-    )
+            lists = [x.cast(pa.list_(pa.int64())) for x in lists]
+            yield pa.RecordBatch.from_arrays([pa.array(row), batch.column(0), pa.array(s), pa.array(n, pa.int64()), pa.array(k, pa.int64()), pa.array(b), *lists], ["row", "doc_id", "score", "n_tokens", "k", "b", "w", "g"])
+
+    got = stored(docs.select("doc_id", "text").mapInArrow(run, f"row long, doc_id {kind}, score double, n_tokens long, k long, b double, w array<long>, g array<long>"))
+    each = lambda number, name: got.select("row", F.lit(number).alias("kind"), F.explode(name).alias("key"))
+    rest = each(0, "w").unionByName(each(1, "g")).join(model.rest, ["kind", "key"], "left")
+    is_word = F.col("kind") == 0
+    value: Column = F.coalesce("value", F.when(is_word, -math.log10(model.cache.base)))
+    rest = rest.groupBy("row").agg(F.sum(F.when(is_word, value)).alias("b2"), F.sum("known").alias("k2"), F.sum(F.when(~is_word, value)).alias("s2"))
+    zero = F.lit(0.0)
+    return got.drop("w", "g").join(rest, "row", "left").select(
+        "doc_id", "n_tokens", (F.col("k") + F.coalesce("k2", F.lit(0))).cast("long").alias("n_known"),
+        (F.col("b") + F.coalesce("b2", zero)).alias("base_score"), (F.col("score") + F.coalesce("s2", zero)).alias("score"),
+    )
 
 
 def op4_ppm_score(spark, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents", "doc_id", "text")
-    model, words = fit(docs.filter(id_mod(7) != 2))
-    got = score(docs, model, words)
-    return got.select("doc_id", (id_mod(7) == 2).alias("held_out"), "n_tokens", "n_known", F.lit(model.total).cast("long").alias("train_tokens"), "base_score", "score")
+    model = fit(docs.withColumn("train", id_mod(7) != 2))
+    got = score(docs, model)
+    return got.select("doc_id", (id_mod(7) == 2).alias("held_out"), "n_tokens", "n_known", F.lit(model.cache.total).cast("long").alias("train_tokens"), "base_score", "score")
