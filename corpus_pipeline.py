@@ -3,7 +3,8 @@ contaminated by benchmark items go, the rest is mixed to target weights and put
 
 Every stage takes (spark, docs, sf_dir) and works on all rows its predecessor kept; ``run`` and the
 check tool write each result as Parquet before the next stage reads it.  All stages but the last
-return the columns of ``documents``; the last adds size, shard and slot.  A null text is never
+return the columns of ``documents``; the last adds size, shard and slot.  The mix writes its rows in
+order of their training position and the slots of each shard follow that order.  A null text is never
 toxic, contaminated or a near duplicate; it has size 0, so the mix drops it unless repeated.
 """
 
@@ -35,7 +36,8 @@ def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def put_into_shards(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return resharding.with_shards(docs)
+    """Slots keep the order of the mix: within a shard, documents come in training order."""
+    return resharding.with_shards(docs, order="stored")
 
 
 STAGES = [

@@ -1,13 +1,21 @@
 """Resharding by minimum-cost flow.
 
-Old shards hold blocks of documents.  Given the old shards' bytes and the new shards' capacities,
-a minimum-cost flow (successive cheapest paths over a graph with one node per shard) says how
-many bytes each old shard sends to each new one; staying costs nothing, so the fewest bytes move.
-Blocks are then laid end to end inside their old shard and the flow cuts that line: whole blocks
-move with one decision and only the block at a cut is divided between documents.
-
-Edge cases: a null text has no bytes (size 1, checksum 0); null ids are placed like any other;
-repeated rows are separate rows; an empty table gives an empty result.
+Old shards hold documents.  Given the old shards' bytes and the new shards' capacities, a
+minimum-cost flow (successive cheapest paths over a graph with one node per shard) says how many
+bytes each old shard sends to each new one; staying costs nothing, so the fewest bytes move.
+Documents with equal texts are one group and stay together.  A group lies in the old shard that
+holds most of it.  Groups of more than 1/``GRAIN`` of a shard are put first, largest first, where
+the flow sends most of their old shard's bytes and they still fit; only a group that no shard has
+room for is divided, row by row.  A second flow serves the rest: blocks of groups are laid end to
+end inside their old shard and the flow cuts that line, so whole blocks move with one decision and
+only the block at a cut is divided, between groups.
+
+Slots follow a hash of the row, or with ``order="stored"`` the order in which the rows lie in the
+files they were read from, so that a corpus sorted for training stays sorted in every shard.
+
+Edge cases: a null text has no bytes (size 1, checksum 0) and is grouped with empty ones; null ids
+are placed like any other; repeated rows are separate rows of one group; an empty table gives an
+empty result.
 """
 
 from __future__ import annotations
@@ -21,6 +29,10 @@ from pyspark.sql import Window as W
 
 from .scratch import stored
 
+HASH_PARTS = 1024  # rows of a shard are numbered in so many parts, or so many rows of a file at a time
+STORED_ROWS = 20_000
+GRAIN = 400  # shards of equal size differ by about a part in so many
+
 
 def min_cost_flow(supply: Sequence[int], capacity: Sequence[int], cost: np.ndarray) -> np.ndarray:
     """flow[i, j] of least total cost that ships every supply within the capacities.
@@ -85,64 +97,128 @@ def by_source(count: int = 8) -> Column:
     return F.pmod(F.crc32(F.coalesce(F.col("source"), F.lit("")).cast("binary")), F.lit(count)).cast("int")
 
 
-def _keyed(docs: DataFrame, old: Column, blocks: int) -> DataFrame:
+def levelled(loads: Sequence[int], supply: int) -> list[int]:
+    """Room for ``supply`` more bytes that leaves the shards as even as can be."""
+    order = sorted(range(len(loads)), key=lambda j: (loads[j], j))
+    for k in range(len(order), 0, -1):  # the k emptiest shards take part
+        level, over = divmod(supply + sum(loads[j] for j in order[:k]), k)
+        if loads[order[k - 1]] <= level:
+            break
+    room = [0] * len(loads)
+    for i, j in enumerate(order[:k]):
+        room[j] = level - loads[j] + (i < over)
+    return room
+
+
+def pack(large: Sequence[tuple[int, int, int, int]], homes: Sequence[int], shards: int) -> tuple[dict[int, int], set[int], list[int]]:
+    """(group, bytes, rows, home) of large groups -> their shards, the groups to divide, and the
+    bytes put into each shard."""
+    room = fair_capacities(sum(homes), shards)
+    bins, loads = transfers(homes, room), [0] * shards
+    placed, divided = {}, set()
+    for group, size, rows, home in sorted(large, key=lambda g: (-g[1], g[0])):
+        fits = [j for j in range(shards) if room[j] >= size]
+        if not fits and rows > 1:
+            divided.add(group)
+            continue
+        j = max(fits, key=lambda j: (bins[home, j], room[j], -j)) if fits else max(range(shards), key=lambda j: (room[j], -j))
+        placed[group] = j
+        room[j] -= size
+        bins[home, j] -= size
+        loads[j] += size
+    return placed, divided, loads
+
+
+def _keyed(docs: DataFrame, old: Column, order: str) -> DataFrame:
     crc = F.crc32(F.coalesce(F.col("text"), F.lit("")).cast("binary"))
-    out = docs.withColumns({"__size": size_of(F.col("text")), "__crc": crc, "__old": old})
-    out = out.withColumn("__mix", F.xxhash64("doc_id", "__crc", "__size"))
-    return out.withColumn("__block", F.pmod("__mix", F.lit(blocks)).cast("int"))
+    out = docs.withColumns({"__size": size_of(F.col("text")), "__crc": crc, "__old": old, "__group": F.xxhash64(F.coalesce("text", F.lit("")))})
+    out = out.withColumn("__row", F.xxhash64("doc_id", "__group", "__size"))
+    if order == "stored":
+        number = F.lpad(F.regexp_extract(F.col("_metadata.file_name"), r"^part-(\d+)", 1), 12, "0")
+        file = F.concat(number, F.col("_metadata.file_path"))
+        at = F.col("_metadata.row_index")
+        return out.withColumns({"__at": at, "__part": F.struct(file.alias("file"), F.floor(at / STORED_ROWS).alias("chunk"))})
+    return out.withColumns({"__at": F.col("__row"), "__part": F.pmod("__row", F.lit(HASH_PARTS)).cast("int")})
 
 
-def with_shards(docs: DataFrame, shards: int = 8, old: Column | None = None, old_count: int = 8, blocks: int = 1024) -> DataFrame:
+def with_shards(docs: DataFrame, shards: int = 8, old: Column | None = None, old_count: int = 8, blocks: int = 1024, order: str = "hash") -> DataFrame:
     """docs (doc_id, text, what ``old`` reads, any others) plus size, text_crc32, old_shard, shard, slot,
     which replace columns of those names.
 
-    ``blocks`` per old shard are fixed, so the driver reads old_count * blocks sums and a few
-    cuts.  Decisions are broadcast by block and made row by row; the texts themselves are
-    shuffled once, to number the rows of each shard.
+    ``blocks`` per old shard are fixed and so are the large groups (``GRAIN`` * shards at most), so
+    the driver reads old_count * blocks sums, those groups and a few cuts.  Decisions are broadcast
+    and made row by row; texts are shuffled to look up where their group lies, if any group lies in
+    several old shards, and to number the rows of each shard.
     """
     spark = docs.sparkSession
     old = by_source(old_count) if old is None else old
-    base = stored(_keyed(docs, old, blocks).select("doc_id", "__size", "__old", "__mix", "__block"))
-    sums = sorted((r["__old"], r["__block"], r["s"]) for r in base.groupBy("__old", "__block").agg(F.sum("__size").alias("s")).collect())
+    base = stored(_keyed(docs, old, order).select("__size", "__old", "__group", "__row", "__part"))
+    per = base.groupBy("__group", "__old").agg(F.sum("__size").alias("s"), F.count("*").alias("c"))
+    groups = stored(per.groupBy("__group").agg(
+        F.sum("s").alias("bytes"), F.sum("c").alias("rows"), F.max_by("__old", F.struct("s", -F.col("__old"))).alias("home"), F.count("*").alias("olds"),
+    ))
+    homes = [0] * old_count
+    for r in groups.groupBy("home").agg(F.sum("bytes").alias("s")).collect():
+        homes[r["home"]] = r["s"]
+    grain = sum(homes) // (shards * GRAIN)
+    large = [tuple(r) for r in groups.filter(F.col("bytes") > grain).select("__group", "bytes", "rows", "home").collect()]
+    placed, divided, loads = pack(large, homes, shards)
+    fixed = spark.createDataFrame([(g, placed.get(g)) for g, *_ in large], "__group long, __fixed int").withColumn("__large", F.lit(True))
+
+    # What is left: units of the line are small groups, and rows of divided groups.
+    unit = F.xxhash64(F.lit(23), "__group")
+    block = F.pmod("__unit", F.lit(blocks)).cast("int")
+    units = groups.filter(F.col("bytes") <= grain).select("home", unit.alias("__unit"), F.col("bytes").alias("size"))
+    if divided:
+        some = F.broadcast(spark.createDataFrame([(g,) for g in divided], "__group long"))
+        units = units.unionByName(base.join(some, "__group").select(F.col("__old").alias("home"), F.col("__row").alias("__unit"), F.col("__size").alias("size")))
+    units = units.withColumn("__block", block)
+    sums = sorted((r["home"], r["__block"], r["s"]) for r in units.groupBy("home", "__block").agg(F.sum("size").alias("s")).collect())
     sizes, lines = [0] * old_count, []
-    for i, block, s in sums:
-        lines.append((i, block, sizes[i], s))
+    for i, k, s in sums:
+        lines.append((i, k, sizes[i], s))
         sizes[i] += s
-    flow = transfers(sizes, fair_capacities(sum(sizes), shards))
+    flow = transfers(sizes, levelled(loads, sum(sizes)))
     targets = [[j for j in sorted(range(shards), key=lambda j: (j != i, j)) if flow[i, j]] for i in range(old_count)]
     ends = [np.cumsum([int(flow[i, j]) for j in targets[i]]).tolist()[:-1] for i in range(old_count)]
-    cut = [(i, block, offset, [e for e in ends[i] if offset < e < offset + s]) for i, block, offset, s in lines]
+    cut = [(i, k, offset, [e for e in ends[i] if offset < e < offset + s]) for i, k, offset, s in lines]
     cut = [c for c in cut if c[3]]
     found: dict[tuple, list[int]] = {}
     if cut:  # only these blocks are divided; at most old_count * shards of them
-        inside = W.partitionBy("__old", "__block").orderBy("__mix", "doc_id", "__size").rowsBetween(W.unboundedPreceding, 0)
-        some = spark.createDataFrame(cut, "__old int, __block int, offset long, ends array<long>")
-        rows = base.join(F.broadcast(some), ["__old", "__block"])
-        rows = rows.withColumn("middle", F.col("offset") + F.sum("__size").over(inside) - F.col("__size") / 2)
-        each = rows.select("__old", "__block", "__mix", "middle", F.posexplode("ends").alias("k", "end")).filter("middle >= end")
-        for r in each.groupBy("__old", "__block", "k").agg(F.min("__mix").alias("mix")).collect():
-            found[r["__old"], r["__block"], r["k"]] = r["mix"]
+        inside = W.partitionBy("home", "__block").orderBy("__unit").rowsBetween(W.unboundedPreceding, 0)
+        some = spark.createDataFrame(cut, "home int, __block int, offset long, ends array<long>")
+        rows = units.join(F.broadcast(some), ["home", "__block"])
+        rows = rows.withColumn("middle", F.col("offset") + F.sum("size").over(inside) - F.col("size") / 2)
+        each = rows.select("home", "__block", "__unit", "middle", F.posexplode("ends").alias("k", "end")).filter("middle >= end")
+        for r in each.groupBy("home", "__block", "k").agg(F.min("__unit").alias("unit")).collect():
+            found[r["home"], r["__block"], r["k"]] = r["unit"]
     inner = {(i, b): [found.get((i, b, k), 2**63 - 1) for k in range(len(e))] for i, b, _, e in cut}
     plan = [(i, b, targets[i], sum(e <= o for e in ends[i]), inner.get((i, b), [])) for i, b, o, _ in lines]
-    plan = spark.createDataFrame(plan, "__old int, __block int, __targets array<int>, __from int, __cuts array<long>")
-
-    def placed(df: DataFrame) -> DataFrame:
-        nth = F.col("__from") + F.size(F.filter("__cuts", lambda c: c <= F.col("__mix")))
+    plan = spark.createDataFrame(plan, "__home int, __block int, __targets array<int>, __from int, __cuts array<long>")
+    apart = groups.filter((F.col("olds") > 1) & (F.col("bytes") <= grain)).select("__group", F.col("home").alias("__home"))
+    scattered = apart.limit(1).count() > 0
+
+    def sharded(df: DataFrame) -> DataFrame:
+        df = df.join(F.broadcast(fixed), "__group", "left")
+        if scattered:
+            df = df.join(apart, "__group", "left").withColumn("__home", F.coalesce("__home", "__old"))
+        else:
+            df = df.withColumn("__home", F.col("__old"))
+        df = df.withColumn("__unit", F.when(F.col("__large").isNull(), unit).otherwise(F.col("__row"))).withColumn("__block", block)
+        nth = F.col("__from") + F.size(F.filter("__cuts", lambda c: c <= F.col("__unit")))
         to = F.element_at("__targets", F.least(F.size("__targets"), nth + 1))
-        return df.join(F.broadcast(plan), ["__old", "__block"]).withColumn("__shard", to).drop("__targets", "__from", "__cuts")
-
-    counts = placed(base).groupBy("__shard", "__block").agg(F.count("*").alias("c")).collect()  # shards * blocks at most
-    first, line = {j: 0 for j in range(shards)}, []
-    for r in sorted(counts, key=lambda r: (r["__shard"], r["__block"])):
-        line.append((r["__shard"], r["__block"], first[r["__shard"]]))
-        first[r["__shard"]] += r["c"]
-    begin = spark.createDataFrame(line, "__shard int, __block int, __first long")
-    number = F.row_number().over(W.partitionBy("__shard", "__block").orderBy("__mix", "doc_id", "__size"))
-    out = placed(_keyed(docs, old, blocks)).withColumn("__nth", number).join(F.broadcast(begin), ["__shard", "__block"])
+        return df.join(F.broadcast(plan), ["__home", "__block"], "left").withColumn("__shard", F.coalesce("__fixed", to))
+
+    counts = sharded(base).groupBy("__shard", "__part").agg(F.count("*").alias("__c"))
+    before = F.sum("__c").over(W.partitionBy("__shard").orderBy("__part")) - F.col("__c")
+    begin = counts.withColumn("__first", before).drop("__c")
+    begin = F.broadcast(begin) if order == "hash" else begin  # shards * HASH_PARTS rows at most
+    number = F.row_number().over(W.partitionBy("__shard", "__part").orderBy("__at"))
+    out = sharded(_keyed(docs, old, order)).withColumn("__nth", number).join(begin, ["__shard", "__part"])
     new = {
         "size": F.col("__size"), "text_crc32": F.col("__crc"), "old_shard": F.col("__old"), "shard": F.col("__shard"),
         "slot": (F.col("__first") + F.col("__nth") - 1).cast("long"),
-    }
+    }
     return out.select(*[F.col(f"`{c}`") for c in docs.columns if c not in new], *[v.alias(k) for k, v in new.items()])
 
 
