@@ -65,13 +65,27 @@ def prefixes(items: DataFrame, window: int = 13, shingle: int = 5) -> DataFrame:
     return each.join(rarity, ["k", "h"]).withColumn("nth", F.row_number().over(rank)).filter("nth = 1").drop("nth", "seen")
 
 
+def _listed(base: DataFrame, ks: list[int], window: int) -> DataFrame:
+    """The positions listed in ``at`` with their hash and the words around, and a last entry for the row itself."""
+    seg = lambda i: F.floor(i / F.col("n")).cast("int")
+    place = lambda i: (i - seg(i) * F.col("n")).cast("int")
+    left = lambda i: F.greatest(place(i) + 1 - window, F.lit(0))
+    about = lambda i: F.struct(
+        F.element_at("hs", i + 1).alias("h"), F.element_at(F.array(*[F.lit(k) for k in ks]), seg(i) + 1).alias("dk"),
+        place(i).alias("p"), left(i).alias("from"), F.slice("ws", left(i) + 1, F.lit(2 * window)).alias("around"),
+    )
+    whole = F.array(F.lit(None).cast("struct<h: bigint, dk: int, p: int, from: int, around: array<string>>"))
+    at = base.select("doc_id", "mark", "n", F.explode_outer(F.concat(F.transform("at", about), whole)).alias("x"))
+    return at.select("doc_id", "mark", "n", F.col("x").isNull().alias("is_row"), "x.*")
+
+
 def scan(docs: DataFrame, items: DataFrame, window: int = 13, shingle: int = 5, listed_hashes: int = 50_000) -> DataFrame:
     """doc_id, text -> per row: doc_id, n_words, n_hit, hit_items (sorted ids as strings).
 
     If the prefix shingles have ``listed_hashes`` different hashes at most, the scan keeps only
-    the positions whose hash is one of them and the prefix table is broadcast; beyond that all
-    positions are joined with the prefix table, shuffled by hash.  Either way a position carries
-    the words around it, never the whole text.
+    the positions whose hash is one of them, with the words around each, and the prefix table is
+    broadcast.  Beyond that positions are joined with the prefix table, shuffled by hash; they carry
+    no words: those are fetched for the candidates that pass the bounds.  Both ways find the same.
     """
     pre = stored(prefixes(items, window, shingle))
     ks = sorted({r["k"] for r in pre.select("k").distinct().collect()} | {shingle})
@@ -80,30 +94,30 @@ def scan(docs: DataFrame, items: DataFrame, window: int = 13, shingle: int = 5,
     base = docs.select("doc_id", F.xxhash64("text").alias("mark"), words(F.col("text")).alias("ws"))
     base = base.withColumn("n", F.size("ws")).withColumn("low", F.transform("ws", lambda w: F.lower(w)))
     base = base.select("doc_id", "mark", "ws", "n", F.concat(*[shingle_hashes(F.col("low"), k) for k in ks]).alias("hs"))
-    wanted = (lambda h: h.isin(hashes)) if small and hashes else (lambda h: F.lit(bool(hashes)))
-    base = base.withColumn("at", F.array_compact(F.transform("hs", lambda h, i: F.when(wanted(h), i))))
-    seg = lambda i: F.floor(i / F.col("n")).cast("int")
-    place = lambda i: (i - seg(i) * F.col("n")).cast("int")
-    left = lambda i: F.greatest(place(i) + 1 - window, F.lit(0))
-    about = lambda i: F.struct(
-        F.element_at("hs", i + 1).alias("h"), F.element_at(F.array(*[F.lit(k) for k in ks]), seg(i) + 1).alias("dk"),
-        place(i).alias("p"), left(i).alias("from"), F.slice("ws", left(i) + 1, F.lit(2 * window)).alias("around"),
-    )
-    # The row itself goes along as a last entry without a position.
-    whole = F.array(F.lit(None).cast("struct<h: bigint, dk: int, p: int, from: int, around: array<string>>"))
-    at = base.select("doc_id", "mark", "n", F.explode_outer(F.concat(F.transform("at", about), whole)).alias("x"))
-    at = at.select("doc_id", "mark", "n", F.col("x").isNull().alias("is_row"), "x.*")
+    if small:
+        wanted = (lambda h: h.isin(hashes)) if hashes else (lambda h: F.lit(False))
+        base = base.withColumn("at", F.array_compact(F.transform("hs", lambda h, i: F.when(wanted(h), i))))
     start = F.col("p") - F.col("off")
+    # Bounds come first: words are taken only where the window lies inside the document.
+    fits = (start >= 0) & (start + F.col("len") <= F.col("n"))
     on = (F.col("h") == F.col("__h")) & (F.col("dk") == F.col("k"))
     right = pre.withColumnRenamed("h", "__h")
     if small:
-        hit = at.join(F.broadcast(right), on, "left")
+        same = F.when(fits, folded(F.slice("around", F.greatest(start - F.col("from") + 1, F.lit(1)), F.coalesce("len", F.lit(1)))) == F.col("win")).otherwise(False)
+        hit = _listed(base, ks, window).join(F.broadcast(right), on, "left").filter(F.col("is_row") | (F.col("win").isNotNull() & same))
+        hit = hit.select("doc_id", "mark", "n", "is_row", "item_id", start.alias("start"), "len")
     else:
-        hit = at.filter(~F.col("is_row")).join(right, on).unionByName(at.filter("is_row"), allowMissingColumns=True)
-    # Bounds come first: the slice is taken only where the window lies inside the document.
-    fits = (start >= 0) & (start + F.col("len") <= F.col("n"))
-    same = F.when(fits, folded(F.slice("around", F.greatest(start - F.col("from") + 1, F.lit(1)), F.coalesce("len", F.lit(1)))) == F.col("win")).otherwise(False)
-    hit = hit.filter(F.col("is_row") | (F.col("win").isNotNull() & same))
+        each = base.select("doc_id", "mark", "n", F.posexplode("hs").alias("i", "h"))
+        seg = F.floor(F.col("i") / F.col("n")).cast("int")
+        each = each.select("doc_id", "mark", "n", "h", F.element_at(F.array(*[F.lit(k) for k in ks]), seg + 1).alias("dk"), (F.col("i") - seg * F.col("n")).cast("int").alias("p"))
+        cand = each.join(right, on).filter(fits).select("doc_id", "mark", F.struct("item_id", start.alias("start"), "len", "win").alias("c"))
+        cand = cand.groupBy(F.col("doc_id").alias("__id"), F.col("mark").alias("__mark")).agg(F.collect_set("c").alias("cs"))
+        whole = F.array(F.lit(None).cast("struct<item_id: string, start: int, len: int>"))
+        true = F.transform(F.filter("cs", lambda c: folded(F.slice("ws", c["start"] + 1, c["len"])) == c["win"]), lambda c: F.struct(c["item_id"].cast("string").alias("item_id"), c["start"].alias("start"), c["len"].alias("len")))
+        hit = base.join(cand, (F.col("mark") == F.col("__mark")) & F.col("doc_id").eqNullSafe(F.col("__id")), "left")
+        hit = hit.select("doc_id", "mark", "n", F.explode(F.concat(F.coalesce(true, F.array()), whole)).alias("x"))
+        hit = hit.select("doc_id", "mark", "n", F.col("x").isNull().alias("is_row"), "x.*")
+    start = F.col("start")
     found = F.when(~F.col("is_row"), F.struct(start.cast("long").alias("a"), (start + F.col("len")).cast("long").alias("b")))
     got = hit.groupBy("doc_id", "mark").agg(
         F.max("n").cast("long").alias("n_words"),
