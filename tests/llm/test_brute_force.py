@@ -313,28 +313,67 @@ def test_rewrite_touches_only_what_changes(spark, tmp_path):
 # ---- toxic spans ------------------------------------------------------------------------------------
 
 
-def test_marginals_and_partition_by_enumeration():
+def test_marginals_partition_and_gradient_by_enumeration():
     rng = np.random.default_rng(8)
-    f = toxicity.Field(rng.normal(0, 1, toxicity.LEVELS + 1), np.array([[0.0, *rng.normal(0, 1, 1)], rng.normal(0, 1, 2)]))
-    levels = [0, 2, 0, 0, 1, 3, 0]
-    marked = [i for i, x in enumerate(levels) if x]
-    gap = np.diff(np.array([-1, *marked, len(levels)])) - 1
-    z, hot = 0.0, np.zeros(len(marked))
-    for tags in itertools.product((0, 1), repeat=len(levels)):
-        before = (0, *tags[:-1])
-        w = math.exp(sum(f.turn[a, b] + b * f.emit[x] for a, b, x in zip(before, tags, levels)))
-        z += w
-        hot += w * np.array([tags[i] for i in marked])
-    lv = np.array([levels[i] for i in marked])
-    assert np.allclose(f.marginals(lv, gap), hot / z)
-    assert math.isclose(f.log_z(lv[None], gap[None], np.ones((1, len(marked)), bool))[0], math.log(z), rel_tol=1e-9)
+    docs = [[0, 2, 0, 0, 1, 3, 0], [0, 0, 0], [1], [], [2, 2, 0, 0, 0, 1]]
+    weight = np.append(0.0, rng.normal(0, 1, 3))
+
+    def plain(x):
+        logs, hot = [], []
+        for forms in docs:
+            z, on = 0.0, np.zeros(len(forms))
+            for tags in itertools.product((0, 1), repeat=len(forms)):
+                turn = [[0.0, x[1]], [x[2], x[3]]]
+                w = math.exp(sum(turn[a][b] + b * (x[0] + weight[f]) for a, b, f in zip((0, *tags[:-1]), tags, forms)))
+                z += w
+                on += w * np.array(tags)
+            logs.append(math.log(z))
+            hot += (on / z)[np.array(forms, int) > 0].tolist()
+        return np.array(logs), np.array(hot)
+
+    marked = [[i for i, f in enumerate(d) if f] for d in docs]
+    gap = np.concatenate([np.diff(np.array([-1, *m])) - 1 for m in marked]).astype(int)
+    after = np.array([len(d) - 1 - (m[-1] if m else -1) for d, m in zip(docs, marked)])
+    c = toxicity.Chains(np.array([len(m) for m in marked]), gap, after)
+    extra = np.array([weight[f] for d in docs for f in d if f])
+    x = np.array([-0.7, *rng.normal(0, 1, 3)])
+    field = lambda x: toxicity.Field(x[0], np.array([[0.0, x[1]], [x[2], x[3]]]))
+    log, hot, slope = field(x).run(c, extra, gradient=True)
+    want_log, want_hot = plain(x)
+    assert np.allclose(log, want_log) and np.allclose(hot, want_hot)
+    for j in range(4):
+        up, down = x.copy(), x.copy()
+        up[j] += 1e-5
+        down[j] -= 1e-5
+        assert np.allclose(slope[:, j], (plain(up)[0] - plain(down)[0]) / 2e-5, atol=1e-6)
+
+
+def test_field_learns_which_tokens_matter_from_document_labels():
+    """Form 0 makes a document toxic; form 1 is as frequent in either kind."""
+    rng = np.random.default_rng(15)
+    count, nth, form, toxic = [], [], [], []
+    for i in range(400):
+        toxic.append(i % 4 == 0)
+        own = [1] * int(rng.integers(0, 4)) + [0] * (int(rng.integers(1, 3)) if toxic[-1] else 0)
+        nth += [sum(count) + k for k in range(len(own))]
+        form += own
+        count.append(len(own))
+    c = toxicity.Chains(np.array(count), rng.integers(0, 30, sum(count)), rng.integers(0, 30, len(count)))
+    _, w = toxicity.fit_field(c, np.array(nth), np.array(form), np.array(toxic), np.ones(2), np.zeros(2, bool))
+    assert w[0] > w[1] + 2
+
+
+def test_fit_does_not_depend_on_partitions(spark):
+    docs, labels = spark.read.parquet(f"{MORE}/documents.parquet").select("doc_id", "text"), spark.read.parquet(f"{MORE}/labels.parquet")
+    one, two = toxicity.fit(docs, labels), toxicity.fit(docs.repartition(7), labels.repartition(3))
+    assert (one.forms == two.forms).all() and (one.weight == two.weight).all() and (one.curve == two.curve).all()
 
 
 def test_toxicity_on_held_out_documents(spark):
     labels = {r.doc_id: r.toxic for r in spark.read.parquet("/root/testdata/sf0.1/labels.parquet").collect()}
     rows = [r for r in QUERIES["op6_toxicity"](spark, "/root/testdata/sf0.1").filter("held_out").collect() if r.doc_id in labels]
     hit = sum(r.predicted and labels[r.doc_id] for r in rows)
-    assert hit >= 0.9 * sum(r.predicted for r in rows) and hit >= 0.75 * sum(labels[r.doc_id] for r in rows)
+    assert hit >= 0.95 * sum(r.predicted for r in rows) and hit >= 0.9 * sum(labels[r.doc_id] for r in rows)
 
 
 def test_offending_offsets(spark):
