@@ -8,6 +8,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+from trajkit.operators.quantile import exact_quantile
 from trajkit.operators import density, ensemble as E, features as FT, graphcut, lloyd as L, measures as M, panel as P, rules as R, scaling
 from trajkit.operators.features import FEATURES, FeatureOptions
 from trajkit.plans import base_queries as B
@@ -180,21 +181,126 @@ def test_measures_by_hand(spark):
     assert math.isclose(f.f, (12.25 / 1) / (2.5 / 2), abs_tol=1e-4) and math.isclose(f.eta2, 12.25 / 14.75, abs_tol=1e-6)
 
 
-def test_rules_on_shapes(spark):
-    shapes = {1: [9, 7, 5, 3, 2, 1, 0, 0, 0, 0], 2: [0, 0, 1, 1, 2, 3, 4, 5, 6, 9], 3: [1, 0, 0, 0, 0, 0, 0, 0, 9, 2]}
-    dense = P.densify_long(panel(spark, shapes), 10)
-    got = lambda t: {r.item_id: r for r in R.apply(spark, t, dense).collect()}
-    assert {i: r.rise for i, r in got(R.rise_decline(10)).items()} == {1: "early", 2: "delayed", 3: "delayed"}
-    assert got(R.peak_shape(10))[2]["class"] == "monotone_up" and got(R.peak_shape(10))[3]["class"] == "late"
-    assert got(R.angle())[1]["class"] == "smart"
-    b = got(R.beauty())
-    assert b[1].beauty == 0 and math.isclose(b[3].beauty, sum((9 - 1) / 8 * t + 1 - n for t, n in enumerate([1, 0, 0, 0, 0, 0, 0, 0, 9])), rel_tol=1e-9)
-    assert got(R.awakening())[3].t_awake == 7
-    assert got(R.transient_sticky(10))[1]["class"] == "transient" and got(R.half_peak(10))[1]["class"] == "hot"
-    assert got(R.poly_fit(10))[2].r2 > 0.9
-    s = np.array(shapes[2], float)
-    fit = np.polynomial.Polynomial.fit(np.arange(10), s, 5)
-    assert math.isclose(got(R.poly_fit(10))[2].r2, 1 - ((s - fit(np.arange(10))) ** 2).sum() / ((s - s.mean()) ** 2).sum(), abs_tol=1e-5)
+def series_of(spark, shapes):
+    return spark.createDataFrame(list(shapes.items()), "item_id int, series array<bigint>")
+
+
+def plain_rules(x, w):
+    """Every scheme of one series, by loops."""
+    c, m, t_peak, out = sum(x), max(x), x.index(max(x)), {}
+    cum = [sum(x[: t + 1]) for t in range(w)]
+    k = max(1, round(10 * w / 25))
+    out["delayed"] = "delayed" if c >= 30 and sum(x[:k]) <= 0.25 * c else "other"
+    f = w / 16
+    rise, late = sum(x[: max(1, round(3 * f))]) / c, sum(x[round(6 * f) : round(12 * f)]) / c
+    out["rise"] = "early" if rise > 0.3 else "medium" if rise >= 0.15 else "delayed"
+    out["decline"] = "rapid" if late < 0.3 else "slow" if late <= 0.5 else "none"
+    r = round(sum(n * t for t, n in enumerate(x)) / c / (w - 1), 9)
+    holds = {"sleeping": c > 25 and r > 0.7, "discovery": c > 50 and r < 0.4, "hot": c > 35 and r > 2 / 3}
+    out["age"] = next((z for z in ("sleeping", "discovery", "hot") if holds[z]), "other")
+    t25, t50, t75 = (next(t for t in range(w) if 4 * cum[t] >= q * c) for q in (1, 2, 3))
+    out["half_life"] = (t25, t50, t75)
+    out["own"] = "delayed" if t50 - t25 > t75 - t50 else "flash" if t50 - t25 < t75 - t50 else "normal"
+    k = max(1, round(5 * w / 20))
+    tops = [t for t in range(w) if x[t] > (x[t - 1] if t else -1) and x[t] >= (x[t + 1] if t + 1 < w else -1) and x[t] >= 0.75 * m]
+    if all(x[t] >= x[t - 1] for t in range(1, w)):
+        out["shape"] = "monotone_up"
+    elif all(x[t] <= x[t - 1] for t in range(2, w)) and tops and tops[0] <= 1:
+        out["shape"] = "monotone_down"
+    elif len(tops) > 1:
+        out["shape"] = "several"
+    elif tops[0] <= k and sum(x[tops[0] + 1 :]) <= 0.5 * m * (w - 1 - tops[0]):
+        out["shape"] = "initial"
+    elif k < tops[0] < w - 1 and sum(x[:k]) / k <= 0.5 * m:
+        out["shape"] = "late"
+    else:
+        out["shape"] = "other"
+    out["beauty"] = sum(((m - x[0]) / t_peak * t + x[0] - x[t]) / max(1, x[t]) for t in range(t_peak + 1)) if t_peak else 0.0
+    far = [round(abs((m - x[0]) * t - t_peak * x[t] + t_peak * x[0]) / math.sqrt((m - x[0]) ** 2 + t_peak**2 + 1e-12), 6) for t in range(t_peak + 1)]
+    out["awake"] = far.index(max(far))
+    deg = math.degrees(math.atan2(m, max(t_peak, 0.5)))
+    out["angle"] = "smart" if deg > 60 else "sleeping" if deg < 30 else "between"
+    high = next(t for t in range(w) if x[t] >= 0.75 * m)
+    low = next((t for t in range(high + 1, w) if x[t] <= 0.5 * m), None)
+    back = next((t for t in range(low + 1, w) if x[t] >= 0.75 * m), None) if low is not None else None
+    asleep = sum(x[: w // 3]) <= 0.25 * c
+    out["second"] = ("second_act_sleeper" if asleep else "second_act") if back is not None else "single_peak_sleeper" if asleep else "other"
+    out["revived"] = (back is not None, back - low if back is not None else None)
+    sleeps = sum(x[:5]) / 5 <= 1.0 and sum(x[5:10]) >= 4
+    out["sleepers"] = "all_elements" if sleeps and not sum(x[:5]) else "sleeper" if sleeps else "other"
+    tail = sum(x[w // 2 :]) / c
+    out["transient"] = "sticky" if tail >= 0.2 else "transient" if t_peak <= 0.2 * w else "other"
+    return out
+
+
+#: Between them these reach every class of every scheme.
+SHAPES = {
+    1: [9, 7, 5, 3, 2, 1, 0, 0, 0, 0], 2: [0, 0, 1, 1, 2, 3, 4, 5, 6, 9], 3: [1, 0, 0, 0, 0, 0, 0, 0, 9, 2], 4: [0, 0, 0, 0, 0, 3, 3, 2, 1, 1], 5: [9, 1, 1, 1, 9, 1, 1, 9, 1, 1],
+    6: [1, 1, 0, 1, 0, 20, 4, 30, 2, 30], 7: [1, 0, 0, 0, 0, 0, 0, 0, 0, 0], 8: [0, 1, 1, 0, 0, 3, 9, 3, 0, 40], 9: [30, 20, 5, 1, 1, 1, 0, 1, 0, 1], 10: [5] * 10, 11: [0, 0, 0, 0, 0, 0, 0, 0, 1, 0],
+    12: [4, 9, 4, 4, 5, 4, 4, 5, 4, 4], 13: [2, 2, 2, 2, 9, 2, 2, 2, 2, 1], 14: [0, 0, 0, 4, 0, 0, 0, 0, 0, 0], 15: [3, 3, 3, 3, 3, 3, 5, 3, 3, 3], 16: [0, 1, 0, 1, 0, 9, 1, 9, 9, 9], 17: [10, 11, 10, 9, 9, 9, 9, 9, 9, 9],
+    18: [0, 1, 0, 1, 0, 2, 4, 9, 9, 9], 19: [0, 2, 3, 4, 9, 12, 14, 9, 5, 1], 20: [9, 0, 0, 0, 0, 0, 0, 0, 1, 3],
+}
+
+
+def test_rules_against_loops(spark):
+    """Hand-made series and random ones through every scheme, beside plain loops."""
+    w, rng = 10, np.random.default_rng(4)
+    shapes = SHAPES | {100 + i: (rng.integers(0, 12, w) * (rng.random(w) < 0.6)).tolist() for i in range(300)}
+    shapes = {i: x for i, x in shapes.items() if sum(x)}
+    want = {i: plain_rules(x, w) for i, x in shapes.items()}
+    series = series_of(spark, shapes).cache()
+    got = {
+        "delayed": R.delayed_recognition(series, w), "age": R.age_ratio(series, w, 0.1), "own": R.half_life(series, "own"), "shape": R.peak_shape(series, w), "angle": R.angle(series),
+        "second": R.second_act(series, w), "sleepers": R.sleepers(series, w), "transient": R.transient_sticky(series, w),
+    }
+    for name, df in got.items():
+        mine = {r.item_id: r["class"] for r in df.collect()}
+        assert mine == {i: x[name] for i, x in want.items()}, name
+    classes = {"delayed": 2, "age": 4, "own": 3, "shape": 6, "angle": 3, "second": 4, "sleepers": 3, "transient": 3}
+    assert {k: len({x[k] for x in want.values()}) for k in classes} == classes
+    grid = {r.item_id: (r.rise, r.decline) for r in R.rise_decline(series, w).collect()}
+    assert grid == {i: (x["rise"], x["decline"]) for i, x in want.items()} and len({a for a, _ in grid.values()}) == len({b for _, b in grid.values()}) == 3
+    half = {r.item_id: r for r in R.half_life(series).collect()}
+    assert {i: (r.t25, r.t50, r.t75) for i, r in half.items()} == {i: x["half_life"] for i, x in want.items()}
+    lo, hi = np.percentile([x["half_life"][1] for x in want.values()], [25, 75])
+    assert {i: r["class"] for i, r in half.items()} == {i: "flash" if x["half_life"][1] < lo else "delayed" if x["half_life"][1] > hi else "normal" for i, x in want.items()}
+    assert all(math.isclose(r.beauty, want[r.item_id]["beauty"], abs_tol=1e-8) for r in R.beauty(series).collect())
+    assert {r.item_id: r.t_awake for r in R.awakening(series).collect()} == {i: x["awake"] for i, x in want.items()}
+    assert {r.item_id: (r.revived, r.quiet) for r in R.revival(series, w).collect()} == {i: x["revived"] for i, x in want.items()}
+    x = np.array(list(shapes.values()), float)
+    ratio = x / x.mean(0)
+    assert {r.item_id: r.t_norm_peak for r in R.half_peak(series, w).collect()} == dict(zip(shapes, ratio.argmax(1).tolist()))
+    var = np.cumsum(x, 1).var(0)
+    h = np.polyfit(np.log(np.arange(1, w + 1)), np.log(var), 1)[0] / 2
+    assert math.isclose(R.spread_exponent(series, w).first().h, h, abs_tol=1e-5)
+    for r in R.poly_fit(series, w).filter("item_id < 10").collect():
+        s = np.array(shapes[r.item_id], float)
+        fit = np.polynomial.Polynomial.fit(np.arange(w), s, 5)(np.arange(w))
+        assert math.isclose(r.r2, 1 - ((s - fit) ** 2).sum() / ((s - s.mean()) ** 2).sum(), abs_tol=1e-5)
+    series.unpersist()
+
+
+def test_thresholds_and_precedence_of_the_age_ratio(spark):
+    """Printed thresholds as defaults; where two rules hold the order decides."""
+    series = series_of(spark, {1: [0, 0, 0, 0, 100, 300], 2: [600, 10, 10, 0, 0, 0], 3: [0, 0, 0, 100, 0, 160], 4: [100, 10, 0, 0, 0, 0]})
+    assert {r.item_id: r["class"] for r in R.age_ratio(series, 6).collect()} == {1: "sleeping", 2: "discovery", 3: "sleeping", 4: "other"}
+    assert {r.item_id: r["class"] for r in R.age_ratio(series, 6, order=("hot", "sleeping", "discovery")).collect()} == {1: "hot", 2: "discovery", 3: "sleeping", 4: "other"}
+
+
+def test_half_peak_tells_near_ties_apart(spark):
+    """A later ratio larger by five millionths wins over an earlier one."""
+    a, b = [1_000_000] + [0] * 18 + [1_000_010], [1_000_000] + [0] * 18 + [1_000_000]
+    got = {r.item_id: r["class"] for r in R.half_peak(series_of(spark, {1: a, 2: b}), 20).collect()}
+    assert got == {1: "delayed", 2: "hot"}
+
+
+def test_exact_quantile(spark):
+    rng = np.random.default_rng(5)
+    x = np.concatenate([rng.lognormal(0, 3, 30_000), np.full(12_000, 1.5), [float("nan")] * 3])
+    df = spark.createDataFrame([(float(v),) for v in x], "v double")
+    for q in (0.0, 0.25, 0.5, 0.9, 1.0):
+        assert math.isclose(exact_quantile(df, df["v"], q), np.quantile(x[~np.isnan(x)], q), rel_tol=1e-12)
+    assert exact_quantile(df.limit(0), df["v"], 0.5) is None
 
 
 def test_diffusion_recovers_its_parameters(spark):
@@ -203,7 +309,7 @@ def test_diffusion_recovers_its_parameters(spark):
         n = (p + q * total / m) * (m - total)
         series.append(round(n))
         total += round(n)
-    r = R.apply(spark, R.diffusion(), P.densify_long(panel(spark, {1: series}), 20)).first()
+    r = R.diffusion(series_of(spark, {1: series})).first()
     assert math.isclose(r.p, p, rel_tol=0.02) and math.isclose(r.q, q, rel_tol=0.02) and math.isclose(r.m, m, rel_tol=0.02)
 
 

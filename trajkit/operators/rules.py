@@ -1,143 +1,221 @@
-"""Rule-based and model-based schemes as SQL over a panel.
+"""Rule-based and model-based schemes over one array of counts an item.
 
-Every statement reads ``{dense}`` (item_id, t, n with zeros) or ``{panel}`` (active periods only),
-so Spark runs it over DataFrames (``apply``) and any other engine over its own tables
-(``text``).  Thresholds are parameters; lengths of time scale with the window.
+Each function reads ``series`` (item_id, series array<bigint> with a number for every period, as
+``panel.densify`` makes them) and returns a row an item, as a projection: no scheme shuffles items.
+Those that compare an item with its cohort first take a few numbers from an aggregate.  Thresholds
+are parameters with the values printed in the literature; lengths of time scale with the window
+unless told not to.
 """
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 import numpy as np
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame
+from pyspark.sql import functions as F
 
-_TOTALS = "SELECT item_id, sum(n) AS c, max_by(t, n * 1000 - t) AS t_peak, max(n) AS n_peak, max(CASE WHEN n > 0 THEN t END) AS t_last FROM {dense} GROUP BY item_id"
-_CUM = "SELECT item_id, t, n, sum(n) OVER (PARTITION BY item_id ORDER BY t) AS cum, sum(n) OVER (PARTITION BY item_id) AS c FROM {dense}"
+from trajkit.operators.quantile import exact_quantile
+from trajkit.sources.shared import materialised
 
+def series_() -> Column:
+    return F.col("series")
 
-def delayed_recognition(w: int, total_min: int = 30, early_max: float = 0.25, w_ref: int = 25, years: int = 10) -> str:
-    """Much mentioned in all, with few mentions in the first years."""
-    k = max(1, round(years * w / w_ref))
-    return f"""SELECT item_id, early, c, CASE WHEN c >= {total_min} AND early <= {early_max} * c THEN 'delayed' ELSE 'other' END AS class
-      FROM (SELECT item_id, CAST(sum(CASE WHEN t < {k} THEN n ELSE 0 END) AS BIGINT) AS early, CAST(sum(n) AS BIGINT) AS c FROM {{dense}} GROUP BY item_id) AS x"""
 
+def total(x: Column, kind: str = "bigint") -> Column:
+    return F.aggregate(x, F.lit(0).cast(kind), lambda a, v: a + v)
 
-def rise_decline(w: int, w_ref: int = 16, scaled: bool = True) -> str:
-    """Share gained in the first 3 of 16 periods against the share in periods 7 to 12: a 3 x 3 grid."""
-    f = w / w_ref if scaled else 1.0
-    a, lo, hi = max(1, round(3 * f)), round(6 * f), round(12 * f)
-    return f"""SELECT item_id, rise_share, late_share,
-        CASE WHEN rise_share > 0.30 THEN 'early' WHEN rise_share >= 0.15 THEN 'medium' ELSE 'delayed' END AS rise,
-        CASE WHEN late_share < 0.30 THEN 'rapid' WHEN late_share <= 0.50 THEN 'slow' ELSE 'none' END AS decline
-      FROM (SELECT item_id, sum(CASE WHEN t < {a} THEN n ELSE 0 END) / CAST(sum(n) AS DOUBLE) AS rise_share,
-                   sum(CASE WHEN t >= {lo} AND t < {hi} THEN n ELSE 0 END) / CAST(sum(n) AS DOUBLE) AS late_share FROM {{dense}} GROUP BY item_id) AS x"""
 
+def head(k: int) -> Column:
+    return F.slice(series_(), 1, k)
 
-def age_ratio(w: int, sleeping: int = 25, discovery: int = 20, hot: int = 35) -> str:
-    """Mean mention age over item age; where rules overlap the first one named wins."""
-    return f"""SELECT item_id, c, r, CASE WHEN c > {sleeping} AND r > 0.7 THEN 'sleeping' WHEN c > {discovery} AND r < 0.4 THEN 'discovery' WHEN c > {hot} AND r > 2.0 / 3 THEN 'hot' ELSE 'other' END AS class
-      FROM (SELECT item_id, CAST(sum(n) AS BIGINT) AS c, round(sum(n * t) / CAST(sum(n) AS DOUBLE) / {w - 1}, 9) AS r FROM {{dense}} GROUP BY item_id) AS x"""
 
+def weighted(f: Callable[[Column, Column], Column], kind: str = "double") -> Column:
+    """Sum over periods of f(count, period)."""
+    return total(F.transform(series_(), lambda n, t: f(n, t).cast(kind)), kind)
 
-def half_life(mode: str = "cohort") -> str:
-    """Periods to a quarter, half and three quarters of the total; against the cohort's quartiles of
-    the half-life, or against the item's own spread."""
-    times = f"""SELECT item_id, min(CASE WHEN 4 * cum >= c THEN t END) AS t25, min(CASE WHEN 2 * cum >= c THEN t END) AS t50, min(CASE WHEN 4 * cum >= 3 * c THEN t END) AS t75 FROM ({_CUM}) AS x GROUP BY item_id"""
-    if mode == "own":
-        return f"SELECT item_id, t25, t50, t75, CASE WHEN t50 - t25 > t75 - t50 THEN 'delayed' WHEN t50 - t25 < t75 - t50 THEN 'flash' ELSE 'normal' END AS class FROM ({times}) AS y"
-    q = f"SELECT percentile_cont(0.25) WITHIN GROUP (ORDER BY t50) AS p25, percentile_cont(0.75) WITHIN GROUP (ORDER BY t50) AS p75 FROM ({times}) AS z"
-    return f"SELECT item_id, t25, t50, t75, CASE WHEN t50 < p25 THEN 'flash' WHEN t50 > p75 THEN 'delayed' ELSE 'normal' END AS class FROM ({times}) AS y CROSS JOIN ({q}) AS q"
 
+def first_where(x: Column, f: Callable[[Column], Column]) -> Column:
+    """The first place (from 0) at which f holds, or null."""
+    at = F.array_position(F.transform(x, f), F.lit(True))
+    return F.when(at > 0, at - 1).cast("int")
 
-def peak_shape(w: int, frac: float = 0.75, early: int = 5, w_ref: int = 20) -> str:
-    """Number and place of local maxima of at least ``frac`` of the highest."""
-    k = max(1, round(early * w / w_ref))
-    return f"""SELECT item_id, peaks, first_peak, CASE
-          WHEN ups = {w - 1} THEN 'monotone_up' WHEN downs_after_first = {w - 2} AND first_peak <= 1 THEN 'monotone_down' WHEN peaks > 1 THEN 'several'
-          WHEN peaks = 1 AND first_peak <= {k} THEN 'initial' WHEN peaks = 1 AND first_peak > {k} AND first_peak < {w - 1} THEN 'late' ELSE 'other' END AS class
-      FROM (SELECT item_id, CAST(sum(CASE WHEN top THEN 1 ELSE 0 END) AS BIGINT) AS peaks, min(CASE WHEN top THEN t END) AS first_peak,
-                   sum(CASE WHEN before IS NOT NULL AND n >= before THEN 1 ELSE 0 END) AS ups, sum(CASE WHEN t > 1 AND n <= before THEN 1 ELSE 0 END) AS downs_after_first
-            FROM (SELECT item_id, t, n, before, n > coalesce(before, -1) AND n >= coalesce(after, -1) AND n >= {frac} * m AS top
-                  FROM (SELECT item_id, t, n, lag(n) OVER (PARTITION BY item_id ORDER BY t) AS before, lead(n) OVER (PARTITION BY item_id ORDER BY t) AS after, max(n) OVER (PARTITION BY item_id) AS m FROM {{dense}}) AS a) AS b
-            GROUP BY item_id) AS x"""
 
+def periods(w: int) -> Column:
+    return F.array(*[F.lit(t) for t in range(w)])
 
-_MOMENTS = """SELECT item_id, CAST(count(*) AS DOUBLE) AS s0, CAST(sum(p) AS DOUBLE) AS s1, sum(CAST(p AS DOUBLE) * p) AS s2, sum(CAST(p AS DOUBLE) * p * p) AS s3, sum(CAST(p AS DOUBLE) * p * p * p) AS s4,
-        CAST(sum(n) AS DOUBLE) AS y0, sum(CAST(n AS DOUBLE) * p) AS y1, sum(CAST(n AS DOUBLE) * p * p) AS y2
-      FROM (SELECT item_id, t, n, coalesce(sum(n) OVER (PARTITION BY item_id ORDER BY t ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS p FROM {dense}) AS x GROUP BY item_id"""
 
+def running(inclusive: bool = True) -> Column:
+    """Running totals; without ``inclusive`` those before each period."""
+    return F.transform(series_(), lambda _, t: total(F.slice(series_(), F.lit(1), t + int(inclusive))))
 
-def diffusion_moments() -> str:
-    """Sums that the regression of a period's count on the total before it needs."""
-    return _MOMENTS
+
+def peak() -> Column:
+    return first_where(series_(), lambda n: n == F.array_max(series_()))
+
+
+def delayed_recognition(series: DataFrame, w: int, total_min: int = 30, early_max: float = 0.25, w_ref: int | None = 25, years: int = 10) -> DataFrame:
+    """Much mentioned in all, with few mentions in the first years."""
+    k = max(1, round(years * w / (w_ref or w)))
+    x = series.select("item_id", total(head(k)).alias("early"), total(series_()).alias("c"))
+    return x.withColumn("class", F.when((F.col("c") >= total_min) & (F.col("early") <= early_max * F.col("c")), "delayed").otherwise("other"))
 
 
-def diffusion() -> str:
-    """n = a + b N + c N^2 by the normal equations, then the diffusion model's market size and its
-    innovation and imitation coefficients; null where the fit has no such solution."""
-    det = "s0 * (s2 * s4 - s3 * s3) - s1 * (s1 * s4 - s2 * s3) + s2 * (s1 * s3 - s2 * s2)"
-    a = "(y0 * (s2 * s4 - s3 * s3) - s1 * (y1 * s4 - s3 * y2) + s2 * (y1 * s3 - s2 * y2)) / nullif(d, 0)"
-    b = "(s0 * (y1 * s4 - y2 * s3) - y0 * (s1 * s4 - s2 * s3) + s2 * (s1 * y2 - s2 * y1)) / nullif(d, 0)"
-    c = "(s0 * (s2 * y2 - s3 * y1) - s1 * (s1 * y2 - s2 * y1) + y0 * (s1 * s3 - s2 * s2)) / nullif(d, 0)"
-    fit = f"SELECT item_id, {a} AS a, {b} AS b, {c} AS c FROM (SELECT *, {det} AS d FROM ({_MOMENTS}) AS m) AS n"
-    m = "CASE WHEN c < 0 AND b * b - 4 * a * c >= 0 THEN (-b - sqrt(greatest(b * b - 4 * a * c, 0.0))) / (2 * c) END"
-    pq = f"SELECT item_id, a, m, CASE WHEN m > 0 THEN a / m END AS p, CASE WHEN m > 0 THEN -c * m END AS q FROM (SELECT *, {m} AS m FROM ({fit}) AS f) AS g"
-    mid = "SELECT percentile_cont(0.5) WITHIN GROUP (ORDER BY p) AS mp, percentile_cont(0.5) WITHIN GROUP (ORDER BY q) AS mq FROM (" + pq + ") AS h"
-    cls = "CASE WHEN p IS NULL THEN 'none' ELSE concat(CASE WHEN p > mp THEN 'large_p' ELSE 'small_p' END, '_', CASE WHEN q > mq THEN 'large_q' ELSE 'small_q' END) END"
-    return f"SELECT item_id, round(m, 4) AS m, round(p, 6) AS p, round(q, 6) AS q, {cls} AS class FROM ({pq}) AS k CROSS JOIN ({mid}) AS mid"
+def rise_decline(series: DataFrame, w: int, w_ref: int = 16, scaled: bool = True) -> DataFrame:
+    """Share gained in the first 3 of 16 periods against the share in periods 7 to 12: a 3 x 3 grid."""
+    f = w / w_ref if scaled else 1.0
+    a, lo, hi = max(1, round(3 * f)), round(6 * f), round(12 * f)
+    x = series.select("item_id", (total(head(a)) / total(series_())).alias("rise_share"), (total(F.slice(series_(), lo + 1, hi - lo)) / total(series_())).alias("late_share"))
+    rise, late = F.col("rise_share"), F.col("late_share")
+    return x.withColumns({
+        "rise": F.when(rise > 0.30, "early").when(rise >= 0.15, "medium").otherwise("delayed"),
+        "decline": F.when(late < 0.30, "rapid").when(late <= 0.50, "slow").otherwise("none"),
+    })
 
 
-_LINE = f"""SELECT d.item_id, d.t, d.n, x.t_peak, x.n_peak, f.n0 FROM {{dense}} AS d JOIN ({_TOTALS}) AS x ON x.item_id = d.item_id
-      JOIN (SELECT item_id, n AS n0 FROM {{dense}} WHERE t = 0) AS f ON f.item_id = d.item_id WHERE d.t <= x.t_peak"""
+def age_ratio(series: DataFrame, w: int, scale: float = 1.0, order: tuple[str, ...] = ("sleeping", "discovery", "hot")) -> DataFrame:
+    """Mean mention age over item age with thresholds on the total (250, 500 and 350 times ``scale``);
+    the rules overlap, and of those that hold the first in ``order`` wins."""
+    r = F.round(weighted(lambda n, t: n * t, "bigint") / total(series_()) / float(w - 1), 9)
+    x = series.select("item_id", total(series_()).alias("c"), r.alias("r"))
+    c, r = F.col("c"), F.col("r")
+    holds = {"sleeping": (c > 250 * scale) & (r > 0.7), "discovery": (c > 500 * scale) & (r < 0.4), "hot": (c > 350 * scale) & (r > 2 / 3)}
+    return x.withColumn("class", F.coalesce(*[F.when(holds[k], F.lit(k)) for k in order], F.lit("other")))
 
 
-def beauty() -> str:
+def half_life(series: DataFrame, mode: str = "cohort") -> DataFrame:
+    """Periods to a quarter, half and three quarters of the total; against the cohort's quartiles of
+    the half-life (counts of few different integers), or against the item's own spread."""
+    reach = lambda part: first_where(F.col("run"), lambda x: 4 * x >= part * F.col("c"))
+    x = series.select("item_id", running().alias("run"), total(series_()).alias("c")).select("item_id", reach(1).alias("t25"), reach(2).alias("t50"), reach(3).alias("t75"))
+    if mode == "own":
+        up, down = F.col("t50") - F.col("t25"), F.col("t75") - F.col("t50")
+        return x.withColumn("class", F.when(up > down, "delayed").when(up < down, "flash").otherwise("normal"))
+    q = x.agg(F.percentile("t50", 0.25).alias("p25"), F.percentile("t50", 0.75).alias("p75"))  # one row
+    cls = F.when(F.col("t50") < F.col("p25"), "flash").when(F.col("t50") > F.col("p75"), "delayed").otherwise("normal")
+    return x.crossJoin(F.broadcast(q)).select("item_id", "t25", "t50", "t75", cls.alias("class"))
+
+
+def peak_shape(series: DataFrame, w: int, frac: float = 0.75, early: int = 5, w_ref: int | None = 20, decline: float = 0.5, few: float = 0.5) -> DataFrame:
+    """Number and place of local maxima of at least ``frac`` of the highest.  An initial peak must be
+    followed by a decline (mean of the later periods at most ``decline`` of the peak), a late one
+    have few initial mentions (mean of the early periods at most ``few`` of it)."""
+    k, m = max(1, round(early * w / (w_ref or w))), F.array_max(series_())
+    near = lambda t: F.coalesce(F.get(series_(), t), F.lit(-1))
+    top = F.filter(periods(w), lambda t: (F.get(series_(), t) > F.when(t > 0, near(t - 1)).otherwise(-1)) & (F.get(series_(), t) >= near(t + 1)) & (F.get(series_(), t) >= frac * m))
+    rest = F.filter(periods(w), lambda t: t > 0)
+    ups = F.size(F.filter(rest, lambda t: F.get(series_(), t) >= F.get(series_(), t - 1)))
+    downs = F.size(F.filter(rest, lambda t: (t > 1) & (F.get(series_(), t) <= F.get(series_(), t - 1))))
+    x = series.select("item_id", "series", top.alias("top"), m.alias("m"), ups.alias("ups"), downs.alias("downs"))
+    x = x.withColumns({"peaks": F.size("top").cast("long"), "first_peak": F.get("top", F.lit(0))})
+    p, after = F.col("first_peak"), F.slice(series_(), F.col("first_peak") + 2, F.lit(w))
+    falls = F.when(p < w - 1, total(after) / F.size(after) <= decline * F.col("m")).otherwise(False)
+    quiet = total(head(k)) / k <= few * F.col("m")
+    one = F.col("peaks") == 1
+    cls = (
+        F.when(F.col("ups") == w - 1, "monotone_up").when((F.col("downs") == w - 2) & (p <= 1), "monotone_down").when(F.col("peaks") > 1, "several")
+        .when(one & (p <= k) & falls, "initial").when(one & (p > k) & (p < w - 1) & quiet, "late").otherwise("other")
+    )
+    return x.select("item_id", "peaks", "first_peak", cls.alias("class"))
+
+
+def diffusion_moments(series: DataFrame) -> DataFrame:
+    """Sums that the regression of a period's count on the total before it needs."""
+    x = series.select("item_id", "series", F.transform(running(False), lambda v: v.cast("double")).alias("p"))
+    power = lambda j: total(F.transform("p", lambda v: F.pow(v, F.lit(float(j))) if j != 1 else v), "double")
+    mixed = lambda j: total(F.zip_with(series_(), "p", lambda n, v: n * F.pow(v, F.lit(float(j)))), "double")
+    return x.select("item_id", *[power(j).alias(f"s{j}") for j in range(5)], *[mixed(j).alias(f"y{j}") for j in range(3)])
+
+
+def diffusion(series: DataFrame) -> DataFrame:
+    """Least squares of n on N and N squared (centred), then the diffusion model's market size and its
+    innovation and imitation coefficients, null where the fit has no such solution; classes by the
+    exact medians of both."""
+    c = F.col
+    x = diffusion_moments(series)
+    # Centred sums, times s0, keep the normal equations to two.
+    x = x.select(
+        "item_id", "s0", "s1", "s2", "y0", (c("s0") * c("s2") - c("s1") * c("s1")).alias("vv"), (c("s0") * c("s3") - c("s1") * c("s2")).alias("vw"), (c("s0") * c("s4") - c("s2") * c("s2")).alias("ww"),
+        (c("s0") * c("y1") - c("s1") * c("y0")).alias("vy"), (c("s0") * c("y2") - c("s2") * c("y0")).alias("wy"),
+    ).withColumn("det", c("vv") * c("ww") - c("vw") * c("vw"))
+    div = lambda a, b: F.when(b != 0, a / b)
+    x = x.withColumns({"b": div(c("vy") * c("ww") - c("wy") * c("vw"), c("det")), "k": div(c("wy") * c("vv") - c("vy") * c("vw"), c("det"))})
+    x = x.withColumn("a", (c("y0") - c("b") * c("s1") - c("k") * c("s2")) / c("s0"))
+    root = c("b") * c("b") - 4 * c("a") * c("k")
+    x = x.withColumn("m", F.when((c("k") < 0) & (root >= 0), (-c("b") - F.sqrt(F.greatest(root, F.lit(0.0)))) / (2 * c("k"))))
+    x = x.select("item_id", "m", F.when(c("m") > 0, c("a") / c("m")).alias("p"), F.when(c("m") > 0, -c("k") * c("m")).alias("q"))
+    x = materialised(x)  # the medians and the classes read it several times
+    mp, mq = exact_quantile(x, c("p"), 0.5), exact_quantile(x, c("q"), 0.5)
+    size = lambda v, mid, name: F.concat(F.when(v > F.lit(mid), "large_").otherwise("small_"), F.lit(name))
+    cls = F.when(c("p").isNull(), "none").otherwise(F.concat_ws("_", size(c("p"), mp, "p"), size(c("q"), mq, "q")))
+    return x.select("item_id", F.round("m", 4).alias("m"), F.round("p", 6).alias("p"), F.round("q", 6).alias("q"), cls.alias("class"))
+
+
+def _to_peak(series: DataFrame) -> DataFrame:
+    """Birth, peak, and the series from birth to peak."""
+    x = series.select("item_id", "series", F.get(series_(), F.lit(0)).alias("n0"), peak().alias("t_peak"), F.array_max(series_()).alias("n_peak"))
+    return x.withColumn("rise", F.slice(series_(), F.lit(1), F.col("t_peak") + 1))
+
+
+def beauty(series: DataFrame) -> DataFrame:
     """Sum of the gaps between the line from birth to peak and the series, over the series."""
-    return f"""SELECT item_id, round(sum(CASE WHEN t_peak = 0 THEN 0.0 ELSE ((n_peak - n0) / CAST(t_peak AS DOUBLE) * t + n0 - n) / greatest(1, n) END), 9) AS beauty FROM ({_LINE}) AS l GROUP BY item_id"""
+    up = (F.col("n_peak") - F.col("n0")) / F.greatest(F.col("t_peak"), F.lit(1)).cast("double")
+    gaps = F.transform("rise", lambda n, t: F.when(F.col("t_peak") > 0, (up * t + F.col("n0") - n) / F.greatest(n, F.lit(1))).otherwise(0.0))
+    return _to_peak(series).select("item_id", F.round(total(gaps, "double"), 9).alias("beauty"))
 
 
-def awakening() -> str:
+def awakening(series: DataFrame) -> DataFrame:
     """The period farthest from that line; the first of equals."""
-    dist = "round(abs((n_peak - n0) * t - t_peak * n + t_peak * n0) / sqrt(CAST((n_peak - n0) * (n_peak - n0) + t_peak * t_peak AS DOUBLE) + 1e-12), 6)"
-    return f"SELECT item_id, max_by(t, {dist} * 1000000000 - t) AS t_awake, max({dist}) AS distance FROM ({_LINE}) AS l GROUP BY item_id"
+    up, across = F.col("n_peak") - F.col("n0"), F.col("t_peak")
+    far = F.transform("rise", lambda n, t: F.round(F.abs(up * t - across * n + across * F.col("n0")) / F.sqrt((up * up + across * across).cast("double") + 1e-12), 6))
+    x = _to_peak(series).select("item_id", far.alias("far"))
+    return x.select("item_id", first_where(F.col("far"), lambda v: v == F.array_max("far")).alias("t_awake"), F.array_max("far").alias("distance"))
 
 
-def angle(hi: float = 60, lo: float = 30, x_scale: float = 1.0, y_scale: float = 1.0) -> str:
+def angle(series: DataFrame, hi: float = 60, lo: float = 30, x_scale: float = 1.0, y_scale: float = 1.0) -> DataFrame:
     """Angle of the line from birth to peak above the zero line."""
-    deg = f"round(degrees(atan2(n_peak / {y_scale}, greatest(t_peak, 0.5) / {x_scale})), 6)"
-    return f"SELECT item_id, angle, CASE WHEN angle > {hi} THEN 'smart' WHEN angle < {lo} THEN 'sleeping' ELSE 'between' END AS class FROM (SELECT item_id, {deg} AS angle FROM ({_TOTALS}) AS x) AS y"
+    deg = F.round(F.degrees(F.atan2(F.array_max(series_()) / y_scale, F.greatest(peak().cast("double"), F.lit(0.5)) / x_scale)), 6)
+    x = series.select("item_id", deg.alias("angle"))
+    return x.withColumn("class", F.when(F.col("angle") > hi, "smart").when(F.col("angle") < lo, "sleeping").otherwise("between"))
 
 
-def second_act(w: int, fall: float = 0.5, again: float = 0.75, sleep: float = 0.25) -> str:
+def second_act(series: DataFrame, w: int, fall: float = 0.5, again: float = 0.75, sleep: float = 0.25) -> DataFrame:
     """After the first high period, a fall to ``fall`` of it and a later return to ``again`` of it;
     sleepers have few mentions in the first third."""
-    base = f"""SELECT x.item_id, x.c, x.n_peak, min(CASE WHEN d.n >= {again} * x.n_peak THEN d.t END) AS first_high, sum(CASE WHEN d.t < {w // 3} THEN d.n ELSE 0 END) AS early
-      FROM {{dense}} AS d JOIN ({_TOTALS}) AS x ON x.item_id = d.item_id GROUP BY x.item_id, x.c, x.n_peak"""
-    low = f"SELECT b.item_id, min(d.t) AS low FROM {{dense}} AS d JOIN ({base}) AS b ON b.item_id = d.item_id WHERE d.t > b.first_high AND d.n <= {fall} * b.n_peak GROUP BY b.item_id"
-    back = f"""SELECT b.item_id, min(d.t) AS back FROM {{dense}} AS d JOIN ({base}) AS b ON b.item_id = d.item_id JOIN ({low}) AS l ON l.item_id = d.item_id
-      WHERE d.t > l.low AND d.n >= {again} * b.n_peak GROUP BY b.item_id"""
-    return f"""SELECT b.item_id, b.first_high, l.low, k.back, CASE WHEN k.back IS NULL AND b.early <= {sleep} * b.c THEN 'single_peak_sleeper'
-        WHEN k.back IS NOT NULL AND b.early <= {sleep} * b.c THEN 'second_act_sleeper' WHEN k.back IS NOT NULL THEN 'second_act' ELSE 'other' END AS class
-      FROM ({base}) AS b LEFT JOIN ({low}) AS l ON l.item_id = b.item_id LEFT JOIN ({back}) AS k ON k.item_id = b.item_id"""
+    m = F.array_max(series_())
+    after = lambda t0, f: F.array_min(F.filter(periods(w), lambda t: (t > t0) & f(F.get(series_(), t))))
+    x = series.withColumn("first_high", first_where(series_(), lambda n: n >= again * m))
+    x = x.withColumn("low", after(F.col("first_high"), lambda n: n <= fall * m))
+    x = x.withColumn("back", after(F.col("low"), lambda n: n >= again * m))
+    asleep, back = total(head(w // 3)) <= sleep * total(series_()), F.col("back").isNotNull()
+    cls = F.when(~back & asleep, "single_peak_sleeper").when(back & asleep, "second_act_sleeper").when(back, "second_act").otherwise("other")
+    return x.select("item_id", "first_high", "low", "back", cls.alias("class"))
 
 
-def revival(w: int, **options) -> str:
+def revival(series: DataFrame, w: int, **options) -> DataFrame:
     """Whether a high period comes again after a fall."""
-    return f"SELECT item_id, back IS NOT NULL AS revived, back - low AS quiet FROM ({second_act(w, **options)}) AS r"
+    return second_act(series, w, **options).select("item_id", F.col("back").isNotNull().alias("revived"), (F.col("back") - F.col("low")).alias("quiet"))
 
 
-def half_peak(w: int) -> str:
-    """Peak of the series over each period's mean: first half hot, second half delayed."""
-    return f"""SELECT item_id, t_norm_peak, CASE WHEN t_norm_peak < {w / 2} THEN 'hot' ELSE 'delayed' END AS class
-      FROM (SELECT item_id, max_by(t, round(r, 6) * 1000000 - t) AS t_norm_peak FROM (SELECT item_id, t, n / nullif(avg(n) OVER (PARTITION BY t), 0) AS r FROM {{dense}}) AS x GROUP BY item_id) AS y"""
+def half_peak(series: DataFrame, w: int) -> DataFrame:
+    """Peak of the series over each period's mean (one row of w numbers): first half hot, second half delayed."""
+    means = series.agg(F.array(*[F.avg(F.get(series_(), F.lit(t))) for t in range(w)]).alias("means"))
+    ratio = F.zip_with(series_(), "means", lambda n, v: F.when(v > 0, n / v))
+    x = series.crossJoin(F.broadcast(means)).select("item_id", ratio.alias("r"))
+    at = first_where(F.col("r"), lambda v: v == F.array_max("r"))
+    return x.select("item_id", at.alias("t_norm_peak"), F.when(at < w / 2, "hot").otherwise("delayed").alias("class"))
 
 
-def sleepers(w: int, length: int = 5, depth: float = 1.0, wake: int = 4) -> str:
+def sleepers(series: DataFrame, w: int, length: int = 5, depth: float = 1.0, wake: int = 4) -> DataFrame:
     """Depth of the sleep of the first periods, the share of it in each (heartbeat) and the
     mentions in as many periods after it."""
-    beats = ", ".join(f"sum(CASE WHEN t = {k} THEN n ELSE 0 END) / CAST(nullif(sum(CASE WHEN t < {length} THEN n ELSE 0 END), 0) AS DOUBLE) AS beat_{k}" for k in range(length))
-    return f"""SELECT *, CASE WHEN asleep <= {depth} AND intensity >= {wake} AND beat_0 IS NULL THEN 'all_elements' WHEN asleep <= {depth} AND intensity >= {wake} THEN 'sleeper' ELSE 'other' END AS class
-      FROM (SELECT item_id, sum(CASE WHEN t < {length} THEN n ELSE 0 END) / CAST({length} AS DOUBLE) AS asleep,
-                   CAST(sum(CASE WHEN t >= {length} AND t < {2 * length} THEN n ELSE 0 END) AS BIGINT) AS intensity, {beats} FROM {{dense}} GROUP BY item_id) AS x"""
+    first = total(head(length))
+    x = series.select(
+        "item_id", (first / float(length)).alias("asleep"), total(F.slice(series_(), length + 1, length)).alias("intensity"),
+        *[F.when(first > 0, F.get(series_(), F.lit(k)) / first).alias(f"beat_{k}") for k in range(length)],
+    )
+    sleeps = (F.col("asleep") <= depth) & (F.col("intensity") >= wake)
+    return x.withColumn("class", F.when(sleeps & F.col("beat_0").isNull(), "all_elements").when(sleeps, "sleeper").otherwise("other"))
 
 
 def poly_basis(w: int, degree: int = 5) -> np.ndarray:
@@ -146,31 +224,26 @@ def poly_basis(w: int, degree: int = 5) -> np.ndarray:
     return np.round(q * np.sign(np.diag(r)), 12)
 
 
-def poly_fit(w: int, degree: int = 5) -> str:
+def poly_fit(series: DataFrame, w: int, degree: int = 5) -> DataFrame:
     """Coefficients on the shared basis (a projection, no solve per item) and R squared."""
-    rows = ", ".join("(" + ", ".join([str(t), *(f"CAST({x!r} AS DOUBLE)" for x in row.tolist())]) + ")" for t, row in enumerate(poly_basis(w, degree)))
-    names = ", ".join(f"q{j}" for j in range(degree + 1))
-    proj = ", ".join(f"sum(n * q{j}) AS c{j}" for j in range(degree + 1))
-    fit = " + ".join(f"c{j} * c{j}" for j in range(degree + 1))
-    cols = ", ".join(f"round(c{j}, 6) + CAST(0 AS DOUBLE) AS c{j}" for j in range(degree + 1))
-    return f"""SELECT item_id, {cols}, round(1 - (nn - ({fit})) / nullif(nn - c * c / CAST({w} AS DOUBLE), 0), 6) AS r2
-      FROM (SELECT item_id, CAST(sum(n) AS DOUBLE) AS c, CAST(sum(n * n) AS DOUBLE) AS nn, {proj} FROM {{dense}} AS d JOIN (VALUES {rows}) AS b(t_, {names}) ON b.t_ = d.t GROUP BY item_id) AS x"""
+    basis = poly_basis(w, degree)
+    dot = lambda j: total(F.zip_with(series_(), F.array(*[F.lit(float(v)) for v in basis[:, j]]), lambda n, v: n * v), "double")
+    squares = total(F.transform(series_(), lambda n: n * n)).cast("double")
+    x = series.select("item_id", total(series_()).cast("double").alias("c"), squares.alias("nn"), *[dot(j).alias(f"c{j}") for j in range(degree + 1)])
+    spread, fit = F.col("nn") - F.col("c") * F.col("c") / float(w), sum((F.col(f"c{j}") * F.col(f"c{j}") for j in range(1, degree + 1)), F.col("c0") * F.col("c0"))
+    r2 = F.when(spread != 0, F.round(1 - (F.col("nn") - fit) / spread, 6))
+    return x.select("item_id", *[(F.round(f"c{j}", 6) + 0.0).alias(f"c{j}") for j in range(degree + 1)], r2.alias("r2"))
 
 
-def transient_sticky(w: int, early: float = 0.2, tail: float = 0.2) -> str:
+def transient_sticky(series: DataFrame, w: int, early: float = 0.2, tail: float = 0.2) -> DataFrame:
     """An early peak and a steep fall, or still mentioned in the second half."""
-    return f"""SELECT x.item_id, x.t_peak, y.tail_share, CASE WHEN x.t_peak <= {early * w} AND y.tail_share < {tail} THEN 'transient' WHEN y.tail_share >= {tail} THEN 'sticky' ELSE 'other' END AS class
-      FROM ({_TOTALS}) AS x JOIN (SELECT item_id, sum(CASE WHEN t >= {w // 2} THEN n ELSE 0 END) / CAST(sum(n) AS DOUBLE) AS tail_share FROM {{dense}} GROUP BY item_id) AS y ON y.item_id = x.item_id"""
-
-
-def spread_exponent() -> str:
-    """Half the slope of log variance of the running totals on log time."""
-    return f"""SELECT round(regr_slope(ln(v), ln(t + 1)) / 2, 6) AS h, count(*) AS periods FROM (SELECT CAST(t AS DOUBLE) AS t, var_pop(CAST(cum AS DOUBLE)) AS v FROM ({_CUM}) AS x GROUP BY t) AS y WHERE v > 0"""
-
-
-def text(template: str, dense: str, panel: str = "") -> str:
-    return template.replace("{dense}", f"({dense})").replace("{panel}", f"({panel})")
+    x = series.select("item_id", peak().alias("t_peak"), (total(F.slice(series_(), w // 2 + 1, w)) / total(series_())).alias("tail_share"))
+    sticky = F.col("tail_share") >= tail
+    return x.withColumn("class", F.when((F.col("t_peak") <= early * w) & ~sticky, "transient").when(sticky, "sticky").otherwise("other"))
 
 
-def apply(spark: SparkSession, template: str, dense: DataFrame) -> DataFrame:
-    return spark.sql(template, dense=dense)
+def spread_exponent(series: DataFrame, w: int) -> DataFrame:
+    """Half the slope of log variance of the running totals on log time: one aggregate of w variances."""
+    var = series.select(running().alias("run")).agg(F.array(*[F.var_pop(F.get("run", F.lit(t))) for t in range(w)]).alias("v"))
+    each = var.select(F.posexplode("v").alias("t", "v")).filter("v > 0")
+    return each.agg(F.round(F.regr_slope(F.log("v"), F.log(F.col("t") + 1.0)) / 2, 6).alias("h"), F.count("*").alias("periods"))

@@ -9,7 +9,8 @@ from trajkit.operators import density, ensemble as E, features as FT, graphcut,
 from trajkit.operators.features import FEATURES, PEAKS
 from trajkit.plans import sqltext as Q
 from trajkit.plans.base_queries import PART, Z_PART, features_of, panel_of, register, scaled_features
-from trajkit.plans.rule_queries import DENSE, RULES, SCHEMES, dense_part
+from trajkit.plans import rule_sql as RS
+from trajkit.plans.rule_queries import DENSE, RULES, SCHEMES, scheme_of, series_part
 from trajkit.sources import planted as PL
 from trajkit.sources.shared import materialised
 from trajkit.sources.tables import read_table
@@ -96,9 +97,17 @@ for _how, _name in (("counts", "base_raw_iter3"), ("share", "base_raw_share_iter
     _register_kmeans(_name, _raw_sql(_how), lambda s, d, h=_how: raw_series(s, d, h), RAW, 2, 3)
 
 POLY = [f"c{j}" for j in range(6)]
-_register_kmeans("base_poly_iter3", f"SELECT item_id, {', '.join(POLY)} FROM ({R.text(R.poly_fit(28), DENSE)})", lambda s, d: R.apply(s, R.poly_fit(28), dense_part(s, d)).select("item_id", *POLY), POLY, 4, 3)
-_DIFF = "SELECT item_id, p, q FROM ({x}) AS y WHERE p IS NOT NULL AND abs(p) < 1 AND abs(q) < 2"
-_register_kmeans("base_diffusion_iter3", _DIFF.format(x=R.text(R.diffusion(), DENSE)), lambda s, d: R.apply(s, R.diffusion(), dense_part(s, d)).filter("p IS NOT NULL AND abs(p) < 1 AND abs(q) < 2").select("item_id", "p", "q"), ["p", "q"], 4, 3)
+_register_kmeans("base_poly_iter3", f"SELECT item_id, {', '.join(POLY)} FROM ({RS.text(RS.poly_fit(28), DENSE)})", lambda s, d: R.poly_fit(series_part(s, d), 28).select("item_id", *POLY), POLY, 4, 3)
+#: Items without a fit count as (0, 0); outliers are drawn in to the edge instead of left out.
+_DIFF = "SELECT item_id, least(greatest(coalesce(p, 0), -1), 1) AS p, least(greatest(coalesce(q, 0), -2), 2) AS q FROM ({x}) AS y"
+
+
+def diffusion_vector(s, d):
+    held = lambda c, edge: F.least(F.greatest(F.coalesce(c, F.lit(0.0)), F.lit(-edge)), F.lit(edge)).alias(c)
+    return R.diffusion(series_part(s, d)).select("item_id", held("p", 1.0), held("q", 2.0))
+
+
+_register_kmeans("base_diffusion_iter3", _DIFF.format(x=RS.text(RS.diffusion(), DENSE)), diffusion_vector, ["p", "q"], 4, 3)
 
 EMB = [f"e{i}" for i in range(64)]
 
@@ -359,13 +368,12 @@ register("tail_counts", "SELECT count(*) AS items, " + ", ".join(f"count(CASE WH
 
 
 def scheme(s, d, name: str):
-    q, col, _ = SCHEMES[name]
-    return R.apply(s, RULES[q], dense_part(s, d)).select("item_id", F.col(col).alias("class"))
+    return scheme_of(series_part(s, d), name)
 
 
 def scheme_sql(name: str) -> str:
     q, col, _ = SCHEMES[name]
-    return f"(SELECT item_id, {col} AS class FROM ({R.text(RULES[q], DENSE)}) AS s)"
+    return f"(SELECT item_id, {col} AS class FROM ({RS.text(RULES[q][1], DENSE)}) AS s)"
 
 
 def crosswalk_sql(a: str, b: str) -> str:

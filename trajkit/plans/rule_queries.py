@@ -1,32 +1,72 @@
-"""Queries of the rule- and model-based schemes."""
+"""Queries of the rule- and model-based schemes: (function on arrays, SQL on long rows)."""
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
+from pyspark.sql import DataFrame
+
 from trajkit.operators import panel as P
 from trajkit.operators import rules as R
+from trajkit.plans import rule_sql as RS
 from trajkit.plans import sqltext as Q
 from trajkit.plans.base_queries import PART, panel_of, register
 
 W = 28
 DENSE = Q.dense_sql(PART, W)
-RULES = {
-    "rule_delayed": R.delayed_recognition(W), "rule_rise_decline": R.rise_decline(W), "rule_rise_decline_unscaled": R.rise_decline(W, scaled=False),
-    "rule_age_ratio": R.age_ratio(W), "rule_half_life": R.half_life(), "rule_half_life_own": R.half_life("own"), "rule_peak_shape": R.peak_shape(W),
-    "model_diffusion_moments": R.diffusion_moments(), "model_diffusion_pq": R.diffusion(), "beauty_coefficient": R.beauty(), "awakening_time": R.awakening(),
-    "rule_angle": R.angle(), "rule_second_act": R.second_act(W), "rule_revival": R.revival(W), "rule_half_peak": R.half_peak(W), "rule_sleepers": R.sleepers(W),
-    "poly_fit_r2": R.poly_fit(W), "rule_transient": R.transient_sticky(W), "spread_exponent": R.spread_exponent(),
-}
-#: Schemes that give each item one class, with the class that means "none of them".
+SCALE = 0.1  # the given panels have totals of tens where the thresholds speak of hundreds
+HOT_FIRST = ("hot", "sleeping", "discovery")
+RULES: dict[str, tuple[Callable[[DataFrame], DataFrame], str]] = {
+    "rule_delayed": (lambda x: R.delayed_recognition(x, W), RS.delayed_recognition(W)),
+    "rule_delayed_unscaled": (lambda x: R.delayed_recognition(x, W, w_ref=None), RS.delayed_recognition(W, w_ref=None)),
+    "rule_rise_decline": (lambda x: R.rise_decline(x, W), RS.rise_decline(W)),
+    "rule_rise_decline_unscaled": (lambda x: R.rise_decline(x, W, scaled=False), RS.rise_decline(W, scaled=False)),
+    "rule_age_ratio": (lambda x: R.age_ratio(x, W, SCALE), RS.age_ratio(W, SCALE)),
+    "rule_age_ratio_printed": (lambda x: R.age_ratio(x, W), RS.age_ratio(W)),
+    "rule_age_ratio_hot_first": (lambda x: R.age_ratio(x, W, SCALE, HOT_FIRST), RS.age_ratio(W, SCALE, HOT_FIRST)),
+    "rule_half_life": (R.half_life, RS.half_life()),
+    "rule_half_life_own": (lambda x: R.half_life(x, "own"), RS.half_life("own")),
+    "rule_peak_shape": (lambda x: R.peak_shape(x, W), RS.peak_shape(W)),
+    "rule_peak_shape_unscaled": (lambda x: R.peak_shape(x, W, w_ref=None), RS.peak_shape(W, w_ref=None)),
+    "model_diffusion_moments": (R.diffusion_moments, RS.diffusion_moments()),
+    "model_diffusion_pq": (R.diffusion, RS.diffusion()),
+    "beauty_coefficient": (R.beauty, RS.beauty()),
+    "awakening_time": (R.awakening, RS.awakening()),
+    "rule_angle": (R.angle, RS.angle()),
+    "rule_second_act": (lambda x: R.second_act(x, W), RS.second_act(W)),
+    "rule_revival": (lambda x: R.revival(x, W), RS.revival(W)),
+    "rule_half_peak": (lambda x: R.half_peak(x, W), RS.half_peak(W)),
+    "rule_sleepers": (lambda x: R.sleepers(x, W), RS.sleepers(W)),
+    "poly_fit_r2": (lambda x: R.poly_fit(x, W), RS.poly_fit(W)),
+    "rule_transient": (lambda x: R.transient_sticky(x, W), RS.transient_sticky(W)),
+    "spread_exponent": (lambda x: R.spread_exponent(x, W), RS.spread_exponent()),
+}
+#: Schemes that give each item one class: query, column, the class that means "none of them".
 SCHEMES = {
-    "delayed": ("rule_delayed", "class", "other"), "age_ratio": ("rule_age_ratio", "class", "other"), "half_life": ("rule_half_life", "class", None), "peak_shape": ("rule_peak_shape", "class", "other"),
-    "diffusion": ("model_diffusion_pq", "class", "none"), "angle": ("rule_angle", "class", "between"), "second_act": ("rule_second_act", "class", "other"), "half_peak": ("rule_half_peak", "class", None),
-    "sleepers": ("rule_sleepers", "class", "other"), "transient": ("rule_transient", "class", "other"), "rise": ("rule_rise_decline", "rise", None), "decline": ("rule_rise_decline", "decline", None),
-}
+    "delayed": ("rule_delayed", "class", "other"),
+    "age_ratio": ("rule_age_ratio", "class", "other"),
+    "half_life": ("rule_half_life", "class", None),
+    "peak_shape": ("rule_peak_shape", "class", "other"),
+    "diffusion": ("model_diffusion_pq", "class", "none"),
+    "angle": ("rule_angle", "class", "between"),
+    "second_act": ("rule_second_act", "class", "other"),
+    "half_peak": ("rule_half_peak", "class", None),
+    "sleepers": ("rule_sleepers", "class", "other"),
+    "transient": ("rule_transient", "class", "other"),
+    "rise": ("rule_rise_decline", "rise", None),
+    "decline": ("rule_rise_decline", "decline", None),
+}
+
+
+def series_part(s, d, w: int = W) -> DataFrame:
+    return P.densify(panel_of(s, d, "part_quarter"), w)
 
 
-def dense_part(s, d, w: int = W):
-    return P.densify_long(panel_of(s, d, "part_quarter"), w)
+def scheme_of(series: DataFrame, name: str) -> DataFrame:
+    """item_id, class of one scheme on the given series."""
+    query, col, _ = SCHEMES[name]
+    return RULES[query][0](series).selectExpr("item_id", f"{col} AS class")
 
 
-for _name, _text in RULES.items():
-    register(_name, R.text(_text, DENSE))(lambda s, d, t=_text: R.apply(s, t, dense_part(s, d)))
+for _name, (_rule, _text) in RULES.items():
+    register(_name, RS.text(_text, DENSE))(lambda s, d, f=_rule: f(series_part(s, d)))
