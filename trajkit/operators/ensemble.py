@@ -60,14 +60,15 @@ def run_rounds(z: DataFrame, cols: list[str], o: RoundOptions = RoundOptions())
         balls = start if o.scope == "initial_center" else centers
         done = L.assign(pool, cols, centers)
         hit = L.nearest(cols, balls)["d2"] <= o.eps**2 if o.scope == "initial_center" else F.col("d2") <= o.eps**2
-        captured = done.filter(hit).count()
+        # One pass labels the pool and writes what stays; the written rows are counted from their footers.
+        pool = materialised(done.filter(~hit).select("item_id", *cols))
+        captured = left - pool.count()
         out.centers.append(centers)
         out.balls.append(balls)
         out.sizes.append((left, captured))
         left -= captured
         if o.stop in ("captured", "both") and captured < k * k:
             break
-        pool = materialised(done.filter(~hit).select("item_id", *cols))
     return out
 
 

@@ -8,6 +8,7 @@ so neither the order of summation nor the partitioning shows in the labels.
 from __future__ import annotations
 
 from collections.abc import Iterator
+from zlib import crc32
 
 import numpy as np
 import pyarrow as pa
@@ -35,17 +36,9 @@ def nearest(cols: list[str], centers: np.ndarray) -> Column:
 def seeds(pool: DataFrame, cols: list[str], k: int, seed: str) -> np.ndarray:
     """The k different vectors whose items come first by hash; the same on any partitioning."""
     order = F.md5(F.concat(F.lit(f"{seed}|"), F.col("item_id").cast("string")).cast("binary"))
-    ask = 8 * k
-    while True:
-        rows = pool.select(order.alias("h"), *cols).orderBy("h").limit(ask).collect()
-        out: list[tuple] = []
-        for r in rows:
-            v = tuple(r[c] for c in cols)
-            if v not in out:
-                out.append(v)
-        if len(out) >= k or len(rows) < ask:
-            return np.array(out[:k], float).reshape(-1, len(cols))
-        ask *= 8
+    first = pool.select(order.alias("h"), *cols).groupBy(*cols).agg(F.min("h").alias("h"))
+    rows = first.orderBy("h").limit(k).collect()
+    return np.array([tuple(r[c] for c in cols) for r in rows], float).reshape(-1, len(cols))
 
 
 def assign(df: DataFrame, cols: list[str], centers: np.ndarray) -> DataFrame:
@@ -142,7 +135,7 @@ def parallel_seeds(df: DataFrame, cols: list[str], k: int, seed: str) -> np.ndar
     from pyspark.ml.feature import VectorAssembler
 
     x = VectorAssembler(inputCols=cols, outputCol="v").transform(df)
-    model = KMeans(k=k, featuresCol="v", initMode="k-means||", maxIter=1, seed=abs(hash(seed)) % 2**31).fit(x)
+    model = KMeans(k=k, featuresCol="v", initMode="k-means||", maxIter=1, seed=crc32(seed.encode()) % 2**31).fit(x)
     return np.array(model.clusterCenters())
 
 

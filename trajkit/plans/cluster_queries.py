@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import uuid
+
 import numpy as np
 from pyspark.sql import functions as F
 
@@ -12,7 +14,7 @@ from trajkit.plans.base_queries import PART, Z_PART, features_of, panel_of, regi
 from trajkit.plans import rule_sql as RS
 from trajkit.plans.rule_queries import DENSE, RULES, SCHEMES, scheme_of, series_part
 from trajkit.sources import planted as PL
-from trajkit.sources.shared import materialised
+from trajkit.sources.shared import materialised, once
 from trajkit.sources.tables import read_table
 
 K, EPS, SEED = 6, 2.0, "0"
@@ -102,12 +104,12 @@ _register_kmeans("base_poly_iter3", f"SELECT item_id, {', '.join(POLY)} FROM ({R
 _DIFF = "SELECT item_id, least(greatest(coalesce(p, 0), -1), 1) AS p, least(greatest(coalesce(q, 0), -2), 2) AS q FROM ({x}) AS y"
 
 
-def diffusion_vector(s, d):
+def diffusion_vector(series):
     held = lambda c, edge: F.least(F.greatest(F.coalesce(c, F.lit(0.0)), F.lit(-edge)), F.lit(edge)).alias(c)
-    return R.diffusion(series_part(s, d)).select("item_id", held("p", 1.0), held("q", 2.0))
+    return R.diffusion(series).select("item_id", held("p", 1.0), held("q", 2.0))
 
 
-_register_kmeans("base_diffusion_iter3", _DIFF.format(x=RS.text(RS.diffusion(), DENSE)), diffusion_vector, ["p", "q"], 4, 3)
+_register_kmeans("base_diffusion_iter3", _DIFF.format(x=RS.text(RS.diffusion(), DENSE)), lambda s, d: diffusion_vector(series_part(s, d)), ["p", "q"], 4, 3)
 
 EMB = [f"e{i}" for i in range(64)]
 
@@ -161,9 +163,12 @@ def rounds_sql(select: str) -> str:
 
 
 def two_rounds(s, d):
-    z = materialised(scaled_features(s, d))
-    r = E.run_rounds(z, FEATURES, OPTIONS)
-    return z, r, E.scan(z, FEATURES, r, EPS)
+    def build():
+        z = materialised(scaled_features(s, d))
+        r = E.run_rounds(z, FEATURES, OPTIONS)
+        return z, r, materialised(E.scan(z, FEATURES, r, EPS))
+
+    return once(s, ("two_rounds", d), build)
 
 
 def fixed_long(s, d):
@@ -300,7 +305,7 @@ def _(s, d):
 
     z = scaled_features(s, d)
     m = E.EnsembleModel.fit(z, FEATURES, E.RoundOptions(k=K, eps=EPS, t_max=2, max_iter=2), classes=3)
-    path = f"{shared_dir(s)}/model"
+    path = f"{shared_dir(s)}/model-{uuid.uuid4().hex}"
     m.save(s, path)
     same = m.transform(z).withColumnRenamed("class", "before").join(E.EnsembleModel.load(s, path).transform(z), "item_id")
     return same.agg(F.count("*").alias("items"), F.sum((F.col("before") == F.col("class")).cast("long")).alias("equal"))

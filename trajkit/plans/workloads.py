@@ -11,16 +11,20 @@ import time
 
 from pyspark.sql import functions as F
 
-from trajkit.operators import density, ensemble as E, features as FT, lloyd as L, measures as M, panel as P, scaling, spectral
+from trajkit.operators import density, ensemble as E, features as FT, lloyd as L, measures as M, panel as P, rules as R, scaling, spectral
 from trajkit.operators.features import FEATURES, PEAKS, FeatureOptions
 from trajkit.plans import sqltext as Q
 from trajkit.plans.base_queries import PART, ORACLES, QUERIES, features_of, panel_of, register, scaled_features, without_self
-from trajkit.plans.cluster_queries import CLASSED, EMB, anova_sql, classed, embedding_columns, scheme, unioned
+from trajkit.plans.cluster_queries import CLASSED, EMB, POLY, anova_sql, classed, diffusion_vector, embedding_columns, unioned
+from trajkit.plans.rule_queries import SCHEMES, scheme_of, series_part
 from trajkit.sources import planted as PL
-from trajkit.sources.shared import materialised
+from trajkit.sources.shared import materialised, once
 from trajkit.sources.tables import read_table
 
-FIT = E.RoundOptions(k=8, eps=2.0, t_max=4, max_iter=4, stop="both")
+#: Ten rounds at most, as in the experiments; the stop rules end a fit earlier where little is left.
+FIT = E.RoundOptions(k=8, eps=2.0, t_max=10, max_iter=10, stop="both")
+SEEDS = ("0", "1", "2", "3", "4")
+WINDOWS = {"short": 10, "long": 28}
 
 
 def fitted(z, classes: int | None = 3, o: E.RoundOptions = FIT, q: float | None = None, cols=FEATURES):
@@ -35,7 +39,7 @@ def fitted(z, classes: int | None = 3, o: E.RoundOptions = FIT, q: float | None
 _W1 = """SELECT item_id, field, sum(n)::BIGINT AS total, sum(n * t) / sum(n) AS mean_t, sum(CASE WHEN t < 7 THEN n ELSE 0 END)::BIGINT AS early FROM (SELECT p.*, p_type AS field FROM ({p}) AS p JOIN part ON p_partkey = item_id) GROUP BY 1, 2"""
 
 
-@register("w01_equal_totals", f"""WITH x AS ({_W1.format(p=PART)}), g AS (SELECT field, total, arg_min(item_id, mean_t * 1000000 + item_id * 1e-4) AS a, arg_max(item_id, mean_t * 1000000 + item_id * 1e-4) AS b, round(max(mean_t) - min(mean_t), 6) AS gap FROM x GROUP BY 1, 2 HAVING count(*) > 1)
+@register("w01_equal_totals", f"""WITH x AS ({_W1.format(p=PART)}), g AS (SELECT field, total, min(CASE WHEN mean_t = lo THEN item_id END) AS a, max(CASE WHEN mean_t = hi THEN item_id END) AS b, round(max(hi) - min(lo), 6) AS gap FROM (SELECT *, min(mean_t) OVER f AS lo, max(mean_t) OVER f AS hi FROM x WINDOW f AS (PARTITION BY field, total)) GROUP BY 1, 2 HAVING count(*) > 1)
   SELECT g.field, g.total, a, b, gap, xa.early AS early_a, xb.early AS early_b FROM g JOIN x AS xa ON xa.item_id = a JOIN x AS xb ON xb.item_id = b QUALIFY row_number() OVER (PARTITION BY g.field ORDER BY gap DESC, g.total) = 1""")
 def _(s, d):
     from pyspark.sql import Window as W
@@ -43,7 +47,7 @@ def _(s, d):
     field = read_table(s, d, "part", F.col("p_partkey").alias("item_id"), F.col("p_type").alias("field"))
     n, t = F.col("n"), F.col("t")
     x = panel_of(s, d, "part_quarter").join(field, "item_id").groupBy("item_id", "field").agg(F.sum("n").cast("long").alias("total"), (F.sum(n * t) / F.sum("n")).alias("mean_t"), F.sum(F.when(t < 7, n).otherwise(0)).cast("long").alias("early"))
-    order = F.col("mean_t") * 1000000 + F.col("item_id") * F.lit(1e-4)
+    order = F.struct("mean_t", "item_id")
     # The earliest and the latest of each (field, total): extremes instead of all pairs.
     one = F.struct("item_id", "early")
     g = x.groupBy("field", "total").agg(F.min_by(one, order).alias("a"), F.max_by(one, order).alias("b"), F.round(F.max("mean_t") - F.min("mean_t"), 6).alias("gap"), F.count("*").alias("k")).filter("k > 1")
@@ -85,14 +89,17 @@ def _(s, d):
 
 # W5-W8: the three windows through the whole pipeline, and the flow of sizes.
 def window_pipeline(s, d, kind: str, w: int, classes: int = 3):
-    f = materialised(FT.extract_features(P.eligible_panel(panel_of(s, d, kind), w), w))
-    z = scaling.scaled(f, scaling.fit_zscore(f, FEATURES))
-    model, final = fitted(z, classes, q=0.05)
-    return f, model, final
+    def build():
+        f = materialised(FT.extract_features(P.eligible_panel(panel_of(s, d, kind), w), w))
+        z = scaling.scaled(f, scaling.fit_zscore(f, FEATURES))
+        model, final = fitted(z, classes, q=0.05)
+        return f, model, materialised(final)
 
+    return once(s, ("window", d, kind, w, classes), build)
 
-for _no, _kind, _w in (("05_short", "part_quarter", 10), ("06_mid", "part_quarter", 20), ("07_long", "user_day", 30)):
-    register(f"w{_no}")(lambda s, d, k=_kind, w=_w: M.class_sizes(window_pipeline(s, d, k, w)[2]))
+
+for _no, _runs in (("05_short", {"part_quarter": 10, "user_day": 10}), ("06_mid", {"part_quarter": 20}), ("07_long", {"part_quarter": 28, "user_day": 30, "supp_month": 83})):
+    register(f"w{_no}")(lambda s, d, runs=_runs: unioned([M.class_sizes(window_pipeline(s, d, k, w)[2]).withColumn("panel", F.lit(k)) for k, w in runs.items()]))
 
 
 @register("w08_flow")
@@ -103,12 +110,23 @@ def _(s, d):
     return rounds.unionByName(last.select(F.lit("final").alias("step"), F.col("class").cast("int").alias("no"), F.lit(None).cast("long").alias("pool"), "items"))
 
 
-def long_classes(s, d):
-    f, _, final = window_pipeline(s, d, "part_quarter", 28)
-    return f.join(final.select("item_id", "class"), "item_id")
+def window_classes(s, d, window: str = "long"):
+    """Features of the part panel in a window, with the ensemble's classes."""
+    f, _, final = window_pipeline(s, d, "part_quarter", WINDOWS[window])
+    return materialised(f.join(final.select("item_id", "class"), "item_id"))
+
+
+def both_windows(measure):
+    """A measure of the ensemble's classes in the short and in the long window."""
+
+    def run(s, d):
+        return unioned([measure(window_classes(s, d, name)).withColumn("window", F.lit(name)) for name in WINDOWS])
 
+    return run
 
-register("w09_time_profile")(lambda s, d: M.time_profile(long_classes(s, d)))
+
+register("w09_time_profile")(both_windows(M.time_profile))
+register("w10_phase_histograms_ensemble")(both_windows(M.gain_histogram))
 
 
 @register("w10_phase_histograms", " UNION ALL ".join(f"SELECT class, '{c}' AS phase, floor({c} / 0.1 + 1e-9)::INTEGER AS bin, count(*) AS items FROM (SELECT *, CASE WHEN t_peak < 10 THEN 0 WHEN t_peak < 19 THEN 1 ELSE 2 END AS class FROM ({Q.features_sql(PART, 28, FeatureOptions(gain_mode='phase'))})) GROUP BY 1, 2, 3" for c in FT.GAINS))
@@ -116,7 +134,7 @@ def _(s, d):
     return M.gain_histogram(features_of(s, d, gain_mode="phase").withColumn("class", F.expr("CASE WHEN t_peak < 10 THEN 0 WHEN t_peak < 19 THEN 1 ELSE 2 END")))
 
 
-register("w11_peak_boxes")(lambda s, d: M.peak_box(long_classes(s, d), tuple(PEAKS)))
+register("w11_peak_boxes")(both_windows(lambda x: M.peak_box(x, tuple(PEAKS))))
 
 
 # W12: analysis of variance of document measures by quality label.
@@ -129,53 +147,107 @@ def _(s, d):
     return M.anova(docs.select("class", "n_chars", F.size(F.split("text", " ")).alias("words"), F.size(F.split("text", "\n")).alias("lines")), ["n_chars", "words", "lines"])
 
 
-register("w12_anova_ensemble")(lambda s, d: M.anova(long_classes(s, d), FEATURES[:6]))
-register("w13_grid")(lambda s, d: M.name_classes(M.time_profile(long_classes(s, d)), 28))
+register("w12_anova_ensemble")(both_windows(lambda x: M.anova(x, FEATURES)))
+
+
+@register("w13_grid")
+def _(s, d):
+    return unioned([M.name_classes(M.time_profile(window_classes(s, d, name)), w).withColumn("window", F.lit(name)) for name, w in WINDOWS.items()])
 
 
 @register("w14_alignment")
 def _(s, d):
-    mine = materialised(long_classes(s, d).select("item_id", "class"))
-    return unioned([M.crosswalk(mine, scheme(s, d, n)).withColumn("scheme", F.lit(n)).withColumn("b", F.col("b").cast("string")) for n in ("half_life", "peak_shape", "transient", "rise")])
+    """Classes of the ensemble in both windows against every scheme: the rules, spectral clustering of
+    the series' shapes and k-means on features, polynomials and diffusion parameters."""
+    out = []
+    for name, w in WINDOWS.items():
+        mine = window_classes(s, d, name)
+        z = materialised(scaling.scaled(mine, scaling.fit_zscore(mine, FEATURES)))
+        series = materialised(series_part(s, d, w).join(mine.select("item_id"), "item_id", "left_semi"))
+        others = {n: scheme_of(series, n, w) for n in SCHEMES}
+        others["spectral"] = spectral.landmark_spectral(z, FEATURES, 3, 200)
+        for source, x, cols in (("features", z, FEATURES), ("poly", R.poly_fit(series, w).select("item_id", *POLY), POLY), ("diffusion", diffusion_vector(series), ["p", "q"])):
+            x = materialised(x)
+            others[f"kmeans_{source}"] = L.assign(x, cols, L.lloyd(x, cols, 4)).select("item_id", F.col("label").alias("class"))
+        for scheme_name, classes in others.items():
+            cross = M.crosswalk(mine.select("item_id", "class"), classes)
+            out.append(cross.withColumns({"b": F.col("b").cast("string"), "scheme": F.lit(scheme_name), "window": F.lit(name)}))
+    return unioned(out)
 
 
 # W15, W16: one learner against the ensemble, raw series against features, on planted panels.
 def share_series(panel, w: int, how: str):
     dense = P.densify(panel, w)
     total = F.aggregate("series", F.lit(0).cast("long"), lambda a, v: a + v)
+    if how == "z":  # each item's own mean and deviation
+        mean = total / float(w)
+        sd = F.sqrt(F.aggregate("series", F.lit(0.0), lambda a, v: a + (v - mean) * (v - mean)) / float(w))
+        return dense.select("item_id", *[F.when(sd > 0, F.round((F.col("series")[t] - mean) / sd, 9)).otherwise(0.0).alias(f"n_{t}") for t in range(w)])
     div = total if how == "share" else F.lit(1)
     return dense.select("item_id", *[F.round(F.col("series")[t] / div, 9).alias(f"n_{t}") for t in range(w)])
 
 
+def planted_table(s, d, kind: str, imbalanced: bool = False):
+    """Panel, width, truth and scaled features of a planted panel."""
+
+    def build():
+        panel, w = PL.planted_panel(s, d, kind, imbalanced)
+        panel = materialised(P.eligible_panel(panel, w))
+        f = FT.extract_features(panel, w)
+        return panel, w, materialised(PL.truth(panel, imbalanced)), materialised(scaling.scaled(f, scaling.fit_zscore(f, FEATURES)))
+
+    return once(s, ("planted", d, kind, imbalanced), build)
+
+
+def planted_classes(s, d, kind: str, method: str, seed: str, imbalanced: bool, k: int):
+    panel, w, _, z = planted_table(s, d, kind, imbalanced)
+    if method == "ensemble":
+        return fitted(z, k, E.RoundOptions(k=12, t_max=10, max_iter=10, stop="remaining", seed=seed), q=0.02)[1]
+    if method == "spectral":
+        return spectral.landmark_spectral(z, FEATURES, k, 200, seed=seed)
+    if method == "density":
+        return density.dbscan(z, ["t_init", "t_grow", "t_decay"], 0.4, 10).select("item_id", F.coalesce("cluster", F.lit(-1)).alias("class"))
+    if method == "features":
+        x, cols = z, FEATURES
+    else:
+        x, cols = once(s, ("raw", d, kind, imbalanced, method), lambda: materialised(share_series(panel, w, method[4:]))), [f"n_{t}" for t in range(w)]
+    return L.assign(x, cols, L.lloyd(x, cols, k, "hash_sample", 10, seed=seed)).select("item_id", F.col("label").alias("class"))
+
+
 def planted_scores(s, d, kind: str, methods: tuple[str, ...], seeds: tuple[str, ...], imbalanced: bool = False, k: int = 4):
-    """method, seed, ari, nmi, purity, seconds: all methods on one panel with one number of classes."""
-    panel, w = PL.planted_panel(s, d, kind, imbalanced)
-    panel = materialised(P.eligible_panel(panel, w))
-    true = materialised(PL.truth(panel, imbalanced))
-    f = FT.extract_features(panel, w)
-    z = materialised(scaling.scaled(f, scaling.fit_zscore(f, FEATURES)))
-    raw = {h: materialised(share_series(panel, w, h)) for h in ("counts", "share") if f"raw_{h}" in methods}
-    cols, rows = [f"n_{t}" for t in range(w)], []
-    for m in methods:
-        for seed in seeds:
-            start = time.time()
-            if m == "ensemble":
-                got = fitted(z, k, E.RoundOptions(k=12, t_max=6, max_iter=5, stop="remaining", seed=seed), q=0.02)[1]
-            elif m == "spectral":
-                got = spectral.landmark_spectral(z, FEATURES, k, 200, seed=seed)
-            elif m == "density":
-                got = density.dbscan(z, ["t_init", "t_grow", "t_decay"], 0.4, 10).select("item_id", F.coalesce("cluster", F.lit(-1)).alias("class"))
-            else:
-                x, c = (z, FEATURES) if m == "features" else (raw[m[4:]], cols)
-                got = L.assign(x, c, L.lloyd(x, c, k, "hash_sample", 10, seed=seed)).select("item_id", F.col("label").alias("class"))
-            a = M.agreement(got, true).first()
-            rows.append((kind, m, seed, a["ari"], a["nmi"], a["purity"], round(time.time() - start, 2)))
-    return rows
+    """panel, method, seed, ari, nmi, purity, seconds: all methods on one panel with one number of classes."""
+
+    def score(m: str, seed: str):
+        true, start = planted_table(s, d, kind, imbalanced)[2], time.time()
+        a = M.agreement(planted_classes(s, d, kind, m, seed, imbalanced, k), true).first()
+        return kind + "_imbalanced" * imbalanced, m, seed, a["ari"], a["nmi"], a["purity"], round(time.time() - start, 2)
+
+    # Density clustering draws nothing, so it has one run.
+    return [once(s, ("score", d, kind, imbalanced, k, m, x), lambda m=m, x=x: score(m, x)) for m in methods for x in (seeds if m != "density" else seeds[:1])]
 
 
 _SCORES = "panel string, method string, seed string, ari double, nmi double, purity double, seconds double"
-register("w15_learner_vs_ensemble")(lambda s, d: s.createDataFrame(planted_scores(s, d, "supp", ("features", "ensemble"), ("0",)), _SCORES).drop("seconds"))
-register("w16_raw_vs_features")(lambda s, d: s.createDataFrame(planted_scores(s, d, "supp", ("raw_counts", "raw_share", "features"), ("0",)), _SCORES).drop("seconds"))
+
+
+def over_seeds(scores):
+    """Mean and range over the seeds, one row a panel and method."""
+    stat = lambda c: [F.round(f(c), 6).alias(f"{c}_{n}") for n, f in (("mean", F.avg), ("least", F.min), ("most", F.max))]
+    return scores.groupBy("panel", "method").agg(F.count("*").alias("seeds"), *stat("ari"), *stat("nmi"), *stat("purity"), F.round(F.avg("seconds"), 2).alias("seconds"))
+
+
+@register("w15_learner_vs_ensemble")
+def _(s, d):
+    """One k-means against the ensemble: five seeds on the planted panel, two on its imbalanced variant (W26 has embeddings)."""
+    rows = planted_scores(s, d, "supp", ("features", "ensemble"), SEEDS)
+    rows += planted_scores(s, d, "supp", ("features", "ensemble"), SEEDS[:2], imbalanced=True)
+    return over_seeds(s.createDataFrame(rows, _SCORES))
+
+
+@register("w16_raw_vs_features")
+def _(s, d):
+    """Raw series (counts, shares, z-scores), features and the ensemble, with their seconds; the same
+    number of classes and iterations for all."""
+    return over_seeds(s.createDataFrame(planted_scores(s, d, "supp", ("raw_counts", "raw_share", "raw_z", "features", "ensemble", "spectral", "density"), SEEDS), _SCORES))
 
 
 @register("w17_sweep")
@@ -184,24 +256,39 @@ def _(s, d):
     panel = materialised(P.eligible_panel(panel, w))
     f = FT.extract_features(panel, w)
     z, true, rows = materialised(scaling.scaled(f, scaling.fit_zscore(f, FEATURES))), PL.truth(panel), []
-    for t_max, k, q in ((2, 6, 0.05), (4, 6, 0.05), (4, 12, 0.05), (4, 6, 0.2)):
-        model, got = fitted(z, 4, E.RoundOptions(k=k, t_max=t_max, max_iter=3, stop="remaining"), q=q)
+    for t_max, k, q in ((2, 6, 0.05), (4, 6, 0.05), (10, 6, 0.05), (100, 6, 0.05), (10, 12, 0.05), (10, 6, 0.02), (10, 6, 0.2)):
+        model, got = fitted(z, 4, E.RoundOptions(k=k, t_max=t_max, max_iter=10, stop="captured"), q=q)
         a = M.agreement(got, true).first()
         rows.append((t_max, k, q, len(model.rounds.sizes), sum(c for _, c in model.rounds.sizes), a["ari"]))
     return s.createDataFrame(rows, "t_max int, k int, quantile double, rounds int, captured long, ari double")
 
 
-@register("w18_run_time")
-def _(s, d):
-    """Seconds of one k-means iteration and one ensemble scan on the items taken 1, 4 and 16 times."""
+def scaling_run(s, d, times: tuple[int, ...] = (1, 4, 16, 64), rounds: int = 2):
+    """(items, seconds of one k-means iteration, of a whole ensemble fit and its labels) on copies of the
+    items; the number of rounds is fixed so that the work an item is the same."""
     z = materialised(scaled_features(s, d))
     centers, rows = L.seeds(z, FEATURES, 6, "0"), []
-    for times in (1, 4, 16):
-        big = z.withColumn("i", F.explode(F.sequence(F.lit(1), F.lit(times)))).drop("i")
+    fitted(z, 3, E.RoundOptions(k=6, eps=2.0, t_max=1, max_iter=1, stop="remaining"))  # warms up
+    for n in times:
+        big = materialised(z.withColumn("i", F.explode(F.sequence(F.lit(1), F.lit(n)))).withColumn("item_id", F.col("item_id") * n + F.col("i")).drop("i"))
         start = time.time()
-        n = L.assign(big, FEATURES, centers).groupBy("label").agg(F.count("*").alias("n")).agg(F.sum("n")).first()[0]
-        rows.append((times, n, round(time.time() - start, 3)))
-    return s.createDataFrame(rows, "times int, items long, seconds double")
+        L.step(big, FEATURES, centers)
+        one, start = time.time() - start, time.time()
+        fitted(big, 3, E.RoundOptions(k=6, eps=2.0, t_max=rounds, max_iter=3, stop="remaining"))[1].groupBy("class").count().collect()
+        rows.append((n, big.count(), round(one, 3), round(time.time() - start, 3)))
+    return rows
+
+
+@register("w18_run_time")
+def _(s, d):
+    """Seconds of one k-means iteration and of the whole method at 1 to 64 times the items, and the slope
+    of log seconds on log items up to there (1: linear)."""
+    rows, out = scaling_run(s, d), []
+    for k, (n, items, one, whole) in enumerate(rows):
+        so_far = rows[: k + 1]
+        slopes = [slope([(r[1], r[c]) for r in so_far]) if k else None for c in (2, 3)]
+        out.append((n, items, one, whole, *slopes))
+    return s.createDataFrame(out, "times int, items long, iteration_seconds double, fit_seconds double, iteration_slope double, fit_slope double")
 
 
 @register("w19_nonlinear")
@@ -275,25 +362,50 @@ def _(s, d):
     return features_of(s, d, "conv_turn", 10).select("item_id", "total", "t_init", "t_peak", "t_last")
 
 
-@register("w26_embeddings")
-def _(s, d):
+def embedding_scores(s, d, seeds: tuple[str, ...]):
+    """Rows as of ``planted_scores`` on the embeddings, whose labels are the truth."""
     z = materialised(embedding_columns(s, d))
     true = read_table(s, d, "embeddings", F.col("vec_id").alias("item_id"), F.col("label").alias("class"))
     rows = []
     for m in ("kmeans", "ensemble"):
-        got = L.assign(z, EMB, L.lloyd(z, EMB, 10)).select("item_id", F.col("label").alias("class")) if m == "kmeans" else fitted(z, 10, E.RoundOptions(k=20, t_max=3, max_iter=4, stop="remaining"), q=0.1, cols=EMB)[1]
-        a = M.agreement(got, true).first()
-        rows.append((m, a["ari"], a["nmi"], a["purity"]))
-    return s.createDataFrame(rows, "method string, ari double, nmi double, purity double")
+        for seed in seeds:
+            start = time.time()
+            if m == "kmeans":
+                got = L.assign(z, EMB, L.lloyd(z, EMB, 10, seed=seed)).select("item_id", F.col("label").alias("class"))
+            else:
+                got = fitted(z, 10, E.RoundOptions(k=20, t_max=10, max_iter=10, stop="remaining", seed=seed), q=0.1, cols=EMB)[1]
+            a = M.agreement(got, true).first()
+            rows.append(("embeddings", m, seed, a["ari"], a["nmi"], a["purity"], round(time.time() - start, 2)))
+    return rows
+
+
+register("w26_embeddings")(lambda s, d: over_seeds(s.createDataFrame(embedding_scores(s, d, SEEDS[:2]), _SCORES)))
+
+
+@register("w25_self_mentions_ensemble")
+def _(s, d):
+    """How classes move when self mentions go: the ensemble fitted on both panels."""
+    sides = []
+    for p in (panel_of(s, d, "part_quarter"), without_self(s, d)):
+        f = materialised(FT.extract_features(P.eligible_panel(p, 28), 28))
+        sides.append(materialised(fitted(scaling.scaled(f, scaling.fit_zscore(f, FEATURES)), 3, q=0.05)[1].select("item_id", "class")))
+    return M.crosswalk(*sides)
 
 
 @register("stability_over_seeds")
 def _(s, d):
-    """Pairwise agreement of fits that differ in their seed only."""
-    z = materialised(scaled_features(s, d))
-    runs = [materialised(L.assign(z, FEATURES, L.lloyd(z, FEATURES, 4, seed=x)).select("item_id", F.col("label").alias("class"))) for x in "012"]
-    rows = [(i, j, M.agreement(runs[i], runs[j]).first()["ari"]) for i in range(3) for j in range(i + 1, 3)]
-    return s.createDataFrame(rows, "a int, b int, ari double")
+    """Pairwise agreement of fits that differ in their seed only, by method."""
+    z, rows = materialised(scaled_features(s, d)), []
+    for m in ("kmeans", "ensemble"):
+        runs = []
+        for seed in SEEDS:
+            if m == "kmeans":
+                got = L.assign(z, FEATURES, L.lloyd(z, FEATURES, 4, seed=seed)).select("item_id", F.col("label").alias("class"))
+            else:
+                got = fitted(z, 4, E.RoundOptions(**{**FIT.__dict__, "seed": seed}))[1].select("item_id", "class")
+            runs.append(materialised(got))
+        rows += [(m, i, j, M.agreement(runs[i], runs[j]).first()["ari"]) for i in range(len(SEEDS)) for j in range(i + 1, len(SEEDS))]
+    return s.createDataFrame(rows, "method string, a int, b int, ari double")
 
 
 def slope(points: list[tuple[float, float]]) -> float:

@@ -2,11 +2,17 @@
 
 from __future__ import annotations
 
+import atexit
 import tempfile
 import uuid
+from collections.abc import Callable
+from typing import Any
 
 from pyspark.sql import DataFrame, SparkSession
 
+_written: list[tuple[SparkSession, str]] = []
+_shared: dict[tuple, Any] = {}
+
 
 def shared_dir(spark: SparkSession) -> str:
     sc = spark.sparkContext
@@ -20,6 +26,28 @@ def shared_dir(spark: SparkSession) -> str:
 
 
 def materialised(df: DataFrame) -> DataFrame:
+    """The same rows, read back from the shared folder; the files go when the driver ends."""
     path = f"{shared_dir(df.sparkSession)}/table-{uuid.uuid4().hex}"
     df.write.parquet(path)
+    if not _written:
+        atexit.register(_clean)
+    _written.append((df.sparkSession, path))
     return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
+def once(spark: SparkSession, key: tuple, build: Callable[[], Any]) -> Any:
+    """What ``build`` returns, built once a session and key: queries that start from one fit share it.
+    Tables of a directory are taken as fixed while a session lasts."""
+    key = (spark.sparkContext.applicationId, *key)
+    if key not in _shared:
+        _shared[key] = build()
+    return _shared[key]
+
+
+def _clean() -> None:
+    for spark, path in _written:
+        try:
+            where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+            where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
+        except Exception:  # the session may be gone already
+            pass
