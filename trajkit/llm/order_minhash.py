@@ -11,7 +11,8 @@ join documents into classes; a class is named by its smallest doc_id.
 Most pairs of a bucket need no test.  In each round every bucket compares its members with a hub
 of another class; classes are merged along the links found, and further rounds draw other hubs for
 the buckets that still hold several classes and in which something changed within the last
-``patience`` rounds, until a round finds no link.  Then all buckets that still hold several classes
+``patience`` rounds, as long as a round finds a link for every ``worth`` rows that it carries (100):
+later ones would carry large buckets again and again for a few links each.  Then all buckets that still hold several classes
 are finished: every pair of members of different classes is tested that passes two bounds (sizes,
 and counts of k-mers by hash) which no similar pair fails.  The rounds decide how much is left to
 the finish, not which links are found.
@@ -37,6 +38,7 @@ from .scratch import stored, table
 K = 5
 BINS = 256  # k-mers are counted by hash in so many bins, for a bound on what two texts share
 TILE = 256  # members of a bucket that one step of the finish compares with as many others
+SALTS = 16  # tasks that the rows of one label are dealt over
 _rng = np.random.default_rng(20240301)
 MULT = _rng.integers(0, 2**63, 64, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 MASK = _rng.integers(0, 2**63, 64, dtype=np.uint64)
@@ -328,7 +330,10 @@ def relabelled(buckets: DataFrame, found: DataFrame) -> DataFrame:
     label.  What it leaves apart costs repeated tests, not links; ``components`` settles it."""
     to = found.select(F.col("la").alias("label"), F.col("lb").alias("to")).unionByName(found.select(F.col("lb").alias("label"), F.col("la").alias("to")))
     to = to.groupBy("label").agg(F.min("to").alias("to")).filter("to < label")
-    return buckets.join(to, "label", "left").withColumn("label", F.coalesce("to", "label")).drop("to")
+    # One label may hold a third of all rows, so each is dealt over several tasks.
+    to = to.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+    rows = buckets.withColumn("salt", F.pmod(F.xxhash64("tid", "key"), F.lit(SALTS)).cast("int"))
+    return rows.join(to, ["label", "salt"], "left").withColumn("label", F.coalesce("to", "label")).drop("to", "salt")
 
 
 def joined(state: DataFrame, links: DataFrame | None) -> DataFrame:
@@ -339,7 +344,7 @@ def joined(state: DataFrame, links: DataFrame | None) -> DataFrame:
     return stored(state.join(to, "label", "left").select("tid", "m", F.coalesce("to", "label").alias("label")))
 
 
-def classes(docs: DataFrame, least: float = 0.8, functions: int = 16, length: int = 3, patience: int = 2, hubs_a_round: int = 1) -> DataFrame:
+def classes(docs: DataFrame, least: float = 0.8, functions: int = 16, length: int = 3, patience: int = 2, hubs_a_round: int = 1, worth: int = 100) -> DataFrame:
     """doc_id, text -> doc_id, class_id (the class's smallest doc_id), class_size."""
     ids = docs.select("doc_id", "text").withColumn("tid", F.xxhash64("text"))
     texts = ids.filter(F.col("doc_id").isNotNull() & F.col("text").isNotNull())
@@ -380,13 +385,14 @@ def classes(docs: DataFrame, least: float = 0.8, functions: int = 16, length: in
         end = lambda x, y: F.when(swap, F.col(x)).otherwise(F.col(y))  # noqa: B023, E731
         pairs = near.select(end("tid", "hub.tid").alias("a"), end("hub.tid", "tid").alias("b"), end("label", "hub.label").alias("la"), end("hub.label", "label").alias("lb")).distinct()
         found = stored(verified(pairs, seqs, least))
-        some = found.limit(1).count()
+        some = found.count()
+        if some:
+            links = found if links is None else links.unionByName(found)
         # The finish takes every bucket from here, so where the rounds stop decides no link.
-        if turn and not some:
+        if turn and some * worth <= held.count():
             break
         held = held.filter(~F.exists("hubs", lambda h: h["tid"] == F.col("tid"))).drop("hubs")
         if some:
-            links = found if links is None else links.unionByName(found)
             held = stored(relabelled(held, found))
         turn += 1
     # A text's label on a link was reached from its own id along labels of earlier links.
