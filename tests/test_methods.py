@@ -322,3 +322,21 @@ def test_scaling_guards_constant_columns(spark):
 def test_names_on_the_grid(spark):
     p = spark.createDataFrame([(0, 1.5, 2.2, 2.1), (1, 2.1, 4.4, 20.8), (2, 4.1, 25.5, 0.0), (3, 4.7, 16.1, 7.9)], "class int, t_init_mean double, t_grow_mean double, t_decay_mean double")
     assert [r.name for r in M.name_classes(p, 30).orderBy("class").collect()] == ["FLASH", "EARLY_TAIL", "CLIMBER", "LATE_WAVE"]
+
+
+def test_nearest_items_equal_all_pairs(spark):
+    """Random, crowded and evenly spaced points, with ties, equal vectors and rows that take no part."""
+    from trajkit.operators.nearest import nearest
+
+    rng = np.random.default_rng(3)
+    x = np.concatenate([rng.normal(size=(150, 3)), np.zeros((40, 3)), rng.integers(0, 3, (150, 3)).astype(float), np.full((1, 3), 90.0)])
+    rows = [(i, *map(float, v)) for i, v in enumerate(x)] + [(900, None, 1.0, 1.0), (901, float("nan"), 0.0, 0.0), (902, float("inf"), 0.0, 0.0)]
+    schema = "item_id long, a double, b double, c double"
+    away = np.round(np.sqrt(sum((x[:, None, j] - x[None, :, j]) ** 2 for j in range(3))), 9)
+    want = {(i, int(j), away[i, j]) for i in range(len(x)) for j in [j for j in np.lexsort((np.arange(len(x)), away[i])) if j != i][:3]}
+    for per_leaf in (4, 64, 10_000):
+        got = nearest(spark.createDataFrame(rows, schema), ["a", "b", "c"], 3, per_leaf).collect()
+        assert len(got) == len(want) and {(r["item_id"], r["similar"], r["dist"]) for r in got} == want
+    assert nearest(spark.createDataFrame([], schema), ["a", "b", "c"]).count() == 0
+    assert nearest(spark.createDataFrame(rows[:1], schema), ["a", "b", "c"]).count() == 0
+    assert nearest(spark.createDataFrame(rows[:2], schema), ["a", "b", "c"]).count() == 2

@@ -13,8 +13,9 @@ from pyspark.sql import functions as F
 
 from trajkit.operators import density, ensemble as E, features as FT, lloyd as L, measures as M, panel as P, rules as R, scaling, spectral
 from trajkit.operators.features import FEATURES, PEAKS, FeatureOptions
+from trajkit.operators.nearest import nearest
 from trajkit.plans import sqltext as Q
-from trajkit.plans.base_queries import PART, ORACLES, QUERIES, features_of, panel_of, register, scaled_features, without_self
+from trajkit.plans.base_queries import PART, ORACLES, QUERIES, Z_PART, features_of, panel_of, register, scaled_features, without_self
 from trajkit.plans.cluster_queries import CLASSED, EMB, POLY, anova_sql, classed, diffusion_vector, embedding_columns, unioned
 from trajkit.plans.rule_queries import SCHEMES, scheme_of, series_part
 from trajkit.sources import planted as PL
@@ -321,19 +322,17 @@ def _(s, d):
 QUERIES["w20_unclassified"], ORACLES["w20_unclassified"] = QUERIES["unclassified_share"], ORACLES["unclassified_share"]
 
 
-# W21: similar items by features, within cells of rounded times instead of all pairs.
-_NEAR = ["t_init", "t_grow", "t_decay", *FT.GAINS]
+# W21: the three most similar items of each by all scaled features; the SQL forms all pairs.
+_APART = "round(sqrt(" + " + ".join(f"(a.{c} - b.{c}) * (a.{c} - b.{c})" for c in FEATURES) + "), 9)"
 
 
-@register("w21_similar", f"WITH f AS MATERIALIZED ({Q.features_sql(PART, 28)}) SELECT a.item_id, b.item_id AS similar, round(sqrt(" + " + ".join(f"pow(a.{c} - b.{c}, 2)" for c in FT.GAINS) + "), 9) AS dist FROM f AS a JOIN f AS b ON a.item_id <> b.item_id AND a.t_init = b.t_init AND a.t_peak = b.t_peak AND a.t_last = b.t_last QUALIFY row_number() OVER (PARTITION BY a.item_id ORDER BY round(sqrt(" + " + ".join(f"pow(a.{c} - b.{c}, 2)" for c in FT.GAINS) + "), 9), b.item_id) <= 3")
+@register(
+    "w21_similar",
+    f"""WITH z AS MATERIALIZED ({Z_PART}) SELECT a.item_id, b.item_id AS similar, {_APART} AS dist FROM z AS a JOIN z AS b ON a.item_id <> b.item_id
+      QUALIFY row_number() OVER (PARTITION BY a.item_id ORDER BY {_APART}, b.item_id) <= 3""",
+)
 def _(s, d):
-    from pyspark.sql import Window as W
-
-    f = features_of(s, d).select("item_id", "t_init", "t_peak", "t_last", *FT.GAINS)
-    b = f.select(F.col("item_id").alias("similar"), "t_init", "t_peak", "t_last", *[F.col(c).alias(f"o_{c}") for c in FT.GAINS])
-    dist = F.round(F.sqrt(sum((F.pow(F.col(c) - F.col(f"o_{c}"), 2) for c in FT.GAINS), F.lit(0.0))), 9)
-    near = f.join(b, ["t_init", "t_peak", "t_last"]).filter("item_id <> similar").withColumn("dist", dist)
-    return near.withColumn("r", F.row_number().over(W.partitionBy("item_id").orderBy("dist", "similar"))).filter("r <= 3").select("item_id", "similar", "dist")
+    return nearest(scaled_features(s, d), FEATURES, 3)
 
 
 @register("w22_fields", f"SELECT p_brand AS brand, count(*) AS items, round(avg(t_init), 6) AS t_init, round(avg(t_grow), 6) AS t_grow, round(avg(t_decay), 6) AS t_decay, round(avg(CASE WHEN class = 0 THEN 1 ELSE 0 END), 6) AS early_share FROM {CLASSED} AS c JOIN part ON p_partkey = c.item_id GROUP BY 1")
