@@ -22,9 +22,12 @@ def geometric_mean(n: pd.Series) -> float:
     return float(np.exp(np.log(x).mean())) if len(x) else float("nan")
 
 
-def nearest_label(vectors: DataFrame, classes: int = 10) -> DataFrame:
-    """vec_id, label of the nearest of the labels' mean vectors, by an Arrow-batched kernel."""
-    means = {r["label"]: np.array(r["m"]) for r in vectors.groupBy("label").agg(F.array(*[F.avg(F.col("embedding")[i]) for i in range(64)]).alias("m")).orderBy("label").limit(classes).collect()}
+def nearest_label(vectors: DataFrame, most: int = 1000) -> DataFrame:
+    """vec_id, label of the nearest of the labels' mean vectors, by an Arrow-batched kernel.  The means are
+    held by every task, so more than ``most`` labels are refused."""
+    means = {r["label"]: np.array(r["m"]) for r in vectors.groupBy("label").agg(F.array(*[F.avg(F.col("embedding")[i]) for i in range(64)]).alias("m")).orderBy("label").limit(most + 1).collect()}
+    if len(means) > most:
+        raise ValueError(f"more than {most} labels")
     names, centers = np.array(list(means)), np.array(list(means.values()))
 
     @F.pandas_udf(T.IntegerType())

@@ -38,7 +38,7 @@ def neighbour_counts(z: DataFrame, cols: list[str], eps: float) -> DataFrame:
     return z.select("item_id", *cols).join(per_point, cols)
 
 
-def dbscan(z: DataFrame, cols: list[str], eps: float, min_pts: int, max_steps: int = 60) -> DataFrame:
+def dbscan(z: DataFrame, cols: list[str], eps: float, min_pts: int) -> DataFrame:
     """item_id, cluster (least id of its core component; null: noise)."""
     points = materialised(_points(z, cols))
     pairs = materialised(_pairs(points, cols, eps))
@@ -46,7 +46,7 @@ def dbscan(z: DataFrame, cols: list[str], eps: float, min_pts: int, max_steps: i
     core = materialised(n.filter(F.col("n") >= min_pts).select(F.col("a").alias("point")))
     links = materialised(pairs.join(core.withColumnRenamed("point", "a"), "a").join(core.withColumnRenamed("point", "b"), "b"))
     label = core.withColumn("label", F.col("point"))
-    for _ in range(max_steps):
+    while True:  # labels jump to their own label's label, so steps grow with the logarithm of a cluster's width
         got = links.join(label.select(F.col("point").alias("b"), "label"), "b").groupBy(F.col("a").alias("point")).agg(F.min("label").alias("low"))
         step = label.join(got, "point", "left").select("point", "label", F.least("label", F.coalesce("low", "label")).alias("new"))
         jump = step.select(F.col("point").alias("__p"), F.col("new").alias("__n"))

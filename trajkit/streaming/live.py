@@ -108,16 +108,16 @@ def purchases_after(events: DataFrame, within: str = "1 hour") -> DataFrame:
 
 def late_rows(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Counts of rows kept and dropped when old events come after newer ones: the log is written
-    in two files, the newer half first, and read one file a batch."""
+    in two halves, the newer first, and each half is read as one batch."""
     base = f"{shared_dir(spark)}/late-{uuid.uuid4().hex}"
     events = read_table(spark, sf_dir, "events", "event_id", "ts")
     middle = F.lit("2024-01-16").cast("timestamp_ntz")
-    events.filter(F.col("ts") >= middle).coalesce(1).write.parquet(f"{base}/in/a")
-    stream = spark.readStream.schema("event_id bigint, ts timestamp_ntz").option("maxFilesPerTrigger", 1).option("recursiveFileLookup", "true").parquet(f"{base}/in")
+    events.filter(F.col("ts") >= middle).write.parquet(f"{base}/in/a")
+    stream = spark.readStream.schema("event_id bigint, ts timestamp_ntz").option("recursiveFileLookup", "true").parquet(f"{base}/in")
     counts = stream.withColumn("at", F.col("ts").cast("timestamp")).withWatermark("at", "1 day").groupBy(F.window("at", "1 day")).agg(F.count("*").alias("n")).select(F.col("window.start").alias("start"), "n")
     run_ = lambda: counts.writeStream.outputMode("append").format("parquet").option("path", f"{base}/out").option("checkpointLocation", f"{base}/log").trigger(availableNow=True).start().awaitTermination()
     run_()
-    events.filter(F.col("ts") < middle).coalesce(1).write.parquet(f"{base}/in/b")
+    events.filter(F.col("ts") < middle).write.parquet(f"{base}/in/b")
     run_()
     kept = spark.read.schema("start timestamp, n long").parquet(f"{base}/out").agg(F.coalesce(F.sum("n"), F.lit(0)).alias("kept"))
     return kept.crossJoin(events.agg(F.count("*").alias("events"), F.sum((F.col("ts") < middle).cast("long")).alias("late")))  # one row each
