@@ -6,7 +6,7 @@ import subprocess
 import sys
 from pathlib import Path
 
-from trajkit.operators import features as FT, panel as P
+from trajkit.operators import features as FT, panel as P, rules
 from trajkit.plans import QUERIES
 from trajkit.plans.base_queries import panel_of
 
@@ -36,6 +36,21 @@ def test_dimensions_are_broadcast_and_nothing_is_a_product(spark):
     assert "Join" not in plan(P.densify(panel_of(spark, SF, "part_quarter"), 28))
 
 
+def optimised(df) -> str:
+    return df._jdf.queryExecution().optimizedPlan().toString()
+
+
+def test_second_act_reads_a_series_once(spark):
+    """The three periods are not put into each other's lambdas, which costs a power of the window."""
+    series = spark.createDataFrame([(1, [1, 4, 1, 4])], "item_id long, series array<bigint>").repartition(2)
+    text = optimised(rules.second_act(series, 4).select("item_id", "class"))
+    assert text.count("array_max") == 1 and "filter(" not in text
+
+
+def test_unclassified_share_builds_one_panel(spark):
+    assert "lineitem" not in plan(QUERIES["unclassified_share"](spark, SF)) and QUERIES["w20_unclassified"] is QUERIES["unclassified_share"]
+
+
 def test_imports_without_the_corpus_operators(tmp_path):
     for p in ("trajkit", "__spark_entry__.py"):
         (shutil.copytree if (ROOT / p).is_dir() else shutil.copy)(ROOT / p, tmp_path / p)
