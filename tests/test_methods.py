@@ -92,6 +92,38 @@ def test_lloyd_kernels_agree(spark, points, monkeypatch):
     assert [r.label for r in one] == d.round(9).argmin(1).tolist()
 
 
+def test_one_task_and_one_job_an_iteration_give_the_same_rounds(spark, points, monkeypatch):
+    z, cols = points[1], ["x", "y"]
+    for scope in ("final_center", "initial_center", "trimmed"):
+        o = E.RoundOptions(k=4, eps=0.6, t_max=4, max_iter=4, stop="remaining", scope=scope)
+        small = E.run_rounds(z, cols, o)
+        monkeypatch.setattr(L, "ONE_TASK", 0)
+        large = E.run_rounds(z.repartition(5), cols, o)
+        monkeypatch.undo()
+        assert small.sizes == large.sizes and np.array_equal(np.concatenate(small.centers), np.concatenate(large.centers))
+
+
+def test_small_pools_need_few_jobs(spark, points):
+    count = lambda: len(spark.sparkContext.statusTracker().getJobIdsForGroup(None))
+    before = count()
+    E.run_rounds(points[1], ["x", "y"], E.RoundOptions(k=4, eps=0.3, t_max=10, max_iter=10, stop="remaining"))
+    assert count() - before <= 4  # a job for each of up to 100 iterations before
+
+
+def test_means_are_exact_at_half_a_unit():
+    """Sums in doubles lose the halves that decide the last digit of a centre."""
+    x = np.array([[0.1 + 1e-9], [0.1]] * 300_000 + [[0.3]] * 2)
+    n, whole, rest = L.grid_sums(x[:600_000], np.zeros(600_000, int), 1)
+    assert L.grid_mean(int(n[0]), whole[0, 0], rest[0, 0]) == 0.100000001 and rest[0, 0] == 0.0
+    assert L.grid_mean(2, -1, 0.0) == -1e-9 and L.grid_mean(4, 1, 0.0) == 0.0
+
+
+def test_agreement_from_cells_equals_the_plan(spark):
+    a = spark.createDataFrame([(i, i % 3) for i in range(60)], "item_id long, class int")
+    b = spark.createDataFrame([(i, (i * i + i // 7) % 4) for i in range(60)], "item_id long, class int")
+    assert tuple(M.agreement(a, b).first()) == pytest.approx(M.agreement_of(a, b), abs=1e-6)
+
+
 def test_population_of_midpoint_balls(spark, points):
     x, z = points
     c = np.array([[0, 0], [0.5, 0.2], [4, 0], [2, 3.5], [0.5, 0.2]])
