@@ -51,6 +51,12 @@ def test_unclassified_share_builds_one_panel(spark):
     assert "lineitem" not in plan(QUERIES["unclassified_share"](spark, SF)) and QUERIES["w20_unclassified"] is QUERIES["unclassified_share"]
 
 
+def test_worked_example_is_a_series_of_the_given_table(spark):
+    r = QUERIES["w02_worked_example"](spark, SF).first()
+    top = P.clip_window(panel_of(spark, SF, "part_quarter"), 8).groupBy("item_id").sum("n").collect()
+    assert (r.item_id, r.total) == min(((i, c) for i, c in top), key=lambda x: (-x[1], x[0]))
+
+
 def test_imports_without_the_corpus_operators(tmp_path):
     for p in ("trajkit", "__spark_entry__.py"):
         (shutil.copytree if (ROOT / p).is_dir() else shutil.copy)(ROOT / p, tmp_path / p)
