@@ -535,6 +535,25 @@ def test_mix_meets_targets_in_order(spark):
     assert mixed.columns == docs.columns and mixed.count() == sum(r.copies for r in rows)
 
 
+def test_rows_come_through_the_integrated_schedule(spark):
+    """The running integral of a source's schedule, by small steps, takes the same copies and places them."""
+    rows = mixing.plan_mix(spark.read.parquet(f"{MORE}/documents.parquet")).withColumn("at", mixing.position(spark_col("copies") * 0)).filter("size > 0").collect()
+    time = np.linspace(0, 1, 20_001)
+    curves = {}
+    for r in rows:
+        if r.source not in curves:
+            (p,) = r.pieces
+            w = p.w_from + (p.w_to - p.w_from) * time
+            area = np.concatenate([[0], np.cumsum((w[1:] + w[:-1]) / 2 / 20_000)])
+            assert abs(area[-1] - float(r.weight)) < 1e-6
+            curves[r.source] = area / area[-1] * r.target
+        curve, middle = curves[r.source], r.start + r.size / 2
+        assert min(3, sum(c * r.source_size + middle < curve[-1] for c in range(4))) == r.copies
+        if r.copies:
+            assert abs(np.interp(middle, curve, time) - r.at) < 1e-4
+    assert len({(p.w_from, p.w_to) for r in rows for p in r.pieces}) == 3
+
+
 # ---- near duplicates --------------------------------------------------------------------------------
 
 
