@@ -9,7 +9,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from trajkit.operators.quantile import exact_quantile
-from trajkit.operators import density, ensemble as E, features as FT, graphcut, lloyd as L, measures as M, panel as P, rules as R, scaling
+from trajkit.operators import blocks as BL, density, ensemble as E, features as FT, graphcut, lloyd as L, measures as M, panel as P, rules as R, scaling
 from trajkit.operators.features import FEATURES, FeatureOptions
 from trajkit.plans import base_queries as B
 
@@ -110,6 +110,45 @@ def test_small_pools_need_few_jobs(spark, points):
     assert count() - before <= 4  # a job for each of up to 100 iterations before
 
 
+def test_passes_over_many_items_hand_over_few_rows(spark):
+    """A row an item costs many times the kernel; blocks hold the same numbers."""
+    cols = ["x", "y"]
+    z = spark.range(40_000).selectExpr("id AS item_id", "round(sin(id) * 3, 9) AS x", "CAST(id % 7 AS double) AS y").repartition(2)
+    b = BL.packed(z, cols)
+    assert b.count() == 40_000 and b.table.count() <= 2 * (1 + 20_000 * 2 // BL.VALUES + 1)
+    assert sum(i for i, in b.table.select("n").collect()) == 40_000
+    c = L.seeds(b, cols, 5, "0|1")
+    assert np.array_equal(c, L.seeds(z, cols, 5, "0|1")) and np.array_equal(L.step(b, cols, c), L.step(z, cols, c))
+    assert sorted(E.affinity(b, cols, c, 1.0, own=True).collect()) == sorted(E.affinity(z, cols, c, 1.0, own=True).collect())
+    many, (table, chunks) = BL.copies(b, 3), BL.source(BL.copies(b, 3), cols)
+    got = sorted((i, *v) for ids, x in chunks(table.toArrow().to_batches()) for i, v in zip(ids.to_pylist(), x.T.tolist()))
+    assert many.count() == 120_000 and got == sorted((r.item_id * 3 + i, r.x, r.y) for r in z.collect() for i in (1, 2, 3))
+
+
+def test_few_different_vectors_among_copies_in_blocks(spark):
+    z = spark.range(3_000).selectExpr("id AS item_id", "CASE WHEN id IN (5, 6) THEN CAST(id AS double) ELSE 0.0D END AS x")
+    b = BL.packed(z.repartition(3), ["x"])
+    assert sorted(L.seeds(b, ["x"], 3, "0").ravel()) == [0.0, 5.0, 6.0] and np.array_equal(L.seeds(b, ["x"], 3, "0"), L.seeds(z, ["x"], 3, "0"))
+    assert len(L.seeds(b, ["x"], 5, "0")) == 3
+
+
+def test_kernels_of_blocks_decide_as_those_of_rows():
+    """Exact ties, distances that only rounding makes equal, balls whose edge holds items, odd values."""
+    x = np.array([[0.5, 0.5 + 4e-10, 0.5 - 4e-10, 2.0, 1e7, np.inf, np.nan, 0.3], [0.0, 0.0, 0.0, 0.0, 1e7, 0.0, 0.0, 0.7]])
+    c = np.array([[0.0, 0.0], [1.0, 0.0], [0.0, 0.0], [1e7, 1e7]])
+    for cs in (c, c[:1]):
+        for y in (x, x[:, :4]):
+            with np.errstate(all="ignore"):
+                label, d2 = L.closest(y.T, cs)
+                assert np.array_equal(BL.labels(y, cs, L.closest), label)
+                for eps in (0.5, 1.0, 2.0, np.sqrt(0.58)):
+                    assert np.array_equal(BL.within(y, cs, eps, L.closest), d2 <= eps**2)
+    rng = np.random.default_rng(0)
+    for y in (np.round(rng.normal(size=(3, 500)), 9), rng.normal(size=(3, 500)), np.round(rng.normal(size=(3, 500)) * 1e6, 3)):
+        label = rng.integers(0, 4, 500).astype(np.int32)
+        assert all(np.array_equal(a, b) for a, b in zip(BL.exact_sums(y, label, 6, L.DIGITS, L.grid_sums), L.grid_sums(y.T, label, 6)))
+
+
 def test_means_are_exact_at_half_a_unit():
     """Sums in doubles lose the halves that decide the last digit of a centre."""
     x = np.array([[0.1 + 1e-9], [0.1]] * 300_000 + [[0.3]] * 2)
