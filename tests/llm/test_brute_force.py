@@ -554,6 +554,43 @@ def test_rows_come_through_the_integrated_schedule(spark):
     assert len({(p.w_from, p.w_to) for r in rows for p in r.pieces}) == 3
 
 
+def test_op9_counts_in_the_mixed_corpus(spark, monkeypatch):
+    """The query's rows come from the mix itself: whole rows, every copy, in training order."""
+    kept, store = [], mixing.stored
+    monkeypatch.setattr(mixing, "stored", lambda df, **options: kept.append(store(df, **options)) or kept[-1])
+    rows = QUERIES["op9_mix_curriculum"](spark, MORE).collect()
+    docs = spark.read.parquet(f"{MORE}/documents.parquet")
+    (mixed,) = [df for df in kept if "text" in df.columns]
+    plans = {r.row: r for df in kept if "pieces" in df.columns for r in df.collect()}
+    whole = {r.doc_id: tuple(r) for r in docs.collect()}
+    places = {}
+    for r in mixed.collect():
+        assert tuple(r)[: len(docs.columns)] == whole[r.doc_id] and plans[r["__row"]].doc_id == r.doc_id
+        places.setdefault(r.doc_id, []).append(r["__position"])
+    for r in rows:
+        at = sorted(places.get(r.doc_id, []))
+        assert (r.copies, r.taken) == (len(at), len(at) * r.size) and (r.first_position is None) == (not at)
+        assert not at or abs(at[0] - r.first_position) < 1e-8
+    for p in plans.values():  # the demand curve is at the middle of each copy when it comes
+        for c, t in enumerate(sorted(places.get(p.doc_id, [])) if p.size else []):
+            (q,) = p.pieces
+            area = (q.w_from * t + (q.w_to - q.w_from) * t * t / 2) / float(p.weight)
+            assert abs(area * p.target - (c * p.source_size + p.start + p.size / 2)) < 1e-3
+    parts = sorted(mixed.inputFiles())
+    order = [r["__position"] for f in parts for r in spark.read.parquet(f).collect()]
+    assert order == sorted(order) and len(order) == sum(r.copies for r in rows)
+
+
+def test_op9_repeated_ids(spark, tmp_path):
+    rows = [(1, "a b c", "x"), (1, "a b c", "x"), (1, "d e f", "x"), (1, "d e", "y"), (None, None, None), (None, "g", "y"), (None, "h i j k", None), (2, "", "x"), (2, "", "x")]
+    spark.createDataFrame(rows, "doc_id long, text string, source string").write.parquet(f"{tmp_path}/documents.parquet")
+    docs = spark.read.parquet(f"{tmp_path}/documents.parquet")
+    got = QUERIES["op9_mix_curriculum"](spark, str(tmp_path)).collect()
+    plan = mixing.plan_mix(docs).collect()
+    seen = lambda x: sorted(((r.doc_id or 0, r.size, r.source_size, r.target, r.taken, int(r.copies)) for r in x))
+    assert seen(got) == seen(plan) and any(r.copies for r in got)
+
+
 # ---- near duplicates --------------------------------------------------------------------------------
 
 
